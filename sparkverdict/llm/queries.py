@@ -17,5 +17,23 @@ def op1_host_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return apply_host_rules(table(spark, sf_dir, "documents"))
 
 
+def vocabulary() -> str:
+    import public_tokenizers
+
+    return public_tokenizers.path("word_bpe_49k.json")
+
+
+def op2_token_frames(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from sparkverdict.llm.token_frames import token_frames
+
+    return token_frames(table(spark, sf_dir, "documents"), vocabulary())
+
+
+def op7_bpe_forced_cuts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from sparkverdict.llm.bpe import digests
+
+    return digests(table(spark, sf_dir, "documents"), vocabulary())
+
+
 def queries() -> dict[str, Query]:
-    return {f.__name__: f for f in (op1_host_quality,)}
+    return {f.__name__: f for f in (op1_host_quality, op2_token_frames, op7_bpe_forced_cuts)}
