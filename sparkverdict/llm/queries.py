@@ -29,6 +29,12 @@ def op2_token_frames(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_frames(table(spark, sf_dir, "documents"), vocabulary())
 
 
+def op3_simhash_covering(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from sparkverdict.llm.simhash import near_duplicates
+
+    return near_duplicates(table(spark, sf_dir, "documents"))
+
+
 def op7_bpe_forced_cuts(spark: SparkSession, sf_dir: str) -> DataFrame:
     from sparkverdict.llm.bpe import digests
 
@@ -36,4 +42,4 @@ def op7_bpe_forced_cuts(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    return {f.__name__: f for f in (op1_host_quality, op2_token_frames, op7_bpe_forced_cuts)}
+    return {f.__name__: f for f in (op1_host_quality, op2_token_frames, op3_simhash_covering, op7_bpe_forced_cuts)}
