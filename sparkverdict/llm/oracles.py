@@ -28,5 +28,38 @@ FROM judged j LEFT JOIN v ON j.source = v.source
 """
 
 
+_OP4 = r"""
+WITH l AS (SELECT doc_id, source, pos, line, trim(line, chr(32) || chr(9) || chr(10) || chr(11) || chr(12) || chr(13)) AS k
+           FROM (SELECT doc_id, source, generate_subscripts(ls, 1) AS pos, unnest(ls) AS line
+                 FROM (SELECT doc_id, source, string_split(text, chr(10)) AS ls FROM documents WHERE text IS NOT NULL))),
+bad AS (SELECT k FROM l WHERE k <> '' GROUP BY k HAVING count(DISTINCT source) >= 10),
+m AS (SELECT l.*, bad.k IS NOT NULL AS gone, len(regexp_extract_all(line, '[^\x20\x09-\x0D]+')) AS w FROM l LEFT JOIN bad ON l.k = bad.k),
+r AS (SELECT doc_id, count(*) AS n_lines, count(*) FILTER (gone) AS n_gone,
+             coalesce(sum(w) FILTER (gone), 0) > 0.5 * sum(w) AS whole,
+             string_agg(line, chr(10) ORDER BY pos) FILTER (NOT gone) AS cut FROM m GROUP BY doc_id)
+SELECT d.doc_id, coalesce(n_lines, 0)::BIGINT AS n_lines, CASE WHEN whole THEN 0 ELSE coalesce(n_gone, 0) END::BIGINT AS n_removed,
+       CASE WHEN n_gone IS NULL OR n_gone = 0 OR whole THEN d.text ELSE coalesce(cut, '') END AS text
+FROM documents d LEFT JOIN r USING (doc_id)
+"""
+
+_OP6 = r"""
+WITH s AS (SELECT doc_id, source AS src, len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+'))::BIGINT AS size FROM documents),
+t AS (SELECT src, sum(size)::BIGINT AS source_size FROM s GROUP BY src),
+r AS (SELECT *, [5, 2, 1][((row_number() OVER (ORDER BY src NULLS LAST) - 1) % 3 + 1)::INT] AS weight, (2 * source_size)::DOUBLE AS cap FROM t),
+b AS (SELECT *, (1.5::DOUBLE * sum(source_size) OVER () - coalesce(sum(cap) OVER o, 0)) / (sum(weight) OVER () - coalesce(sum(weight) OVER o, 0)) AS level
+      FROM r WINDOW o AS (ORDER BY cap / weight, src NULLS LAST ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)),
+f AS (SELECT *, level * weight >= cap AS is_full FROM b),
+g AS (SELECT *, CASE WHEN is_full THEN cap ELSE least(cap, arg_min(CASE WHEN NOT is_full THEN level END, CASE WHEN NOT is_full THEN cap / weight END) OVER () * weight) END AS target FROM f),
+p AS (SELECT s.*, g.source_size, g.target, sum(size) OVER w AS upto, row_number() OVER w AS nth
+      FROM s JOIN g ON s.src IS NOT DISTINCT FROM g.src
+      WINDOW w AS (PARTITION BY s.src ORDER BY md5(doc_id::VARCHAR), doc_id, size ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW)),
+q AS (SELECT p.*, e, (e * source_size + upto) / target AS finish FROM p, unnest([0, 1]) AS u(e) WHERE size > 0),
+c AS (SELECT *, sum(size) OVER (ORDER BY finish, src NULLS LAST, nth, e ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS served FROM q),
+k AS (SELECT src, nth, count(*) AS copies FROM c WHERE served <= (SELECT floor(1.5 * sum(size)) FROM s) GROUP BY src, nth)
+SELECT p.doc_id, p.size, p.source_size, p.target, (p.size * coalesce(k.copies, 0))::BIGINT AS taken
+FROM p LEFT JOIN k ON p.src IS NOT DISTINCT FROM k.src AND p.nth = k.nth
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op1_host_quality": _OP1}
+    return {"op1_host_quality": _OP1, "op4_line_spread": _OP4, "op6_fair_queue_mix": _OP6}

@@ -35,6 +35,24 @@ def op3_simhash_covering(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "documents"))
 
 
+def op4_line_spread(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from sparkverdict.llm.line_spread import deduplicated_lines
+
+    return deduplicated_lines(table(spark, sf_dir, "documents"))
+
+
+def op5_hash_tree_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from sparkverdict.llm.hash_tree import shard
+
+    return shard(table(spark, sf_dir, "documents"))
+
+
+def op6_fair_queue_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from sparkverdict.llm.fair_queue import mix
+
+    return mix(table(spark, sf_dir, "documents"))
+
+
 def op7_bpe_forced_cuts(spark: SparkSession, sf_dir: str) -> DataFrame:
     from sparkverdict.llm.bpe import digests
 
@@ -42,4 +60,4 @@ def op7_bpe_forced_cuts(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    return {f.__name__: f for f in (op1_host_quality, op2_token_frames, op3_simhash_covering, op7_bpe_forced_cuts)}
+    return {f.__name__: f for f in (op1_host_quality, op2_token_frames, op3_simhash_covering, op4_line_spread, op5_hash_tree_shards, op6_fair_queue_mix, op7_bpe_forced_cuts)}
