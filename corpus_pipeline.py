@@ -1,12 +1,62 @@
-"""A training-data pipeline of five operators over `documents`."""
+"""A training-data pipeline over `documents`: each stage is one operator, works on all that the one before kept, and its
+decisions take effect. Stages but the last return the columns of their input.
+
+1. quality classifier: documents scored below the threshold go
+2. line dedup: boilerplate lines leave the texts (n_chars follows)
+3. SimHash near-dedup: one document of each group stays, the one with the smallest doc_id
+4. mixing: documents stand as often as the mix takes them, at most twice
+5. BPE: ids and decoded text of every document, as digests
+"""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from sparkverdict.llm import bpe, fair_queue, line_spread, pu_quality, simhash
+from sparkverdict.llm.common import materialise, table
+from sparkverdict.llm.queries import vocabulary
+
+
+def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return pu_quality.accepted(docs, table(spark, sf_dir, "labels"))
+
+
+def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    cut = line_spread.remove_boilerplate(docs)
+    if "n_chars" in docs.columns:
+        cut = cut.withColumn("n_chars", F.when(F.col("_removed_lines") > 0, F.length("text").cast("long")).otherwise(F.col("n_chars")))
+    return cut.select(*[F.col(f"`{c}`") for c in docs.columns])
+
+
+def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    groups = simhash.near_duplicates(docs)
+    first = groups.filter(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("_first")).distinct()
+    kept = docs.join(first, F.col("doc_id").eqNullSafe(F.col("_first")), "left_semi")
+    return kept.dropDuplicates(["doc_id"]).select(*[F.col(f"`{c}`") for c in docs.columns])
+
+
+def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return fair_queue.mixed_documents(docs)
+
+
+def tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return bpe.digests(docs, vocabulary())
+
 
-STAGES: list = []
+STAGES = [
+    ("quality classifier", quality),
+    ("line dedup", line_dedup),
+    ("SimHash near-dedup", near_dedup),
+    ("mixing sources to target weights", mixing),
+    ("BPE encoding and decoding", tokens),
+]
+#: SimHash, the classifier and BPE are beyond SQL; tests/llm compare the pipeline with a plain version.
 ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raise NotImplementedError
+    docs = table(spark, sf_dir, "documents")
+    for name, stage in STAGES[:-1]:
+        docs = materialise(stage(spark, docs, sf_dir), "stage-" + name.split()[0].lower())
+    return STAGES[-1][1](spark, docs, sf_dir)

@@ -61,5 +61,15 @@ FROM p LEFT JOIN k ON p.src IS NOT DISTINCT FROM k.src AND p.nth = k.nth
 """
 
 
+_OP8 = """
+WITH v AS (SELECT vec_id, list_transform(embedding, lambda x: floor(64 * x::DOUBLE)) AS e FROM embeddings
+           WHERE vec_id IS NOT NULL AND len(embedding) > 0 AND len(list_filter(embedding, lambda x: x IS NOT NULL AND isfinite(x))) = len(embedding)),
+s AS (SELECT q.vec_id AS query_id, c.vec_id, list_inner_product(q.e, c.e)::BIGINT AS score
+      FROM v q JOIN v c ON q.vec_id <> c.vec_id AND len(q.e) = len(c.e) WHERE q.vec_id % 20 = 0),
+r AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id)::INT AS rank FROM s)
+SELECT query_id, rank, vec_id, score FROM r WHERE rank <= 20
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op1_host_quality": _OP1, "op4_line_spread": _OP4, "op6_fair_queue_mix": _OP6}
+    return {"op1_host_quality": _OP1, "op4_line_spread": _OP4, "op6_fair_queue_mix": _OP6, "op8_mtree_topk": _OP8}

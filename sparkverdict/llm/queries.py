@@ -59,11 +59,23 @@ def op7_bpe_forced_cuts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return digests(table(spark, sf_dir, "documents"), vocabulary())
 
 
+def op8_mtree_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from sparkverdict.llm.m_tree import top_k
+
+    return top_k(table(spark, sf_dir, "embeddings"))
+
+
 def op9_pu_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     from sparkverdict.llm.pu_quality import classify
 
     return classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
+def op10_site_style_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from sparkverdict.llm.site_tree import extract
+
+    return extract(table(spark, sf_dir, "pages"))
+
+
 def queries() -> dict[str, Query]:
-    return {f.__name__: f for f in (op1_host_quality, op2_token_frames, op3_simhash_covering, op4_line_spread, op5_hash_tree_shards, op6_fair_queue_mix, op7_bpe_forced_cuts, op9_pu_quality)}
+    return {f.__name__: f for f in (op1_host_quality, op2_token_frames, op3_simhash_covering, op4_line_spread, op5_hash_tree_shards, op6_fair_queue_mix, op7_bpe_forced_cuts, op8_mtree_topk, op9_pu_quality, op10_site_style_tree)}
