@@ -43,6 +43,7 @@ NEVER_MAIN = frozenset("nav footer aside form button select datalist dialog menu
 CLOSES_P = BLOCK - {"br", "body", "html", "head", "option", "caption", "legend", "summary", "title", "tbody", "thead", "tfoot", "tr"}
 SAME_LEVEL = {"li": ("li",), "dt": ("dt", "dd"), "dd": ("dt", "dd"), "tr": ("tr", "td", "th"), "td": ("td", "th"), "th": ("td", "th"), "option": ("option",)}
 SCOPES = {"li": ("ul", "ol", "menu"), "dt": ("dl",), "dd": ("dl",), "tr": ("table",), "td": ("tr", "table"), "th": ("tr", "table"), "option": ("select", "datalist")}
+SALTS = 64
 #: Words of classes, ids and roles that say that an element is not the main text.
 HINT = re.compile(
     r"(?:^|[\s_-])(?:ad|ads|advert\w*|adsense|sponsor\w*|promo\w*|banner|sidebar|side-bar|menu|nav|navbar|navigation|breadcrumbs?|footer|header|masthead|cookies?|consent|gdpr|notice|notices|alert|popup|modal|overlay|newsletter|"
@@ -247,5 +248,8 @@ def extract(pages: DataFrame, rules: Rules = Rules()) -> DataFrame:
     """page_id, url, text, n_chars for every page."""
     hosted = with_host(pages)
     low = low_nodes(style_tree(hosted), rules)
-    rows = hosted.join(low, "host", "left").select(F.col("page_id").cast("long").alias("page_id"), "url", "html", "low")
+    # a host may have a third of all pages: its one row of low nodes is copied SALTS times and its pages spread over the copies
+    salted = low.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    spread = hosted.withColumn("salt", F.pmod(F.xxhash64("page_id", "url"), F.lit(SALTS)).cast("int"))
+    rows = spread.join(salted, ["host", "salt"], "left").select(F.col("page_id").cast("long").alias("page_id"), "url", "html", "low")
     return rows.mapInArrow(_extract, "page_id long, url string, text string, n_chars long")
