@@ -6,14 +6,18 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from sparkverdict import experiments
+from sparkverdict.operators import relational
+
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {}
+    return experiments.queries() | relational.queries()
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return experiments.oracle_sql() | relational.oracle_sql()
 
 
 def entry_query(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/documents.parquet").limit(0)
+    """Does every source have at least two long documents?"""
+    return experiments.queries()["claim_c08"](spark, sf_dir)
