@@ -48,7 +48,7 @@ class Pred:
     def answer(self, row: dict) -> bool:
         try:
             return bool(self.python(row))
-        except TypeError:  # a null attribute
+        except (TypeError, AttributeError):  # a null attribute
             return False
 
 

@@ -78,7 +78,9 @@ def relevance_scores(df: DataFrame, key: str, text: str, spec: RelevanceSpec, k:
     """key, rel_score of every row."""
     t = F.coalesce(F.col(text).cast("string"), F.lit(""))
     signals = df.select(key, text_cosine(stems(t), spec.query).alias("s_cos"), n_present(t, spec.include).alias("s_in"), n_absent(t, spec.exclude).alias("s_out"))
-    return rrf(signals, key, ["s_cos", "s_in", "s_out"], k)
+    # a signal without words is the same for all rows and would only rank them by key
+    used = ["s_cos"] + ["s_in"] * bool(spec.include) + ["s_out"] * bool(spec.exclude)
+    return rrf(signals, key, used, k)
 
 
 def similarity_column(text: Column, query: str, granularity: str = "sentence") -> Column:
