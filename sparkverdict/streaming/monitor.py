@@ -72,3 +72,24 @@ def drift(events: DataFrame, hit: str, width: str = "7 days") -> DataFrame:
 
 def deduplicated(events: DataFrame) -> DataFrame:
     return events.withWatermark("ts", "2 hours").dropDuplicatesWithinWatermark(["event_id"])
+
+
+def errors_after_clicks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Stream-stream join: errors of a user within an hour of a click; both sides keep an hour's state behind their watermarks."""
+    clicks = event_stream(spark, sf_dir).filter("event_type = 'click'").withWatermark("ts", "2 hours").selectExpr("event_id AS click", "user_id AS click_user", "ts AS click_ts")
+    errors = event_stream(spark, sf_dir).filter("event_type = 'error'").withWatermark("ts", "2 hours").selectExpr("event_id AS error", "user_id", "ts")
+    return clicks.join(errors, F.expr("click_user = user_id AND ts >= click_ts AND ts <= click_ts + INTERVAL 1 HOUR")).select("click", "error")
+
+
+def sink_batches(stream: DataFrame, path: str) -> DataFrame:
+    """foreachBatch sink: each micro-batch overwrites a folder of its own number, so a batch that is run again changes nothing."""
+
+    def write(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/batch={number}")
+
+    q = stream.writeStream.foreachBatch(write).option("checkpointLocation", f"{path}-progress").trigger(availableNow=True).start()
+    try:
+        q.awaitTermination()
+    finally:
+        q.stop()
+    return stream.sparkSession.read.parquet(path)
