@@ -113,19 +113,19 @@ simple("agg_collect", lambda t: t("conversations").groupBy("conv_id").agg(F.arra
 _sup = lambda t: t("lineitem").groupBy("l_suppkey").agg(F.count(F.lit(1)).alias("n"))
 _SUP = "(SELECT l_suppkey, count(*) AS n FROM lineitem GROUP BY 1)"
 for _n, _f, _s, _o in [
-    ("win_dense", F.dense_rank(), "dense_rank()", c("n").desc()), ("win_dense_asc", F.dense_rank(), "dense_rank()", c("n").asc()), ("win_rank", F.rank(), "rank()", c("n").desc()),
+    ("win_dense", F.dense_rank, "dense_rank()", F.desc), ("win_dense_asc", F.dense_rank, "dense_rank()", F.asc), ("win_rank", F.rank, "rank()", F.desc),
 ]:
-    simple(_n, lambda t, f=_f, o=_o: _sup(t).select("l_suppkey", f.over(Window.orderBy(o)).cast("long").alias("r")), f"SELECT l_suppkey, {_s} OVER (ORDER BY n {'ASC' if 'asc' in _n else 'DESC'}) AS r FROM {_SUP}")
-for _n, _f, _s in [("win_rownum", F.row_number(), "row_number()"), ("win_ntile", F.ntile(4), "ntile(4)")]:
-    simple(_n, lambda t, f=_f: _sup(t).select("l_suppkey", f.over(Window.orderBy(c("n").desc(), "l_suppkey")).cast("long").alias("r")), f"SELECT l_suppkey, {_s} OVER (ORDER BY n DESC, l_suppkey)::BIGINT AS r FROM {_SUP}")
+    simple(_n, lambda t, f=_f, o=_o: _sup(t).select("l_suppkey", f().over(Window.orderBy(o("n"))).cast("long").alias("r")), f"SELECT l_suppkey, {_s} OVER (ORDER BY n {'ASC' if 'asc' in _n else 'DESC'}) AS r FROM {_SUP}")
+for _n, _f, _s in [("win_rownum", F.row_number, "row_number()"), ("win_ntile", lambda: F.ntile(4), "ntile(4)")]:
+    simple(_n, lambda t, f=_f: _sup(t).select("l_suppkey", f().over(Window.orderBy(c("n").desc(), "l_suppkey")).cast("long").alias("r")), f"SELECT l_suppkey, {_s} OVER (ORDER BY n DESC, l_suppkey)::BIGINT AS r FROM {_SUP}")
 simple("win_pctrank", lambda t: _sup(t).select("l_suppkey", F.round(F.percent_rank().over(Window.orderBy("n")), 9).alias("r")), f"SELECT l_suppkey, round(percent_rank() OVER (ORDER BY n), 9) AS r FROM {_SUP}")
-_w = Window.partitionBy("user_id").orderBy("event_id")
+_w = lambda: Window.partitionBy("user_id").orderBy("event_id")
 _W = "OVER (PARTITION BY user_id ORDER BY event_id"
-simple("win_lag", lambda t: t("events").select("event_id", F.lag("event_type").over(_w).alias("before")), f"SELECT event_id, lag(event_type) {_W}) AS before FROM events")
-simple("win_lead", lambda t: t("events").select("event_id", F.lead("event_type", 2).over(_w).alias("after")), f"SELECT event_id, lead(event_type, 2) {_W}) AS after FROM events")
-simple("win_first", lambda t: t("events").select("event_id", F.first("event_type").over(_w).alias("first_type")), f"SELECT event_id, first_value(event_type) {_W}) AS first_type FROM events")
-simple("win_last", lambda t: t("events").select("event_id", F.last("event_type").over(_w.rowsBetween(0, Window.unboundedFollowing)).alias("last_type")), f"SELECT event_id, last_value(event_type) {_W} ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS last_type FROM events")
-simple("win_rows", lambda t: t("events").select("event_id", F.count_if(c("event_type") == "error").over(_w.rowsBetween(Window.unboundedPreceding, 0)).alias("hits")), f"SELECT event_id, count(*) FILTER (event_type = 'error') {_W} ROWS UNBOUNDED PRECEDING) AS hits FROM events")
+simple("win_lag", lambda t: t("events").select("event_id", F.lag("event_type").over(_w()).alias("before")), f"SELECT event_id, lag(event_type) {_W}) AS before FROM events")
+simple("win_lead", lambda t: t("events").select("event_id", F.lead("event_type", 2).over(_w()).alias("after")), f"SELECT event_id, lead(event_type, 2) {_W}) AS after FROM events")
+simple("win_first", lambda t: t("events").select("event_id", F.first("event_type").over(_w()).alias("first_type")), f"SELECT event_id, first_value(event_type) {_W}) AS first_type FROM events")
+simple("win_last", lambda t: t("events").select("event_id", F.last("event_type").over(_w().rowsBetween(0, Window.unboundedFollowing)).alias("last_type")), f"SELECT event_id, last_value(event_type) {_W} ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS last_type FROM events")
+simple("win_rows", lambda t: t("events").select("event_id", F.count_if(c("event_type") == "error").over(_w().rowsBetween(Window.unboundedPreceding, 0)).alias("hits")), f"SELECT event_id, count(*) FILTER (event_type = 'error') {_W} ROWS UNBOUNDED PRECEDING) AS hits FROM events")
 simple("win_range", lambda t: t("events").select("event_id", F.count(F.lit(1)).over(Window.partitionBy("user_id").orderBy(F.unix_micros(c("ts").cast("timestamp"))).rangeBetween(-86400 * 10**6, 0)).alias("n")), "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY epoch_us(ts) RANGE BETWEEN 86400000000 PRECEDING AND CURRENT ROW) AS n FROM events")
 
 
