@@ -31,8 +31,8 @@ from tokenizers import Tokenizer, models
 
 from sparkverdict.llm.common import ship_package
 
-#: Fragments that a worker remembers before it starts anew.
-FRAGMENTS_KEPT = 300_000
+#: Fragments that a worker remembers in each of two generations.
+FRAGMENTS_KEPT = 200_000
 #: Pre-tokens up to this length are not cut further: looking for cuts would take longer than merging.
 SHORT = 24
 #: Separators that str.split() knows besides Unicode white space; where a text holds one, a pattern splits it.
@@ -58,8 +58,33 @@ def ascii_fragments(text: str) -> list[str]:
     return [x.decode() for x in text.encode().split()]
 
 
-class ForcedCutEncoder(dict):
-    """Maps a fragment to (ids as little-endian unsigned 32-bit integers, its decoded tokens with a space after each)."""
+class _Memory(dict):
+    """Maps a fragment to (ids as little-endian unsigned 32-bit integers, its decoded tokens with a space after each).
+
+    When it is full it becomes the older generation, from which fragments that return are taken over."""
+
+    def __init__(self) -> None:
+        super().__init__()
+        self.older: dict[str, tuple[bytes, bytes]] = {}
+
+    def tokens_of(self, fragment: str) -> list[tuple[int, str]]:
+        raise NotImplementedError
+
+    def __missing__(self, fragment: str) -> tuple[bytes, bytes]:
+        made = self.older.get(fragment)
+        if made is None:
+            tokens = self.tokens_of(fragment)
+            made = struct.pack(f"<{len(tokens)}I", *[t[0] for t in tokens]), "".join([t[1] + " " for t in tokens]).encode()
+        if len(fragment) <= 64:  # long fragments seldom return
+            if len(self) >= FRAGMENTS_KEPT:
+                self.older = dict(self)
+                self.clear()
+            self[fragment] = made
+        return made
+
+
+class ForcedCutEncoder(_Memory):
+    """The encoder of one vocabulary file, and the memory of fragments between white space."""
 
     def __init__(self, path: str) -> None:
         super().__init__()
@@ -122,41 +147,35 @@ class ForcedCutEncoder(dict):
         *inner, last = self.pieces(pretoken)
         return [t for piece in inner for t in self.inner.tokenize(piece)] + self.last.tokenize(last)
 
-    def encode_fragment(self, fragment: str) -> list:
+    def tokens_of(self, fragment: str) -> list[tuple[int, str]]:
         if any(s in fragment for s in self.special):
             found = self.tokenizer.encode(fragment, add_special_tokens=False)
             return list(zip(found.ids, found.tokens, strict=True))
         shown = self.tokenizer.pre_tokenizer.pre_tokenize_str(self.tokenizer.normalizer.normalize_str(fragment))
         return [(t.id, t.value) for pretoken, _ in shown for t in self.encode_pretoken(pretoken)]
 
-    def remember(self, fragment: str, tokens: list) -> tuple[bytes, bytes]:
-        if len(self) >= FRAGMENTS_KEPT:
-            self.clear()
-        made = struct.pack(f"<{len(tokens)}I", *[t[0] for t in tokens]), "".join([f"{t[1]} " for t in tokens]).encode()
-        if len(fragment) <= 64:  # long fragments seldom return
-            self[fragment] = made
-        return made
+    def fragments(self, text: str) -> tuple[_Memory, list[str]]:
+        """The certain fragments of a text, and the memory that knows them."""
+        if self.latin and not any(s in text for s in self.special):
+            try:
+                text.encode("latin-1")
+                return self.pretokens, self.latin.findall(text.lower())
+            except UnicodeEncodeError:
+                pass
+        return self, ascii_fragments(text)
 
-    def __missing__(self, fragment: str) -> tuple[bytes, bytes]:
-        return self.remember(fragment, self.encode_fragment(fragment))
+    def encode_ids(self, text: str | None) -> bytes:
+        coder, fragments = self.fragments(text or "")
+        return b"".join([coder[x][0] for x in fragments])
 
     def encode(self, text: str | None) -> tuple[bytes, bytes]:
         """Ids as bytes, and what the library's decode() returns for them (no decoder: tokens joined by one space)."""
-        text = text or ""
-        coder = self
-        try:
-            if self.latin and not any(s in text for s in self.special):
-                text.encode("latin-1")
-                coder, fragments = self.pretokens, self.latin.findall(text.lower())
-            else:
-                fragments = ascii_fragments(text)
-        except UnicodeEncodeError:
-            fragments = ascii_fragments(text)
+        coder, fragments = self.fragments(text or "")
         found = [coder[x] for x in fragments]
         return b"".join([x[0] for x in found]), b"".join([x[1] for x in found])[:-1]
 
 
-class _Pretokens(dict):
+class _Pretokens(_Memory):
     """The memory of pre-tokens of Latin-1 texts."""
 
     def __init__(self, owner: ForcedCutEncoder) -> None:
@@ -164,16 +183,10 @@ class _Pretokens(dict):
         self.owner = owner
         self.shown = {chr(b): c for c, b in owner.alphabet.items()}
 
-    def __missing__(self, fragment: str) -> tuple[bytes, bytes]:
-        shown = self.shown
-        stand_in = "".join([shown[chr(b)] for b in fragment.encode()]) if not fragment.isascii() else fragment
-        tokens = self.owner.encode_pretoken(stand_in if stand_in.isprintable() else "".join([shown[chr(b)] for b in fragment.encode()]))
-        if len(self) >= FRAGMENTS_KEPT:
-            self.clear()
-        made = struct.pack(f"<{len(tokens)}I", *[t.id for t in tokens]), "".join([t.value + " " for t in tokens]).encode()
-        if len(fragment) <= 64:
-            self[fragment] = made
-        return made
+    def tokens_of(self, fragment: str) -> list[tuple[int, str]]:
+        plain = fragment.isascii() and fragment.isprintable()  # such characters stand for themselves
+        stand_in = fragment if plain else "".join([self.shown[chr(b)] for b in fragment.encode()])
+        return [(t.id, t.value) for t in self.owner.encode_pretoken(stand_in)]
 
 
 _ENCODERS: dict[str, ForcedCutEncoder] = {}

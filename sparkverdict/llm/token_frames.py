@@ -148,7 +148,7 @@ def _writing(folder: str, vocabulary: str, end_id: int):
                     store.create_dir(root, recursive=True)
                     out = store.open_output_stream(f"{root}/{name}", compression=None)
                     writer, first = FrameWriter(out, width), row
-                writer.add(doc_id, np.concatenate([np.frombuffer(coder.encode(text.as_py())[0], "<u4"), end]))
+                writer.add(doc_id, np.concatenate([np.frombuffer(coder.encode_ids(text.as_py()), "<u4"), end]))
         if writer is not None:
             writer.close()
             out.close()
