@@ -317,7 +317,8 @@ def verify(claim: Claim, df: DataFrame, options: VerifyOptions = VerifyOptions()
     if claim.scope is not None:
         rows = rows.filter(claim.scope.safe())
     if p.similarity:
-        rows = relevance.prefilter(rows, RELATIONS[claim.relation][1], relevance.spec_for(claim.semantic_scope), options.threshold)
+        near = relevance.prefilter(rows, RELATIONS[claim.relation][1], relevance.spec_for(claim.semantic_scope), options.threshold)
+        rows = rows.join(written(near.select("tid"), "similar"), "tid", "left_semi")  # sentences are compared once
     if isinstance(claim.form, RankIs):
         return _run_rank(claim, rows, model, p)
     if isinstance(claim.form, Nested):

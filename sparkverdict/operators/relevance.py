@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 from sparkverdict.functions.truth import Pred
 from sparkverdict.operators.ranking import class_rank
 from sparkverdict.plans.claims import Claim, Nested, RankIs
+from sparkverdict.session import written
 from sparkverdict.sources.relations import stems
 
 RRF_K = 60
@@ -78,6 +79,7 @@ def relevance_scores(df: DataFrame, key: str, text: str, spec: RelevanceSpec, k:
     """key, rel_score of every row."""
     t = F.coalesce(F.col(text).cast("string"), F.lit(""))
     signals = df.select(key, text_cosine(stems(t), spec.query).alias("s_cos"), n_present(t, spec.include).alias("s_in"), n_absent(t, spec.exclude).alias("s_out"))
+    signals = written(signals, "signals")  # each rank below reads it, the texts are read once
     # a signal without words is the same for all rows and would only rank them by key
     used = ["s_cos"] + ["s_in"] * bool(spec.include) + ["s_out"] * bool(spec.exclude)
     return rrf(signals, key, used, k)
