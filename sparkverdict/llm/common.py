@@ -72,6 +72,14 @@ def ship_package(spark: SparkSession) -> None:
     sc._sparkverdict_shipped = True
 
 
+def hidden(df: DataFrame, *wanted: str) -> tuple[DataFrame, list[str]]:
+    """The table with columns _c0, _c1, ... in place of its own, whose names so can't clash with working columns, and the
+    new names of the wanted ones. `.toDF(*df.columns)` gives the old names back."""
+    names = [f"_c{i}" for i in range(len(df.columns))]
+    exact, lower = list(df.columns), [c.lower() for c in df.columns]
+    return df.toDF(*names), [names[exact.index(w) if w in exact else lower.index(w.lower())] for w in wanted]
+
+
 def words(text: Column) -> Column:
     """Array of the words of a text; none for null."""
     return F.array_remove(F.split(F.coalesce(text, F.lit("")), SPACES), "")

@@ -19,7 +19,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from sparkverdict.llm.common import materialise, ordered_positions, words
+from sparkverdict.llm.common import hidden, materialise, ordered_positions, words
 
 WEIGHTS = (5, 2, 1)
 SHARE = 1.5
@@ -82,5 +82,6 @@ def mix(docs: DataFrame, source: str = "source") -> DataFrame:
 def mixed_documents(docs: DataFrame, source: str = "source") -> DataFrame:
     """The documents that the mix takes, each as many times as it takes them. doc_id must tell documents apart."""
     copies = queue(docs, source).filter(F.col("copies") > 0).select(F.col("doc_id").alias("_id"), F.col("copies").alias("_copies"))
-    columns = [F.col(f"`{c}`") for c in docs.columns]
-    return docs.join(copies, F.col("doc_id").eqNullSafe(F.col("_id"))).withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies").cast("int")))).select(*columns)
+    rows, (doc_id,) = hidden(docs, "doc_id")
+    taken = rows.join(copies, F.col(doc_id).eqNullSafe(F.col("_id"))).withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies").cast("int"))))
+    return taken.select(*rows.columns).toDF(*docs.columns)

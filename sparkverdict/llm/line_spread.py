@@ -10,7 +10,8 @@ documents, not a page with boilerplate around it, and stays whole (near-dedup is
 
 Defined cases: lines are split at newlines and compared after trimming ASCII white space; blank lines are never
 boilerplate; a null text stays null and has no lines; a null site adds nothing to the spread; repeated rows add no
-further site; an empty table gives an empty result; all input columns are kept, whatever their names, but for `text`.
+further site; a document without doc_id counts for the spread and keeps its text; an empty table gives an empty result;
+all input columns are kept, whatever their names.
 """
 
 from __future__ import annotations
@@ -20,7 +21,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from sparkverdict.llm.common import SPACE_CHARS, SPACES, materialise
+from sparkverdict.llm.common import SPACE_CHARS, SPACES, hidden, materialise
 
 
 @dataclass(frozen=True)
@@ -60,11 +61,11 @@ def boilerplate(pairs: DataFrame, rules: SpreadRules = SpreadRules()) -> DataFra
     return sure.union(exact.filter(F.col("sites") >= rules.min_sites).select("h"))
 
 
-def remove_boilerplate(docs: DataFrame, site: str = "source", rules: SpreadRules = SpreadRules()) -> DataFrame:
-    """The documents with boilerplate lines taken out of `text`, and `_removed_lines` (their number)."""
-    pairs = materialise(line_sites(docs, site), "line-sites")
+def _cut(docs: DataFrame, rules: SpreadRules) -> DataFrame:
+    """A table whose other columns have working names, with doc_id, site and text: the text that stays, and _removed_lines."""
+    pairs = materialise(line_sites(docs, "site"), "line-sites")
     bad = materialise(boilerplate(pairs, rules), "line-bad")
-    lines = docs.select("doc_id", F.explode(F.array_distinct(F.transform(F.split("text", "\n"), lambda x: F.when(~_blank(x), _line_key(x))))).alias("h"))
+    lines = docs.filter(F.col("doc_id").isNotNull()).select("doc_id", F.explode(F.array_distinct(F.transform(F.split("text", "\n"), lambda x: F.when(~_blank(x), _line_key(x))))).alias("h"))
     hits = lines.filter(F.col("h").isNotNull()).join(bad, "h").groupBy("doc_id").agg(F.collect_set("h").alias("_bad"))
     joined = docs.join(hits.withColumnRenamed("doc_id", "_hit_id"), F.col("doc_id") == F.col("_hit_id"), "left").drop("_hit_id")
     gone = lambda x: F.coalesce(F.array_contains("_bad", _line_key(x)), F.lit(False)) & ~_blank(x)
@@ -78,9 +79,21 @@ def remove_boilerplate(docs: DataFrame, site: str = "source", rules: SpreadRules
     return cut.drop("_bad", "_kept", "_cut_text", "_whole")
 
 
+def remove_boilerplate(docs: DataFrame, site: str = "source", rules: SpreadRules = SpreadRules(), length: str | None = None) -> DataFrame:
+    """The documents with boilerplate lines taken out of `text`; the column `length`, if any, follows where lines went."""
+    rows, found = hidden(docs, "doc_id", "text", site, *([length] if length else []))
+    order = rows.columns
+    cut = _cut(rows.withColumnsRenamed({found[0]: "doc_id", found[1]: "text"}).withColumn("site", F.col(found[2])), rules)
+    cut = cut.withColumnsRenamed({"doc_id": found[0], "text": found[1]})
+    if length:
+        kind = rows.schema[found[3]].dataType
+        cut = cut.withColumn(found[3], F.when(F.col("_removed_lines") > 0, F.length(found[1]).cast(kind)).otherwise(F.col(found[3])))
+    return cut.select(*order).toDF(*docs.columns)
+
+
 def deduplicated_lines(docs: DataFrame, site: str = "source", rules: SpreadRules = SpreadRules()) -> DataFrame:
     """doc_id, n_lines, n_removed and the text that stays, for every document."""
     n = F.coalesce(F.size(F.split("text", "\n")), F.lit(0)).cast("long")
-    narrow = docs.select("doc_id", F.col(site).alias("_site"), F.col("text").cast("string").alias("text"), F.when(F.col("text").isNull(), F.lit(0).cast("long")).otherwise(n).alias("_n_lines"))
-    done = remove_boilerplate(narrow, "_site", rules)
+    narrow = docs.select("doc_id", F.col(site).alias("site"), F.col("text").cast("string").alias("text"), F.when(F.col("text").isNull(), F.lit(0).cast("long")).otherwise(n).alias("_n_lines"))
+    done = _cut(narrow, rules)
     return done.select("doc_id", F.col("_n_lines").alias("n_lines"), F.col("_removed_lines").alias("n_removed"), "text")

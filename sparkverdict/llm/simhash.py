@@ -27,13 +27,11 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from sparkverdict.llm.common import drop_path, materialise, ship_package
+from sparkverdict.llm.common import drop_path, hidden, materialise, ship_package
 
 SHINGLE = 4
 SEED = 42
 RADIUS = 4
-#: Stand-in ids of fingerprints without any doc_id lie from here on.
-NO_ID = 1 << 62
 #: Shingle hashes whose bits are counted at once.
 CHUNK = 1 << 16
 #: Members that are compared with one member at once.
@@ -73,13 +71,15 @@ def _fingerprints(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
     from sparkverdict.llm import simhash
 
     for batch in batches:
-        found = [simhash.fingerprint(x.as_py()) for x in batch.column(1)]
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.asarray(found, "u8").view("i8"))], names=["doc_id", "fp"])
+        found = [simhash.fingerprint(x.as_py()) for x in batch.column(2)]
+        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(np.asarray(found, "u8").view("i8"))], names=["doc_id", "text_hash", "fp"])
 
 
 def fingerprints(docs: DataFrame, text: str = "text") -> DataFrame:
+    """doc_id, text_hash and fp of every row."""
     ship_package(docs.sparkSession)
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(text).cast("string").alias("t")).mapInArrow(_fingerprints, "doc_id long, fp long")
+    t = F.col(text).cast("string")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(t).alias("text_hash"), t.alias("t")).mapInArrow(_fingerprints, "doc_id long, text_hash long, fp long")
 
 
 def bucket_chains(fps: np.ndarray, ids: np.ndarray, radius: int) -> list[tuple[int, int]]:
@@ -182,18 +182,35 @@ def components(edges: DataFrame) -> DataFrame:
             return parents.select(F.col("v").alias("node"), F.col("f").alias("root"))
 
 
+def members(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
+    """doc_id, text_hash, fp, root (the smallest fingerprint of the group) and component_id, one row per document."""
+    prints = materialise(fingerprints(docs), "simhash")
+    distinct = materialise(prints.groupBy("fp").agg(F.min("doc_id").alias("id")), "simhash-distinct")
+    # a fingerprint is its own node: rows of one doc_id with different texts are not linked by it
+    found = components(links(distinct.select("fp", F.col("fp").alias("id")), radius))
+    rooted = materialise(distinct.join(found, F.col("fp") == F.col("node"), "left").select("fp", "id", F.coalesce("root", "fp").alias("root")), "simhash-rooted")
+    least = rooted.groupBy("root").agg(F.min("id").alias("component_id"))
+    groups = materialise(rooted.join(least, "root").select("fp", "root", "component_id"), "simhash-groups")
+    return prints.join(groups, "fp")
+
+
 def near_duplicates(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
     """doc_id, fingerprint (16 hex digits), component_id, one row per document."""
-    prints = materialise(fingerprints(docs), "simhash")
-    distinct = prints.groupBy("fp").agg(F.min("doc_id").alias("id"))
-    stand_in = F.lit(NO_ID) + F.col("fp").bitwiseAND(F.lit(NO_ID - 1))
-    distinct = materialise(distinct.select("fp", F.coalesce("id", stand_in).alias("id")), "simhash-distinct")
-    found = components(links(distinct, radius))
-    groups = materialise(
-        distinct.join(found, F.col("id") == F.col("node"), "left").select("fp", F.coalesce("root", "id").alias("root")), "simhash-groups"
-    )
-    return prints.join(groups, "fp").select(
+    return members(docs, radius).select(
         "doc_id",
         F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"),
-        F.when(F.col("root") < NO_ID, F.col("root")).alias("component_id"),
+        "component_id",
     )
+
+
+def one_of_each(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
+    """The documents, with all their columns, of which one of each group stays: the one with the smallest doc_id, then the
+    smallest hash of the text; a document without doc_id only where the whole group has none. Rows that agree in doc_id
+    and text are one document."""
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("none"), F.coalesce("doc_id", F.lit(0)).alias("id"), F.col("text_hash").alias("text"))).alias("m")
+    chosen = members(docs, radius).groupBy("root").agg(first).select(F.col("m.none").alias("_none"), F.col("m.id").alias("_id"), F.col("m.text").alias("_text"))
+    rows, (doc_id, text) = hidden(docs, "doc_id", "text")
+    key = F.col(doc_id).cast("long")
+    rows = rows.withColumns({"_none": key.isNull(), "_id": F.coalesce(key, F.lit(0)), "_text": F.xxhash64(F.col(text).cast("string"))})
+    kept = rows.join(chosen, ["_none", "_id", "_text"], "left_semi").dropDuplicates(["_none", "_id", "_text"])
+    return kept.drop("_none", "_id", "_text").toDF(*docs.columns)

@@ -39,3 +39,28 @@ def test_empty_tables(spark, sf_dir):
     for _, stage in corpus_pipeline.STAGES:
         docs = stage(spark, docs, sf_dir)
         assert docs.count() == 0
+
+
+def test_clashing_columns_nulls_and_repeats(spark, sf_dir):
+    """Stages keep columns named like their working ones, and every text of which no copy stays elsewhere."""
+    other = ("_id", "_bad", "_copies", "_text", "_none", "site", "_removed_lines")
+    long = "\n".join(f"line {i} says what only this text says {i * i}" for i in range(12))
+    rows = [(1, long), (1, long), (1, "another text of the same id with many other words in it"), (2, long + " end"), (None, "no id here but words that stand nowhere else"), (None, "second text without any id and with its own words"), (None, None), (7, "")]
+    schema = "doc_id long, text string, lang string, source string, n_chars long, " + ", ".join(f"`{c}` string" for c in other)
+    docs = spark.createDataFrame([(i, t, "en", f"s{n % 2}", len(t or ""), *other) for n, (i, t) in enumerate(rows)], schema)
+    cut = corpus_pipeline.line_dedup(spark, docs, sf_dir)
+    assert cut.columns == docs.columns and sorted(map(str, cut.collect())) == sorted(map(str, docs.collect()))
+    one = corpus_pipeline.near_dedup(spark, docs, sf_dir)
+    got = {(r.doc_id, r.text) for r in one.collect()}
+    assert one.columns == docs.columns and one.count() == len(got) == 5 and {r.site for r in one.collect()} == {"site"}
+    assert got == {rows[0], rows[2], rows[4], rows[5], rows[7]}
+    assert corpus_pipeline.mixing(spark, one, sf_dir).columns == docs.columns
+
+
+def test_removed_lines_change_the_length(spark):
+    from sparkverdict.llm import line_spread
+
+    footer = "all rights to this text are kept by its site"
+    docs = spark.createDataFrame([(i, "\n".join([f"own {i} " + " ".join(f"w{i}x{j}" for j in range(30)), footer]), f"s{i}", 0) for i in range(12)], "doc_id long, text string, source string, n_chars int")
+    got = line_spread.remove_boilerplate(docs, length="n_chars").collect()
+    assert all(footer not in r.text and r.n_chars == len(r.text) for r in got) and len(got) == 12
