@@ -194,12 +194,14 @@ def _cite_rank(claim: Claim, form: RankIs, rows: DataFrame) -> DataFrame:
     scale = F.col("n") if form.by == "share" else F.lit(1)
     t_scale = F.col("tn") if form.by == "share" else F.lit(1)
     # a group above the target cites more hits than the target's value makes of its size; one below cites its misses down to that
-    bar = F.floor(F.col("tv") * scale)
+    # products before quotients: a share times a size may fall just short of a whole number
+    level, own_level = (F.col("th") * scale / t_scale, F.col("h") * t_scale / scale) if form.by == "share" else (F.col("th"), F.col("h"))
+    bar = F.floor(level)
     above, below = F.col("v") > F.col("tv"), F.col("v") < F.col("tv")
-    need = both.select(*keys, F.when(above, bar + 1).when(below, F.lit(0)).otherwise(F.lit(-1)).cast("long").alias("p"), F.when(above, F.lit(0)).when(below, F.col("n") - F.ceil(F.col("tv") * scale) + 1).otherwise(F.lit(-1)).cast("long").alias("q"))
+    need = both.select(*keys, F.when(above, bar + 1).when(below, F.lit(0)).otherwise(F.lit(-1)).cast("long").alias("p"), F.when(above, F.lit(0)).when(below, F.col("n") - F.ceil(level) + 1).otherwise(F.lit(-1)).cast("long").alias("q"))
     mine = both.agg(
-        F.max(F.when(below, F.floor(F.col("v") * t_scale) + 1)).alias("p"),
-        F.max(F.when(above, F.col("tn") - F.ceil(F.col("v") * t_scale) + 1)).alias("q"),
+        F.max(F.when(below, F.floor(own_level) + 1)).alias("p"),
+        F.max(F.when(above, F.col("tn") - F.ceil(own_level) + 1)).alias("q"),
         F.bool_or(F.col("v") == F.col("tv")).alias("same"),
     )
     own = mine.select(*[F.lit(t).alias(k) for k, t in zip(keys, form.target, strict=True)], F.when(F.col("same"), -1).otherwise(F.coalesce("p", F.lit(0))).cast("long").alias("p"), F.when(F.col("same"), -1).otherwise(F.coalesce("q", F.lit(0))).cast("long").alias("q"))

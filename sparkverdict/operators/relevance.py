@@ -15,6 +15,8 @@ from sparkverdict.session import written
 from sparkverdict.sources.relations import stems
 
 RRF_K = 60
+#: Words of a sentence that the similarity filter reads at once.
+WINDOW = 32
 
 
 @dataclass(frozen=True)
@@ -85,12 +87,22 @@ def relevance_scores(df: DataFrame, key: str, text: str, spec: RelevanceSpec, k:
     return rrf(signals, key, used, k)
 
 
+def nearest_cosine(tokens: Column, query: str) -> Column:
+    """Cosine of a bag of distinct stems with the nearest word of the query: the words are alternatives, any one will do."""
+    bag = F.array_distinct(tokens)
+    near = F.arrays_overlap(bag, F.array(*[F.lit(w) for w in query_stems(query)])) if query_stems(query) else F.lit(False)
+    return F.when(near, F.try_divide(F.lit(1.0), F.sqrt(F.size(bag)))).otherwise(F.lit(0.0))
+
+
 def similarity_column(text: Column, query: str, granularity: str = "sentence") -> Column:
-    """The largest cosine of a sentence (or of the whole text) with the query."""
+    """The largest cosine of a sentence (or of the whole text) with the query's nearest word. Sentences of more than
+    WINDOW words count window by window, as an encoder of bounded input would read them."""
     if granularity == "document":
-        return text_cosine(stems(text), query)
+        return nearest_cosine(stems(text), query)
     parts = F.filter(F.split(F.coalesce(text, F.lit("")), r"\n|(?<=[.!?])\s+"), lambda s: F.length(F.trim(s)) > 0)
-    return F.coalesce(F.array_max(F.transform(parts, lambda s: text_cosine(stems(s), query))), F.lit(-1.0))
+    starts = lambda t: F.sequence(F.lit(0), F.floor(F.greatest(F.size(t) - 1, F.lit(0)) / WINDOW).cast("int"))
+    windows = F.flatten(F.transform(F.transform(parts, stems), lambda t: F.transform(starts(t), lambda i: F.slice(t, i * WINDOW + 1, WINDOW))))
+    return F.coalesce(F.array_max(F.transform(windows, lambda t: nearest_cosine(t, query))), F.lit(-1.0))
 
 
 def prefilter(df: DataFrame, text: str, spec: RelevanceSpec, threshold: float = 0.15, granularity: str = "sentence") -> DataFrame:
