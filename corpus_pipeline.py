@@ -3,7 +3,8 @@ decisions take effect. Stages but the last return the columns of their input.
 
 1. quality classifier: documents scored below the threshold go
 2. line dedup: boilerplate lines leave the texts (n_chars follows)
-3. SimHash near-dedup: one document of each group stays, the one with the smallest doc_id
+3. SimHash near-dedup: one document of each group stays, the one with the smallest doc_id; fingerprints within 4 bits are
+   linked, and texts of which 0.8 or more of the five-word shingles agree
 4. mixing: documents stand as often as the mix takes them, at most twice
 5. BPE: ids and decoded text of every document, as digests
 """
@@ -12,7 +13,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from sparkverdict.llm import bpe, fair_queue, line_spread, pu_quality, simhash
+from sparkverdict.llm import bpe, fair_queue, line_spread, near_text, pu_quality, simhash
 from sparkverdict.llm.common import materialise, table
 from sparkverdict.llm.queries import vocabulary
 
@@ -26,9 +27,15 @@ def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """By fingerprints alone, with the values of op3_simhash_covering."""
     return simhash.one_of_each(docs)
 
 
+def similar_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The stage: by fingerprints, and by the similarity of the texts where fingerprints are too far apart."""
+    return simhash.one_of_each(docs, similar=near_text.LEAST)
+
+
 def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return fair_queue.mixed_documents(docs)
 
@@ -40,7 +47,7 @@ def tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 STAGES = [
     ("quality classifier", quality),
     ("line dedup", line_dedup),
-    ("SimHash near-dedup", near_dedup),
+    ("SimHash near-dedup", similar_dedup),
     ("mixing sources to target weights", mixing),
     ("BPE encoding and decoding", tokens),
 ]

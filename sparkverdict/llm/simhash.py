@@ -27,6 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from sparkverdict.llm import near_text
 from sparkverdict.llm.common import drop_path, hidden, materialise, ship_package
 
 SHINGLE = 4
@@ -182,12 +183,17 @@ def components(edges: DataFrame) -> DataFrame:
             return parents.select(F.col("v").alias("node"), F.col("f").alias("root"))
 
 
-def members(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
-    """doc_id, text_hash, fp, root (the smallest fingerprint of the group) and component_id, one row per document."""
+def members(docs: DataFrame, radius: int = RADIUS, similar: float | None = None) -> DataFrame:
+    """doc_id, text_hash, fp, root (the smallest fingerprint of the group) and component_id, one row per document. With
+    `similar`, texts of at least that Jaccard similarity (near_text) are linked too, however far their fingerprints."""
     prints = materialise(fingerprints(docs), "simhash")
     distinct = materialise(prints.groupBy("fp").agg(F.min("doc_id").alias("id")), "simhash-distinct")
     # a fingerprint is its own node: rows of one doc_id with different texts are not linked by it
-    found = components(links(distinct.select("fp", F.col("fp").alias("id")), radius))
+    edges = links(distinct.select("fp", F.col("fp").alias("id")), radius)
+    if similar is not None:
+        t = docs.select(F.col("text").cast("string").alias("t")).withColumn("text_hash", F.xxhash64("t"))
+        edges = edges.union(near_text.links(t, prints.select("text_hash", "fp"), similar))
+    found = components(edges)
     rooted = materialise(distinct.join(found, F.col("fp") == F.col("node"), "left").select("fp", "id", F.coalesce("root", "fp").alias("root")), "simhash-rooted")
     least = rooted.groupBy("root").agg(F.min("id").alias("component_id"))
     groups = materialise(rooted.join(least, "root").select("fp", "root", "component_id"), "simhash-groups")
@@ -203,12 +209,12 @@ def near_duplicates(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
     )
 
 
-def one_of_each(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
+def one_of_each(docs: DataFrame, radius: int = RADIUS, similar: float | None = None) -> DataFrame:
     """The documents, with all their columns, of which one of each group stays: the one with the smallest doc_id, then the
     smallest hash of the text; a document without doc_id only where the whole group has none. Rows that agree in doc_id
     and text are one document."""
     first = F.min(F.struct(F.col("doc_id").isNull().alias("none"), F.coalesce("doc_id", F.lit(0)).alias("id"), F.col("text_hash").alias("text"))).alias("m")
-    chosen = members(docs, radius).groupBy("root").agg(first).select(F.col("m.none").alias("_none"), F.col("m.id").alias("_id"), F.col("m.text").alias("_text"))
+    chosen = members(docs, radius, similar).groupBy("root").agg(first).select(F.col("m.none").alias("_none"), F.col("m.id").alias("_id"), F.col("m.text").alias("_text"))
     rows, (doc_id, text) = hidden(docs, "doc_id", "text")
     key = F.col(doc_id).cast("long")
     rows = rows.withColumns({"_none": key.isNull(), "_id": F.coalesce(key, F.lit(0)), "_text": F.xxhash64(F.col(text).cast("string"))})

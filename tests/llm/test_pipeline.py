@@ -64,3 +64,41 @@ def test_removed_lines_change_the_length(spark):
     docs = spark.createDataFrame([(i, "\n".join([f"own {i} " + " ".join(f"w{i}x{j}" for j in range(30)), footer]), f"s{i}", 0) for i in range(12)], "doc_id long, text string, source string, n_chars int")
     got = line_spread.remove_boilerplate(docs, length="n_chars").collect()
     assert all(footer not in r.text and r.n_chars == len(r.text) for r in got) and len(got) == 12
+
+
+def test_near_dedup_finds_every_similar_text(spark):
+    """Texts of Jaccard 0.8 or more are one group, by brute force, also where their fingerprints are far apart."""
+    import random
+
+    from sparkverdict.llm import near_text, simhash
+
+    rng = random.Random(5)
+    rows, i = [], 0
+    for base in range(40):
+        words = [f"w{rng.randrange(3000)}" for _ in range(rng.choice((60, 150, 400)))]
+        for copy in range(4):
+            edited = list(words)
+            for _ in range(copy * len(words) // 60):
+                edited[rng.randrange(len(edited))] = f"x{rng.randrange(3000)}"
+            rows.append((i, " ".join(edited)))
+            i += 1
+    sets = [set(near_text.shingles(near_text.normal(t)).tolist()) for _, t in rows]
+    prints = [simhash.fingerprint(t) for _, t in rows]
+    root, far = list(range(len(rows))), 0
+
+    def top(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for a in range(len(rows)):
+        for b in range(a):
+            apart = (prints[a] ^ prints[b]).bit_count()
+            alike = len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])
+            far += alike and apart > simhash.RADIUS
+            if alike or apart <= simhash.RADIUS:
+                x, y = sorted((top(a), top(b)))
+                root[y] = x
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r.doc_id for r in dict(corpus_pipeline.STAGES)["SimHash near-dedup"](spark, docs, "").collect()}
+    assert far > 20 and got == {top(x) for x in range(len(rows))}
