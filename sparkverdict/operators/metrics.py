@@ -71,10 +71,10 @@ def map_accuracy(answers: DataFrame) -> DataFrame:
     return answers.agg(F.count_if(F.col("predicted").eqNullSafe(F.col("truth"))).alias("right"), F.count(F.lit(1)).alias("outputs")).withColumn("accuracy", _ratio(F.col("right"), F.col("outputs")))
 
 
-def multiplier(costs: DataFrame) -> DataFrame:
+def multiplier(costs: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
     """claim_id, without, all -> geometric mean of the ratios; claims that cost nothing are counted apart."""
     ok = (F.col("all") > 0) & (F.col("without") > 0)
-    return costs.agg(F.exp(F.avg(F.when(ok, F.log(F.col("without") / F.col("all"))))).alias("multiplier"), F.count_if(~ok).alias("excluded"))
+    return costs.groupBy(*by).agg(F.exp(F.avg(F.when(ok, F.log(F.col("without") / F.col("all"))))).alias("multiplier"), F.count_if(~ok).alias("excluded"))
 
 
 def cache_gain(costs: DataFrame) -> DataFrame:

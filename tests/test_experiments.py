@@ -17,3 +17,18 @@ def test_baselines_answer_every_claim(spark, sf_dir, name):
         for t in ("documents", "conversations"):
             con.sql(f"CREATE VIEW {t} AS SELECT * FROM read_parquet('{sf_dir}/{t}.parquet')")
         assert sorted(got.values()) == sorted(con.sql(experiments.SQL[name]).fetchall())
+
+
+def test_ablation_covers_what_plans_use(spark, sf_dir):
+    offs = {n: experiments.applicable(c) for n, c in workloads.benchmark().items()}
+    assert {x for found in offs.values() for x in found} == set(experiments.SWITCHES)
+    assert offs["c08"] and {"fusion", "similarity"} <= set(offs["c03"]) and "fusion" in offs["c09"]
+    seen = []
+    run, experiments.verify = experiments.verify, lambda claim, df, options: seen.append(claim.claim_id) or type("R", (), {"calls": 1})
+    try:
+        rows = experiments.Q["metric_a11"](spark, sf_dir).collect()
+    finally:
+        experiments.verify = run
+    assert {(r.claim_id, r.off) for r in rows} == {(n, x) for n, found in offs.items() for x in found} and len(rows) > 32
+    some = experiments.ablation(spark, sf_dir, ("c03",)).collect()
+    assert {r.off: r.without > r["all"] for r in some}["similarity"]
