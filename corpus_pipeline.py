@@ -2,7 +2,7 @@
 decisions take effect. Stages but the last return the columns of their input.
 
 1. quality classifier: documents scored below the threshold go
-2. line dedup: boilerplate lines leave the texts (n_chars follows)
+2. line dedup: boilerplate lines leave the texts (n_chars follows); copies that consist of them stay for stage 3
 3. SimHash near-dedup: one document of each group stays, the one with the smallest doc_id; fingerprints within 4 bits are
    linked, and texts of which 0.8 or more of the five-word shingles agree
 4. mixing: documents stand as often as the mix takes them, at most twice
@@ -23,7 +23,7 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return line_spread.remove_boilerplate(docs, length="n_chars" if "n_chars" in docs.columns else None)
+    return line_spread.remove_boilerplate(docs, rules=line_spread.SpreadRules(only_copies=True), length="n_chars" if "n_chars" in docs.columns else None)
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

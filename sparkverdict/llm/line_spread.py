@@ -5,8 +5,8 @@ in a third of all documents costs one sketch a task. Lines whose estimate is cle
 settled by the sketch; those near it get an exact distinct count. Removed lines go back to documents by joins on the line
 hash and on doc_id. Only DataFrame functions are used.
 
-A document that would lose more than `max_removed_share` of its words consists of shared lines: it is a copy of other
-documents, not a page with boilerplate around it, and stays whole (near-dedup is the operator for it).
+A document that would lose more than `max_removed_share` of its words consists of shared lines and stays whole; with
+`only_copies`, only where another document has the same text (near-dedup is the operator for those).
 
 Defined cases: lines are split at newlines and compared after trimming ASCII white space; blank lines are never
 boilerplate; a null text stays null and has no lines; a null site adds nothing to the spread; repeated rows add no
@@ -31,6 +31,8 @@ class SpreadRules:
     #: Estimates within this factor of the threshold are counted exactly.
     near: float = 2.0
     max_removed_share: float = 0.5
+    #: Only documents whose text another doc_id has too may stay whole.
+    only_copies: bool = False
     #: log2 of the sketch's size; up to a few hundred sites its error is far below `near`.
     lg_k: int = 12
 
@@ -67,16 +69,23 @@ def _cut(docs: DataFrame, rules: SpreadRules) -> DataFrame:
     bad = materialise(boilerplate(pairs, rules), "line-bad")
     lines = docs.filter(F.col("doc_id").isNotNull()).select("doc_id", F.explode(F.array_distinct(F.transform(F.split("text", "\n"), lambda x: F.when(~_blank(x), _line_key(x))))).alias("h"))
     hits = lines.filter(F.col("h").isNotNull()).join(bad, "h").groupBy("doc_id").agg(F.collect_set("h").alias("_bad"))
+    if rules.only_copies:
+        prints = docs.filter(F.col("doc_id").isNotNull()).select("doc_id", F.xxhash64("text").alias("t"))
+        copied = prints.groupBy("t").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).filter("first < last").select("t")
+        copies = prints.join(copied, "t").groupBy("doc_id").agg(F.collect_set("t").alias("_copies"))
+        hits = hits.join(copies, "doc_id", "left")
     joined = docs.join(hits.withColumnRenamed("doc_id", "_hit_id"), F.col("doc_id") == F.col("_hit_id"), "left").drop("_hit_id")
     gone = lambda x: F.coalesce(F.array_contains("_bad", _line_key(x)), F.lit(False)) & ~_blank(x)
     cut = joined.withColumn("_kept", F.when(F.col("_bad").isNotNull(), F.filter(F.split("text", "\n"), lambda x: ~gone(x))))
     cut = cut.withColumn("_cut_text", F.array_join("_kept", "\n"))
     count = lambda c: F.size(F.array_remove(F.split(c, SPACES), ""))
     whole = F.when(F.col("_bad").isNotNull(), count(F.col("text")) - count(F.col("_cut_text")) > rules.max_removed_share * count(F.col("text"))).otherwise(F.lit(True))
+    if rules.only_copies:
+        whole = whole & (F.col("_bad").isNull() | F.coalesce(F.array_contains("_copies", F.xxhash64("text")), F.lit(False)))
     cut = cut.withColumn("_whole", whole)
     removed = F.when(F.col("_whole"), F.lit(0)).otherwise(F.size(F.split("text", "\n")) - F.size("_kept"))
     cut = cut.withColumn("_removed_lines", removed.cast("long")).withColumn("text", F.when(F.col("_whole"), F.col("text")).otherwise(F.col("_cut_text")))
-    return cut.drop("_bad", "_kept", "_cut_text", "_whole")
+    return cut.drop("_bad", "_copies", "_kept", "_cut_text", "_whole")
 
 
 def remove_boilerplate(docs: DataFrame, site: str = "source", rules: SpreadRules = SpreadRules(), length: str | None = None) -> DataFrame:
