@@ -2,16 +2,25 @@
 
 A pair of adjacent bytes that stands inside no vocabulary token can't end up inside a token of any text, so the place
 between the two bytes is a certain cut: fragments between certain cuts are encoded independently and their ids put in a
-row. White space is in no token of the vocabularies used here, so the first cuts are those around ASCII white space; a
-fragment is then normalised and pre-tokenised and cut again at every byte pair that the vocabulary never joins. Equal
-fragments are encoded once per worker (a bounded memory of fragments, which only saves time). Texts of Latin-1 characters,
-whose normal form is known to be themselves in lower case, are pre-tokenised by one pattern made from the vocabulary
-file's own; all other texts go through the library's normaliser and pre-tokeniser, fragment by fragment.
+row. Every text is cut that way: a table over pairs of bytes is looked up for all neighbours of a run of texts at once.
+The vocabularies read here mark the ends of words, so a cut also says whether a word ends at it: a fragment that ends
+inside a word is encoded without the mark. White space is in no token, so it is always cut away. Where the vocabulary
+would join two bytes that its own splitting pattern keeps apart (a contraction before a letter), the fragment is split
+there too; nothing else depends on that pattern. Equal fragments are encoded once per worker, in a bounded memory that
+only saves time.
 
-Texts that hold the string of a special token are handled by the library at the fragment that holds it.
+Texts of Latin-1 characters are normal forms of themselves but for their case, so they are cut as they are. Other texts
+go through the library's normaliser and splitter, fragment by fragment between white space, and are then cut in the same
+way. The string of a special token is left to the library at the fragment that holds it.
 
-Defined cases: null and empty texts give no ids, an empty decoded text and the hashes of no bytes; repeated rows are
-encoded alike; an empty table gives an empty result; other columns are ignored.
+Decoding goes from ids alone: without a decoder in the file, the library joins the tokens of the ids by one space.
+
+A file of another kind than the one described (bytes as stand-in characters, white space dropped, words split by the
+pattern below) is refused, because its certain cuts would be others.
+
+Defined cases: null and empty texts give no ids, an empty decoded text and the hashes of no bytes; a very long text is
+taken in parts that end at white space, so memory follows the longest run without any; repeated rows are encoded alike;
+there are no ties; an empty table gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -31,13 +40,21 @@ from tokenizers import Tokenizer, models
 
 from sparkverdict.llm.common import ship_package
 
-#: Fragments that a worker remembers in each of two generations.
-FRAGMENTS_KEPT = 200_000
-#: Pre-tokens up to this length are not cut further: looking for cuts would take longer than merging.
-SHORT = 24
+#: Fragments that a worker remembers in each of two generations; those longer than LONG bytes seldom return and are forgotten after their run.
+FRAGMENTS_KEPT = 300_000
+LONG = 64
+#: Characters of the texts that are cut at once, and of the parts of a longer text.
+RUN = 1 << 20
+#: How the vocabulary files that are read here prepare a text.
+PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+CONTRACTION = b"'(?:s|t|re|ve|m|ll|d)"
+LATIN_SPACE = b"\t\n\x0b\x0c\r \x85\xa0"
+SPACE, LETTER, NUMBER, OTHER = range(4)
 #: Separators that str.split() knows besides Unicode white space; where a text holds one, a pattern splits it.
 _ODD_SEPARATORS = ("\x1c", "\x1d", "\x1e", "\x1f")
 _ASCII_SPACE = re.compile(r"[\x20\x09-\x0D]+")
+#: White space has left the runs when these two mark the end of a document and a fragment that ends inside a word.
+_END, _INSIDE = 0xA0, 0x85
 
 
 def byte_alphabet() -> dict[str, int]:
@@ -48,6 +65,12 @@ def byte_alphabet() -> dict[str, int]:
     return shown | {chr(256 + i): b for i, b in enumerate(rest)}
 
 
+def latin_classes() -> np.ndarray:
+    """SPACE, LETTER, NUMBER or OTHER for each Latin-1 character."""
+    kind = {"L": LETTER, "N": NUMBER}
+    return np.asarray([SPACE if c in LATIN_SPACE else kind.get(unicodedata.category(chr(c))[0], OTHER) for c in range(256)], "u1")
+
+
 def ascii_fragments(text: str) -> list[str]:
     """Fragments between runs of ASCII white space."""
     if text.isascii():
@@ -58,41 +81,35 @@ def ascii_fragments(text: str) -> list[str]:
     return [x.decode() for x in text.encode().split()]
 
 
-class _Memory(dict):
-    """Maps a fragment to (ids as little-endian unsigned 32-bit integers, its decoded tokens with a space after each).
-
-    When it is full it becomes the older generation, from which fragments that return are taken over."""
-
-    def __init__(self) -> None:
-        super().__init__()
-        self.older: dict[str, tuple[bytes, bytes]] = {}
-
-    def tokens_of(self, fragment: str) -> list[tuple[int, str]]:
-        raise NotImplementedError
-
-    def __missing__(self, fragment: str) -> tuple[bytes, bytes]:
-        made = self.older.get(fragment)
-        if made is None:
-            tokens = self.tokens_of(fragment)
-            made = struct.pack(f"<{len(tokens)}I", *[t[0] for t in tokens]), "".join([t[1] + " " for t in tokens]).encode()
-        if len(fragment) <= 64:  # long fragments seldom return
-            if len(self) >= FRAGMENTS_KEPT:
-                self.older = dict(self)
-                self.clear()
-            self[fragment] = made
-        return made
+def refuse_other_kinds(spec: dict) -> None:
+    """Raises ValueError for a vocabulary file whose texts are prepared in another way than the module says."""
+    model, normalizer, splitter = spec["model"], spec["normalizer"] or {}, spec["pre_tokenizer"] or {}
+    steps = normalizer.get("normalizers", [])
+    splits = splitter.get("pretokenizers", [])
+    ok = (
+        model["type"] == "BPE"
+        and not any(model.get(x) for x in ("dropout", "continuing_subword_prefix", "byte_fallback", "ignore_merges", "unk_token"))
+        and [x["type"] for x in steps] == ["NFC", "Replace", "Lowercase"]
+        and (steps[1]["pattern"], steps[1]["content"]) == ({"Regex": r"\s+"}, " ")
+        and [x["type"] for x in splits] == ["Split", "ByteLevel"]
+        and (splits[0]["pattern"], splits[0]["behavior"], splits[0]["invert"]) == ({"Regex": PATTERN}, "Removed", True)
+        and not splits[1]["add_prefix_space"]
+        and not splits[1].get("use_regex", True)
+    )
+    if not ok:
+        raise ValueError("this vocabulary file prepares texts in a way whose certain cuts are not known here")
 
 
-class ForcedCutEncoder(_Memory):
-    """The encoder of one vocabulary file, and the memory of fragments between white space."""
+class ForcedCutEncoder:
+    """The encoder of one vocabulary file, with its table of joined bytes and its memory of fragments."""
 
     def __init__(self, path: str) -> None:
-        super().__init__()
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.no_truncation()
         self.tokenizer.no_padding()
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
+        refuse_other_kinds(spec)
         model = spec["model"]
         self.suffix = model["end_of_word_suffix"] or ""
         merges = [tuple(m) if not isinstance(m, str) else tuple(m.split(" ")) for m in model["merges"]]
@@ -100,93 +117,168 @@ class ForcedCutEncoder(_Memory):
         self.inner = models.BPE(model["vocab"], merges)
         self.special = [t["content"] for t in spec["added_tokens"]]
         self.alphabet = byte_alphabet()
-        self.pairs = self._joined(model["vocab"])
-        self.latin = self._latin_pattern(spec)
-        self.pretokens = _Pretokens(self)
-
-    @staticmethod
-    def _latin_pattern(spec: dict) -> re.Pattern | None:
-        """The pre-tokeniser's pattern over lower-case Latin-1, or None if the file normalises or splits in another way."""
-        steps = [x["type"] for x in spec["normalizer"].get("normalizers", [])] if spec["normalizer"] else []
-        splits = spec["pre_tokenizer"].get("pretokenizers", []) if spec["pre_tokenizer"] else []
-        if steps != ["NFC", "Replace", "Lowercase"] or [x["type"] for x in splits] != ["Split", "ByteLevel"] or not splits[0]["invert"]:
-            return None
-        chars = [chr(i) for i in range(256)]
-        classes = {
-            r"\p{L}": [c for c in chars if unicodedata.category(c)[0] == "L"],
-            r"\p{N}": [c for c in chars if unicodedata.category(c)[0] == "N"],
-            r"\s": [*"\t\n\x0b\x0c\r \x85\xa0"],
-        }
-        pattern = splits[0]["pattern"]["Regex"]
-        for name, members in classes.items():
-            pattern = pattern.replace(name, "".join(map(re.escape, members)))
-        return None if re.search(r"\\[pPwWdDbB]", pattern) else re.compile(pattern)
-
-    def _joined(self, vocab: dict[str, int]) -> set[tuple[str, str]]:
-        """Pairs of bytes (as stand-in characters) of which the first stands right before the second in some token."""
-        joined: set[tuple[str, str]] = set()
+        self.shown = {b: c for c, b in self.alphabet.items() if chr(b) != c}
+        self.joined = self._joined(model["vocab"])
+        self.pairs = set(map(tuple, np.argwhere(self.joined).tolist()))
+        self.classes = latin_classes()
+        ends = [chr(c).encode() for c in range(256)]
+        self.latin_forced = ~self.joined[np.ix_([e[-1] for e in ends], [e[0] for e in ends])].ravel()
+        others = b"".join(re.escape(bytes([c])) for c in range(256) if self.classes[c] == OTHER)
+        self.contraction = re.compile(b"(?<![" + others + b"])" + CONTRACTION)
+        self.spaces = bytes(0x0A if c in LATIN_SPACE else c for c in range(256))
+        self.plain_decoder = spec["decoder"] is None
+        size = self.tokenizer.get_vocab_size(with_added_tokens=True)
+        self.said = [(self.tokenizer.id_to_token(i) or "").encode() + b" " for i in range(size)]
+        #: A full memory becomes the older generation, from which fragments that return are taken over.
+        self.memory: dict[bytes | str, bytes] = {}
+        self.older: dict[bytes | str, bytes] = {}
+
+    def _joined(self, vocab: dict[str, int]) -> np.ndarray:
+        """joined[a, b]: byte a stands right before byte b in some token."""
+        joined = np.zeros((256, 256), bool)
         special = set(self.special)
         for token in vocab:
             if token in special:
                 continue
             body = token[: -len(self.suffix)] if self.suffix and token.endswith(self.suffix) and len(token) > len(self.suffix) else token
-            joined.update(zip(body, body[1:]))
+            raw = [self.alphabet[c] for c in body]
+            joined[raw[:-1], raw[1:]] = True
         return joined
 
-    def pieces(self, pretoken: str) -> list[str]:
-        """Cuts a pre-token (in stand-in characters) at the byte pairs that no token joins."""
-        cuts = [i for i, pair in enumerate(zip(pretoken, pretoken[1:]), 1) if pair not in self.pairs]
-        if not cuts:
-            return [pretoken]
-        return [pretoken[a:b] for a, b in zip([0, *cuts], [*cuts, len(pretoken)], strict=True)]
-
-    def encode_pretoken(self, pretoken: str) -> list:
-        """Tokens of a pre-token in stand-in characters: each piece between certain cuts by itself."""
-        if len(pretoken) <= SHORT:
-            return self.last.tokenize(pretoken)
-        *inner, last = self.pieces(pretoken)
-        return [t for piece in inner for t in self.inner.tokenize(piece)] + self.last.tokenize(last)
-
-    def tokens_of(self, fragment: str) -> list[tuple[int, str]]:
-        if any(s in fragment for s in self.special):
-            found = self.tokenizer.encode(fragment, add_special_tokens=False)
-            return list(zip(found.ids, found.tokens, strict=True))
-        shown = self.tokenizer.pre_tokenizer.pre_tokenize_str(self.tokenizer.normalizer.normalize_str(fragment))
-        return [(t.id, t.value) for pretoken, _ in shown for t in self.encode_pretoken(pretoken)]
-
-    def fragments(self, text: str) -> tuple[_Memory, list[str]]:
-        """The certain fragments of a text, and the memory that knows them."""
-        if self.latin and not any(s in text for s in self.special):
-            try:
-                text.encode("latin-1")
-                return self.pretokens, self.latin.findall(text.lower())
-            except UnicodeEncodeError:
-                pass
-        return self, ascii_fragments(text)
-
-    def encode_ids(self, text: str | None) -> bytes:
-        coder, fragments = self.fragments(text or "")
-        return b"".join([coder[x][0] for x in fragments])
+    def pieces(self, raw: bytes) -> list[bytes]:
+        """The fragments of some bytes between the pairs that no token joins."""
+        if self.pairs.issuperset(zip(raw, raw[1:])):
+            return [raw]
+        cuts = [i for i, pair in enumerate(zip(raw, raw[1:]), 1) if pair not in self.pairs]
+        return [raw[a:b] for a, b in zip([0, *cuts], [*cuts, len(raw)], strict=True)]
+
+    def encode_word(self, raw: bytes, ends: bool = True) -> list[int]:
+        """Ids of the bytes of a word, or of a part that does not end one: each fragment between certain cuts by itself."""
+        *inner, last = self.pieces(raw)
+        found = [t.id for part in inner for t in self.inner.tokenize(part.decode("latin-1").translate(self.shown))]
+        return found + [t.id for t in (self.last if ends else self.inner).tokenize(last.decode("latin-1").translate(self.shown))]
+
+    def cuts(self, run: bytes) -> tuple[np.ndarray, np.ndarray]:
+        """For each neighbouring pair of lower-case Latin-1 characters: whether no token joins them, whether a word ends."""
+        x = np.frombuffer(run, "u1")
+        kind = self.classes[x]
+        forced = self.latin_forced.take((x[:-1].astype("u2") << 8) | x[1:])
+        ends = (kind[:-1] != kind[1:]) | (kind[:-1] == NUMBER)
+        for m in self.contraction.finditer(run):
+            ends[m.start() : m.end() - 1] = False
+            ends[m.end() - 1 : m.end()] = True
+        return forced, ends
+
+    def _latin_fragments(self, parts: list[bytes]) -> list[bytes]:
+        """The fragments of some parts; after those of each part stands one that is the _END mark alone."""
+        run = b"\n".join(parts) + b"\n"
+        forced, ends = self.cuts(run)
+        x = np.frombuffer(run.translate(self.spaces), "u1").copy()
+        full = x != 0x0A
+        inside = full[:-1] & full[1:]
+        words = np.flatnonzero(inside & ends) + 1
+        broken = np.flatnonzero(inside & forced & ~ends) + 1
+        last = np.cumsum([len(p) + 1 for p in parts]) - 1
+        x[last] = _END
+        at = np.concatenate([words, np.repeat(broken, 2), last, last + 1])
+        put = np.full(len(at), 0x20, "u1")
+        put[len(words) : len(words) + 2 * len(broken) : 2] = _INSIDE
+        return np.insert(x, at, put).tobytes().split()
+
+    def _learn(self, fragments: set) -> list:
+        """Encodes the fragments that the memory lacks; returns those that it should not keep."""
+        for f in fragments:
+            if isinstance(f, bytes):
+                ends = f[-1] != _INSIDE
+                ids = self.encode_word((f if ends else f[:-1]).decode("latin-1").encode(), ends)
+            elif any(s in f for s in self.special):
+                ids = self.tokenizer.encode(f, add_special_tokens=False).ids
+            else:
+                shown = self.tokenizer.pre_tokenizer.pre_tokenize_str(self.tokenizer.normalizer.normalize_str(f))
+                ids = [i for word, _ in shown for i in self.encode_word(bytes([self.alphabet[c] for c in word]))]
+            self.memory[f] = struct.pack(f"<{len(ids)}I", *ids)
+        return [f for f in fragments if len(f) > LONG]
+
+    def _known(self, fragments: list) -> list:
+        """Makes the memory know these fragments; returns those to forget after use."""
+        if len(self.memory) > FRAGMENTS_KEPT:
+            self.memory, self.older = {}, self.memory
+        new = set(fragments).difference(self.memory)
+        for f in self.older.keys() & new:
+            self.memory[f] = self.older[f]
+            new.discard(f)
+        return self._learn(new)
+
+    def _encode_run(self, run: list[tuple[int, str]], found: list[list[bytes]]) -> None:
+        latin: list[tuple[int, bytes]] = []
+        for at, text in run:
+            raw = None
+            if not any(s in text for s in self.special):
+                try:
+                    raw = text.lower().encode("latin-1")
+                except UnicodeEncodeError:
+                    pass
+            if raw is not None:
+                latin.append((at, raw))
+                continue
+            fragments = ascii_fragments(text)
+            passing = self._known(fragments)
+            found[at].append(b"".join([self.memory[f] for f in fragments]))
+            for f in passing:
+                del self.memory[f]
+        if latin:
+            fragments = self._latin_fragments([raw for _, raw in latin])
+            end = bytes([_END])
+            self.memory[end] = b""
+            passing = self._known(fragments)
+            self.memory[end] = b""
+            ids, low = self.memory, 0
+            for at, _ in latin:
+                high = fragments.index(end, low)
+                found[at].append(b"".join(map(ids.__getitem__, fragments[low:high])))
+                low = high + 1
+            for f in passing:
+                del self.memory[f]
+
+    def encode_batch(self, texts: list[str | None]) -> list[bytes]:
+        """Ids of each text as little-endian unsigned 32-bit integers."""
+        found: list[list[bytes]] = [[] for _ in texts]
+        run: list[tuple[int, str]] = []
+        size = 0
+        for at, text in enumerate(texts):
+            for part in parts_of(text) if text else ():
+                if size and size + len(part) > RUN:
+                    self._encode_run(run, found)
+                    run, size = [], 0
+                run.append((at, part))
+                size += len(part)
+        if run:
+            self._encode_run(run, found)
+        return [x[0] if len(x) == 1 else b"".join(x) for x in found]
+
+    def decode(self, ids: bytes) -> bytes:
+        """What the library's decode() returns for these ids, special tokens included, in UTF-8."""
+        numbers = np.frombuffer(ids, "<u4").tolist()
+        if not self.plain_decoder:
+            return self.tokenizer.decode(numbers, skip_special_tokens=False).encode()
+        return b"".join(map(self.said.__getitem__, numbers))[:-1]
 
     def encode(self, text: str | None) -> tuple[bytes, bytes]:
-        """Ids as bytes, and what the library's decode() returns for them (no decoder: tokens joined by one space)."""
-        coder, fragments = self.fragments(text or "")
-        found = [coder[x] for x in fragments]
-        return b"".join([x[0] for x in found]), b"".join([x[1] for x in found])[:-1]
-
-
-class _Pretokens(_Memory):
-    """The memory of pre-tokens of Latin-1 texts."""
+        """Ids as bytes, and the text decoded from them."""
+        (ids,) = self.encode_batch([text])
+        return ids, self.decode(ids)
 
-    def __init__(self, owner: ForcedCutEncoder) -> None:
-        super().__init__()
-        self.owner = owner
-        self.shown = {chr(b): c for c, b in owner.alphabet.items()}
 
-    def tokens_of(self, fragment: str) -> list[tuple[int, str]]:
-        plain = fragment.isascii() and fragment.isprintable()  # such characters stand for themselves
-        stand_in = fragment if plain else "".join([self.shown[chr(b)] for b in fragment.encode()])
-        return [(t.id, t.value) for t in self.owner.encode_pretoken(stand_in)]
+def parts_of(text: str) -> Iterator[str]:
+    """The text in parts of about RUN characters that end before white space."""
+    low = 0
+    while len(text) - low > RUN:
+        m = _ASCII_SPACE.search(text, low + RUN)
+        if m is None:
+            break
+        yield text[low : m.start()]
+        low = m.end()
+    yield text[low:] if low else text
 
 
 _ENCODERS: dict[str, ForcedCutEncoder] = {}
@@ -205,12 +297,10 @@ def _digest_batches(path: str):
 
         coder = bpe.encoder(path)
         for batch in batches:
-            n, ids_hash, text_hash = [], [], []
-            for text in batch.column(1):
-                ids, decoded = coder.encode(text.as_py())
-                n.append(len(ids) // 4)
-                ids_hash.append(hashlib.sha256(ids).hexdigest())
-                text_hash.append(hashlib.sha256(decoded).hexdigest())
+            found = coder.encode_batch(batch.column(1).to_pylist())
+            n = [len(ids) // 4 for ids in found]
+            ids_hash = [hashlib.sha256(ids).hexdigest() for ids in found]
+            text_hash = [hashlib.sha256(coder.decode(ids)).hexdigest() for ids in found]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(ids_hash, pa.string()), pa.array(text_hash, pa.string())], names=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
 
     return run
@@ -222,11 +312,9 @@ def _id_batches(path: str):
 
         coder = bpe.encoder(path)
         for batch in batches:
-            ids, decoded = [], []
-            for text in batch.column(batch.schema.get_field_index("_text")):
-                raw, said = coder.encode(text.as_py())
-                ids.append(np.frombuffer(raw, "<u4").astype("i4"))
-                decoded.append(said.decode())
+            found = coder.encode_batch(batch.column(batch.schema.get_field_index("_text")).to_pylist())
+            ids = [np.frombuffer(raw, "<u4").astype("i4") for raw in found]
+            decoded = [coder.decode(raw).decode() for raw in found]
             kept = [i for i, name in enumerate(batch.schema.names) if name != "_text"]
             yield pa.RecordBatch.from_arrays([*[batch.column(i) for i in kept], pa.array(ids, pa.list_(pa.int32())), pa.array(decoded, pa.string())], names=[*[batch.schema.names[i] for i in kept], "ids", "decoded"])
 

@@ -11,7 +11,9 @@ and returns one manifest row; only the manifest, a table that Spark commits, say
 run again leaves at most an unread file. Files lie in the shared folder, through pyarrow's file systems.
 
 Defined cases: null and empty texts hold the end id alone; a null doc_id sorts first and is stored as null; repeated
-rows are stored one by one; an empty table makes a manifest without rows; extra columns are ignored.
+rows are stored one by one; rows that tie in doc_id stand in the order of a hash of their texts, and equal ones in any;
+a very long text is one frame, so memory follows the longest text; an empty table makes a manifest without rows; extra
+columns are ignored.
 """
 
 from __future__ import annotations
@@ -143,12 +145,13 @@ def _writing(folder: str, vocabulary: str, end_id: int):
         part = TaskContext.get().partitionId()
         name = f"part-{part:06d}-{uuid.uuid4().hex}.ids.zst"
         for batch in batches:
-            for row, doc_id, text in zip(*(batch.column(i).to_pylist() if i < 2 else batch.column(i) for i in range(3)), strict=True):
+            encoded = coder.encode_batch(batch.column(2).to_pylist())
+            for row, doc_id, ids in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), encoded, strict=True):
                 if writer is None:
                     store.create_dir(root, recursive=True)
                     out = store.open_output_stream(f"{root}/{name}", compression=None)
                     writer, first = FrameWriter(out, width), row
-                writer.add(doc_id, np.concatenate([np.frombuffer(coder.encode_ids(text.as_py()), "<u4"), end]))
+                writer.add(doc_id, np.concatenate([np.frombuffer(ids, "<u4"), end]))
         if writer is not None:
             writer.close()
             out.close()
@@ -164,7 +167,9 @@ def write_frames(docs: DataFrame, vocabulary: str, folder: str, end_id: int = 1)
     ship_package(spark)
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    ordered = rows.repartitionByRange(parts, "doc_id").sortWithinPartitions("doc_id")
+    # the hash of the text orders and spreads rows of one doc_id, were it that of a third of all rows
+    tied = rows.withColumn("tie", F.xxhash64("text"))
+    ordered = tied.repartitionByRange(parts, "doc_id", "tie").sortWithinPartitions("doc_id", "tie")
     placed = ordered.select(F.monotonically_increasing_id().alias("row"), "doc_id", "text")
     return materialise(placed.mapInArrow(_writing(folder, vocabulary, end_id), MANIFEST), "frame-manifest")
 

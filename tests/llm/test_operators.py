@@ -285,14 +285,60 @@ def test_forced_cuts_on_odd_texts():
         assert np.frombuffer(ids, "<u4").tolist() == e.ids and said.decode() == t.decode(e.ids, skip_special_tokens=False)
 
 
-def test_pretoken_pieces_are_certain():
+def test_pieces_are_certain():
     coder = bpe.ForcedCutEncoder(vocabulary())
     rng = np.random.default_rng(4)
+    cut = 0
     for _ in range(400):
-        word = "".join(rng.choice(list("abcdefghijklmnopqrstuvwxyzqqzzxxjj"), 40))
+        word = "".join(rng.choice(list("abcdefghijklmnopqrstuvwxyzqqzzxxjj"), 40)).encode()
         pieces = coder.pieces(word)
-        assert "".join(pieces) == word
-        assert [x.id for x in coder.encode_pretoken(word)] == [x.id for x in coder.last.tokenize(word)]
+        cut += len(pieces) > 1
+        assert b"".join(pieces) == word
+        assert coder.encode_word(word) == [x.id for x in coder.last.tokenize(word.decode())]
+    assert cut > 200
+
+
+def test_every_pair_of_latin_characters():
+    t, coder = Tokenizer.from_file(vocabulary()), bpe.ForcedCutEncoder(vocabulary())
+    texts = [f"ab{chr(a)}{chr(b)}'so" for a in range(256) for b in range(256)]
+    want = [e.ids for e in t.encode_batch(texts, add_special_tokens=False)]
+    assert [np.frombuffer(x, "<u4").tolist() for x in coder.encode_batch(texts)] == want
+
+
+def test_forced_cuts_make_the_fragments_of_documents(spark):
+    """Nearly all cuts are made by pairs that no token joins; thousands of them are inside words."""
+    coder = bpe.ForcedCutEncoder(vocabulary())
+    counts: Counter = Counter()
+    for (text,) in spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("text").toLocalIterator():
+        try:
+            run = (text or "").lower().encode("latin-1") + b"\n"
+        except UnicodeEncodeError:
+            continue
+        forced, ends = coder.cuts(run)
+        full = coder.classes[np.frombuffer(run, "u1")] != bpe.SPACE
+        counts["space"] += int((forced & (full[:-1] ^ full[1:])).sum())
+        counts["space, not forced"] += int((~forced & (full[:-1] ^ full[1:])).sum())
+        inside = full[:-1] & full[1:]
+        counts["word end"] += int((forced & ends & inside).sum())
+        counts["inside a word"] += int((forced & ~ends & inside).sum())
+        counts["pattern only"] += int((~forced & ends & inside).sum())
+    assert counts["space, not forced"] == 0 and counts["inside a word"] > 10_000
+    assert counts["pattern only"] < 0.01 * (counts["space"] + counts["word end"] + counts["inside a word"])
+
+
+def test_long_texts_go_in_parts(monkeypatch):
+    t, coder = Tokenizer.from_file(vocabulary()), bpe.ForcedCutEncoder(vocabulary())
+    monkeypatch.setattr(bpe, "RUN", 50)
+    monkeypatch.setattr(bpe, "FRAGMENTS_KEPT", 20)
+    texts = [" word qzqz'll né" * 90, None, "", "x" * 400, "日本 語 " * 40, BASE * 3]
+    assert [np.frombuffer(x, "<u4").tolist() for x in coder.encode_batch(texts)] == [t.encode(x or "", add_special_tokens=False).ids for x in texts]
+
+
+def test_other_kinds_of_vocabulary_are_refused():
+    import public_tokenizers
+
+    with pytest.raises(ValueError, match="certain cuts"):
+        bpe.ForcedCutEncoder(public_tokenizers.path("byte_bpe_50k.json"))
 
 
 @pytest.mark.parametrize("dim", [3, 16])
