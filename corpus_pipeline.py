@@ -2,11 +2,17 @@
 decisions take effect. Stages but the last return the columns of their input.
 
 1. quality classifier: documents scored below the threshold go
-2. line dedup: boilerplate lines leave the texts (n_chars follows); copies that consist of them stay for stage 3
+2. line dedup: boilerplate lines leave all texts that hold them (n_chars follows); every document stays
 3. SimHash near-dedup: one document of each group stays, the one with the smallest doc_id; fingerprints within 4 bits are
    linked, and texts of which 0.8 or more of the five-word shingles agree
 4. mixing: documents stand as often as the mix takes them, at most twice
 5. BPE: ids and decoded text of every document, as digests
+
+Defined cases, by stage: null and empty texts are scored like any other and go only if the classifier rejects them, lose no
+lines, are one group of near copies, weigh nothing in the mix (so it takes none of them) and have no ids; very long texts
+are taken whole everywhere; of documents that tie the smaller doc_id stays, then the smaller hash of the text; rows that
+agree in doc_id and text are one document from stage 3 on; an empty table stays empty, with its columns, through all
+stages; further columns, whatever their names, come along up to the last stage, which has its own.
 """
 
 from __future__ import annotations
@@ -23,7 +29,7 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return line_spread.remove_boilerplate(docs, rules=line_spread.SpreadRules(only_copies=True), length="n_chars" if "n_chars" in docs.columns else None)
+    return line_spread.remove_boilerplate(docs, length="n_chars" if "n_chars" in docs.columns else None)
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
