@@ -1,17 +1,20 @@
 """Line dedup by distinct-site spread: lines that many sites share are boilerplate and leave their documents.
 
-Every line hash gets a HyperLogLog sketch of the sites that have it; sketches merge by aggregation, so a line that stands
-in a third of all documents costs one sketch a task. Lines whose estimate is clearly under or over the threshold are
-settled by the sketch; those near it get an exact distinct count. Removed lines go back to documents by joins on the line
-hash and on doc_id. Only DataFrame functions are used.
+Every line hash gets two HyperLogLog sketches, of the sites that have it and of the texts that hold it; sketches merge by
+aggregation straight from the rows of lines, so a line that stands in a third of all documents costs one pair of sketches
+a task and no table of distinct (line, site) pairs is made. The sketches settle every line whose estimate is off the
+threshold by more than `sigmas` of their standard errors; the lines near it, and only those, get exact distinct counts.
+Removed lines go back to documents by joins on the line hash and on the document. Only DataFrame functions are used.
 
-A document that would lose more than `max_removed_share` of its words consists of shared lines and stays whole; with
-`only_copies`, only where another document has the same text (near-dedup is the operator for those).
+Boilerplate is a line on `min_sites` sites and in as many different texts. A document that was copied to many sites is
+one text, so its own lines stay, on all copies alike (near-dedup is the operator for copies). Every document that holds a
+boilerplate line loses it, however much of the document that is.
 
 Defined cases: lines are split at newlines and compared after trimming ASCII white space; blank lines are never
-boilerplate; a null text stays null and has no lines; a null site adds nothing to the spread; repeated rows add no
-further site; a document without doc_id counts for the spread and keeps its text; an empty table gives an empty result;
-all input columns are kept, whatever their names.
+boilerplate; a null text stays null and has no lines; a document that is all boilerplate keeps its row with an empty
+text; a null site adds nothing to the spread; repeated rows add no further site or text; rows that tie in doc_id are told
+apart by their texts; a document without doc_id counts and is cut like any other; very long texts are taken whole, in
+time linear in their lines; an empty table gives an empty result; all input columns are kept, whatever their names.
 """
 
 from __future__ import annotations
@@ -21,21 +24,24 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from sparkverdict.llm.common import SPACE_CHARS, SPACES, hidden, materialise
+from sparkverdict.llm.common import SPACE_CHARS, hidden, materialise
 
 
 @dataclass(frozen=True)
 class SpreadRules:
-    #: Distinct sites from which a line is boilerplate.
+    #: Distinct sites, and distinct texts, from which a line is boilerplate.
     min_sites: int = 10
-    #: Estimates within this factor of the threshold are counted exactly.
-    near: float = 2.0
-    max_removed_share: float = 0.5
-    #: Only documents whose text another doc_id has too may stay whole.
-    only_copies: bool = False
-    #: log2 of the sketch's size; up to a few hundred sites its error is far below `near`.
+    #: Estimates within so many standard errors of the threshold are counted exactly.
+    sigmas: float = 6.0
+    #: log2 of the sketch's size.
     lg_k: int = 12
 
+    @property
+    def band(self) -> tuple[float, float]:
+        """Estimates between these two say too little."""
+        off = self.sigmas * 1.04 / 2 ** (self.lg_k / 2)
+        return self.min_sites * (1 - off), self.min_sites * (1 + off)
+
 
 def _line_key(line: Column) -> Column:
     return F.xxhash64(F.btrim(line, F.lit(SPACE_CHARS)))
@@ -45,47 +51,46 @@ def _blank(line: Column) -> Column:
     return F.length(F.btrim(line, F.lit(SPACE_CHARS))) == 0
 
 
-def line_sites(docs: DataFrame, site: str = "source") -> DataFrame:
-    """Distinct (line hash, site hash), a narrow table of the shared folder."""
-    lines = docs.select(F.xxhash64(F.col(site)).alias("s"), F.col(site).isNull().alias("none"), F.explode(F.split("text", "\n")).alias("line"))
-    rows = lines.filter(~_blank(F.col("line"))).select(_line_key(F.col("line")).alias("h"), F.when(~F.col("none"), F.col("s")).alias("s"))
-    return rows.groupBy("h", "s").agg(F.count(F.lit(1)).alias("n"))
+def line_rows(docs: DataFrame, site: str = "source") -> DataFrame:
+    """One narrow row per line that is not blank: doc_id, t (hash of the text), pos, h (hash of the line), s (of the site)."""
+    text = docs.select("doc_id", F.xxhash64("text").alias("t"), F.when(F.col(site).isNotNull(), F.xxhash64(F.col(site))).alias("s"), F.posexplode(F.split("text", "\n")).alias("pos", "line"))
+    return text.filter(~_blank(F.col("line"))).select("doc_id", "t", "pos", _line_key(F.col("line")).alias("h"), "s")
+
+
+def sketched(lines: DataFrame, rules: SpreadRules = SpreadRules()) -> DataFrame:
+    """h with the estimates of its sites and of its texts."""
+    sketch = lambda c: F.hll_sketch_estimate(F.hll_sketch_agg(c, F.lit(rules.lg_k)))
+    return lines.filter(F.col("s").isNotNull()).groupBy("h").agg(sketch("s").alias("sites"), sketch("t").alias("texts"))
 
 
-def boilerplate(pairs: DataFrame, rules: SpreadRules = SpreadRules()) -> DataFrame:
-    """Hashes of lines on at least min_sites distinct sites."""
-    sketched = pairs.groupBy("h").agg(F.hll_sketch_agg("s", F.lit(rules.lg_k)).alias("sketch"), F.count("s").alias("rows"))
-    # a line with fewer rows than the threshold can't reach it
-    rated = materialise(sketched.filter(F.col("rows") >= rules.min_sites).select("h", F.hll_sketch_estimate("sketch").alias("sites")), "line-spread")
-    sure = rated.filter(F.col("sites") > rules.min_sites * rules.near).select("h")
-    near = rated.filter(F.col("sites").between(rules.min_sites / rules.near, rules.min_sites * rules.near)).select("h")
-    exact = pairs.join(near, "h", "left_semi").groupBy("h").agg(F.countDistinct("s").alias("sites"))
-    return sure.union(exact.filter(F.col("sites") >= rules.min_sites).select("h"))
+def boilerplate(lines: DataFrame, rules: SpreadRules = SpreadRules()) -> DataFrame:
+    """Hashes of lines on at least min_sites distinct sites and in as many distinct texts."""
+    low, high = rules.band
+    least = F.least("sites", "texts")
+    rated = materialise(sketched(lines, rules).filter(least >= low), "line-spread")
+    sure = rated.filter(least > high).select("h")
+    near = rated.filter(least <= high).select("h")
+    exact = lines.filter(F.col("s").isNotNull()).join(near, "h", "left_semi").groupBy("h").agg(F.countDistinct("s").alias("sites"), F.countDistinct("t").alias("texts"))
+    return sure.union(exact.filter(F.least("sites", "texts") >= rules.min_sites).select("h"))
 
 
 def _cut(docs: DataFrame, rules: SpreadRules) -> DataFrame:
     """A table whose other columns have working names, with doc_id, site and text: the text that stays, and _removed_lines."""
-    pairs = materialise(line_sites(docs, "site"), "line-sites")
-    bad = materialise(boilerplate(pairs, rules), "line-bad")
-    lines = docs.filter(F.col("doc_id").isNotNull()).select("doc_id", F.explode(F.array_distinct(F.transform(F.split("text", "\n"), lambda x: F.when(~_blank(x), _line_key(x))))).alias("h"))
-    hits = lines.filter(F.col("h").isNotNull()).join(bad, "h").groupBy("doc_id").agg(F.collect_set("h").alias("_bad"))
-    if rules.only_copies:
-        prints = docs.filter(F.col("doc_id").isNotNull()).select("doc_id", F.xxhash64("text").alias("t"))
-        copied = prints.groupBy("t").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).filter("first < last").select("t")
-        copies = prints.join(copied, "t").groupBy("doc_id").agg(F.collect_set("t").alias("_copies"))
-        hits = hits.join(copies, "doc_id", "left")
-    joined = docs.join(hits.withColumnRenamed("doc_id", "_hit_id"), F.col("doc_id") == F.col("_hit_id"), "left").drop("_hit_id")
-    gone = lambda x: F.coalesce(F.array_contains("_bad", _line_key(x)), F.lit(False)) & ~_blank(x)
-    cut = joined.withColumn("_kept", F.when(F.col("_bad").isNotNull(), F.filter(F.split("text", "\n"), lambda x: ~gone(x))))
-    cut = cut.withColumn("_cut_text", F.array_join("_kept", "\n"))
-    count = lambda c: F.size(F.array_remove(F.split(c, SPACES), ""))
-    whole = F.when(F.col("_bad").isNotNull(), count(F.col("text")) - count(F.col("_cut_text")) > rules.max_removed_share * count(F.col("text"))).otherwise(F.lit(True))
-    if rules.only_copies:
-        whole = whole & (F.col("_bad").isNull() | F.coalesce(F.array_contains("_copies", F.xxhash64("text")), F.lit(False)))
-    cut = cut.withColumn("_whole", whole)
-    removed = F.when(F.col("_whole"), F.lit(0)).otherwise(F.size(F.split("text", "\n")) - F.size("_kept"))
-    cut = cut.withColumn("_removed_lines", removed.cast("long")).withColumn("text", F.when(F.col("_whole"), F.col("text")).otherwise(F.col("_cut_text")))
-    return cut.drop("_bad", "_copies", "_kept", "_cut_text", "_whole")
+    lines = materialise(line_rows(docs, "site"), "line-rows")
+    bad = materialise(boilerplate(lines, rules), "line-bad")
+    # what one document loses is bounded by its own lines; a null doc_id is spread by the hash of the text
+    hits = lines.join(bad, "h").groupBy("doc_id", "t").agg(F.collect_set("pos").alias("_gone")).withColumnsRenamed({"doc_id": "_hit_id", "t": "_hit_text"})
+    same = F.col("doc_id").eqNullSafe(F.col("_hit_id")) & (F.xxhash64("text") == F.col("_hit_text"))
+    joined = docs.join(hits, same, "left").drop("_hit_id", "_hit_text")
+    split = joined.withColumn("_lines", F.when(F.col("_gone").isNotNull(), F.split("text", "\n")))
+    kept = F.array_except(F.sequence(F.lit(0), F.size("_lines") - 1), "_gone")  # by a hash set, in order
+    cut = F.array_join(F.transform(kept, lambda i: F.get(F.col("_lines"), i)), "\n")
+    return (
+        split.withColumn("text", F.when(F.col("_gone").isNotNull(), cut).otherwise(F.col("text")))
+        .withColumn("_removed_lines", F.coalesce(F.size("_gone"), F.lit(0)).cast("long"))
+        .withColumn("_removed_lines", F.greatest("_removed_lines", F.lit(0)))
+        .drop("_gone", "_lines")
+    )
 
 
 def remove_boilerplate(docs: DataFrame, site: str = "source", rules: SpreadRules = SpreadRules(), length: str | None = None) -> DataFrame:

@@ -29,17 +29,16 @@ FROM judged j LEFT JOIN v ON j.source = v.source
 
 
 _OP4 = r"""
-WITH l AS (SELECT doc_id, source, pos, line, trim(line, chr(32) || chr(9) || chr(10) || chr(11) || chr(12) || chr(13)) AS k
-           FROM (SELECT doc_id, source, generate_subscripts(ls, 1) AS pos, unnest(ls) AS line
-                 FROM (SELECT doc_id, source, string_split(text, chr(10)) AS ls FROM documents WHERE text IS NOT NULL))),
-bad AS (SELECT k FROM l WHERE k <> '' GROUP BY k HAVING count(DISTINCT source) >= 10),
-m AS (SELECT l.*, bad.k IS NOT NULL AS gone, len(regexp_extract_all(line, '[^\x20\x09-\x0D]+')) AS w FROM l LEFT JOIN bad ON l.k = bad.k),
-r AS (SELECT doc_id, count(*) AS n_lines, count(*) FILTER (gone) AS n_gone,
-             coalesce(sum(w) FILTER (gone), 0) > 0.5 * sum(w) AS whole,
-             string_agg(line, chr(10) ORDER BY pos) FILTER (NOT gone) AS cut FROM m GROUP BY doc_id)
-SELECT d.doc_id, coalesce(n_lines, 0)::BIGINT AS n_lines, CASE WHEN whole THEN 0 ELSE coalesce(n_gone, 0) END::BIGINT AS n_removed,
-       CASE WHEN n_gone IS NULL OR n_gone = 0 OR whole THEN d.text ELSE coalesce(cut, '') END AS text
-FROM documents d LEFT JOIN r USING (doc_id)
+WITH l AS (SELECT doc_id, source, text, pos, line, trim(line, chr(32) || chr(9) || chr(10) || chr(11) || chr(12) || chr(13)) AS k
+           FROM (SELECT doc_id, source, text, generate_subscripts(ls, 1) AS pos, unnest(ls) AS line
+                 FROM (SELECT doc_id, source, text, string_split(text, chr(10)) AS ls FROM documents WHERE text IS NOT NULL))),
+bad AS (SELECT k FROM l WHERE k <> '' AND source IS NOT NULL GROUP BY k HAVING count(DISTINCT source) >= 10 AND count(DISTINCT text) >= 10),
+m AS (SELECT l.*, bad.k IS NOT NULL AS gone FROM l LEFT JOIN bad ON l.k = bad.k),
+r AS (SELECT doc_id, text, count(DISTINCT pos) AS n_lines, count(DISTINCT pos) FILTER (gone) AS n_gone,
+             string_agg(line, chr(10) ORDER BY pos) FILTER (NOT gone) AS cut FROM m GROUP BY doc_id, text)
+SELECT d.doc_id, coalesce(n_lines, 0)::BIGINT AS n_lines, coalesce(n_gone, 0)::BIGINT AS n_removed,
+       CASE WHEN n_gone IS NULL OR n_gone = 0 THEN d.text ELSE coalesce(cut, '') END AS text
+FROM documents d LEFT JOIN r ON d.doc_id = r.doc_id AND d.text = r.text
 """
 
 _OP6 = r"""

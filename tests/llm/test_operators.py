@@ -186,6 +186,29 @@ def test_copies_keep_their_lines_and_threshold_is_exact(spark):
     assert all(got[i].n_removed == 0 for i in [*range(30), *range(100, 140)]) and all(got[i].n_removed == 1 for i in range(200, 240))
 
 
+def test_the_sketch_settles_lines_off_the_threshold(spark):
+    """Only lines near the threshold are counted exactly: with the sketch's estimates alone the others are the same."""
+    rows = [(100 * n + i, f"line of {n} sites\nown text {n} {i}", f"s{i}") for n in (2, 9, 10, 11, 12, 40, 300) for i in range(n)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    rules = line_spread.SpreadRules()
+    lines = line_spread.line_rows(docs)
+    low, high = rules.band
+    assert 9 < low < 10 < high < 11
+    rated = {round(r.sites): (r.sites, r.texts) for r in line_spread.sketched(lines, rules).collect()}
+    assert set(rated) >= {1, 2, 9, 10, 11, 12, 40} and any(abs(n - 300) < 20 for n in rated)
+    bad = {r.h for r in line_spread.boilerplate(lines, rules).collect()}
+    assert len(bad) == 5
+    # a coarse sketch sends more lines to the exact count, with the same result
+    coarse = line_spread.SpreadRules(lg_k=4)
+    assert coarse.band[0] < 0 and {r.h for r in line_spread.boilerplate(lines, coarse).collect()} == bad
+
+
+def test_line_spread_of_a_very_long_text(spark):
+    rows = [(i, "\n".join(["shared by all", *[f"own {i} {j}" for j in range(20_000 if i == 0 else 3)], "shared by all"]), f"s{i}") for i in range(10)]
+    got = {r.doc_id: r for r in line_spread.deduplicated_lines(spark.createDataFrame(rows, "doc_id long, text string, source string")).collect()}
+    assert all(r.n_removed == 2 and r.text == rows[i][1].removeprefix("shared by all\n").removesuffix("\nshared by all") for i, r in got.items())
+
+
 def hash_long(x: int, seed: int) -> int:
     return xxhash.xxh64_intdigest((x & (1 << 64) - 1).to_bytes(8, "little"), seed)
 
