@@ -429,6 +429,9 @@ def page(body, head=""):
         (page("<article><p>A</p><!-- x <p>no</p> --><div class=comments><p>c</p><article class=comment>d</article></div><script>var a='</p>';</script><p>B</article>"), "A\nB"),
         (page("<main><ul><li>x<li>y</ul><table><tr><td>1<td>2</table></main><p>out"), "x\ny\n1 2"),
         ("<p>broken <a href='unclosed>tail <b", "broken tail"), ("<!-- never closed <p>x", ""), ("<script>if (a<b) x", ""),
+        (page("<article><header class='entry-header'><h1>Title</h1></header><p>A</p></article>"), "Title\nA"),
+        (page("<article><h1 class=header>Title</h1><p>A</p><section class=related-work><h2>Related work</h2><p>B</p></section><div class='related-posts'>x</div><aside>y</aside></article>"), "Title\nA\nRelated work\nB"),
+        (page("<div class='site_header2'>x</div><ul class=menu><li>m</ul><div id=comments><p>c</p></div><div class=headers-explained>About headers</div>"), "About headers"),
         (page("<header>site</header><div class=cookie-notice>ok?</div><p>Body &#8364; &nbsp; end</p>"), "Body € end"),
     ],
 )
@@ -447,3 +450,31 @@ def test_style_tree_removes_what_a_site_repeats(spark):
     assert got[3].text == "Own text 3 of page.\nAnd 21 more." and got[3].n_chars == len(got[3].text)
     assert got[102].text.startswith("Welcome") and got[100].text.startswith("Welcome") and got[101].text == "" and len(got) == 15
     assert site_tree.extract(df.filter("page_id < 0")).collect() == []
+
+
+def test_trees_alone_find_the_articles_of_the_given_pages(spark):
+    """Without names and marks the trees give the same texts; without the trees every page has its menu and advert."""
+    pages = spark.read.parquet("/root/testdata/sf0.1/pages.parquet")
+    full, trees, neither = (
+        {r.page_id: r.text for r in site_tree.extract(pages, rules).collect()}
+        for rules in (site_tree.Rules(), site_tree.Rules(named=False, marked=False), site_tree.Rules(named=False, marked=False, low=0.0, low_inside=0.0))
+    )
+    assert len(full) == 2500 and trees == full and not any(neither[i] == full[i] for i in full)
+
+
+def test_copies_of_pages_are_no_template(spark):
+    """A host that has one page in many copies, or two, keeps its text; one with few pages too."""
+    rows = [(i, "http://copies.example/", page("<div><p>The one text of this host.</p></div>")) for i in range(40)]
+    rows += [(100 + i, "http://two.example/", page(f"<div><p>Text of {'first' if i % 2 else 'second'} kind.</p></div>")) for i in range(40)]
+    rows += [(200 + i, "http://few.example/", page(f"<div class=lead>Same lead</div><div><p>Text {'abc'[i]} of a kind.</p></div>")) for i in range(3)]
+    got = {r.page_id: r.text for r in site_tree.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert got[7] == "The one text of this host." and got[101] == "Text of first kind." and got[201] == "Same lead\nText b of a kind."
+
+
+def test_long_and_deep_pages_take_linear_time():
+    import time
+
+    began = time.process_time()
+    wide = site_tree.main_text("<div>" + "".join(f"<div class=x><p>t{i}</div>" for i in range(60_000)))
+    deep = site_tree.main_text("<div>" * 60_000 + "end" + "</b></p></li>" * 60_000)
+    assert wide.count("\n") == 59_999 and deep == "end" and time.process_time() - began < 30
