@@ -9,8 +9,8 @@ the queue is cut where the total budget is reached.
 Both running sums are made task by task over ranges and shifted by the sums of the tasks before, so one source may hold
 any share of the rows. The table of sources is small and the only thing joined without a range.
 
-Defined cases: a null text has no words; documents without words are never taken; ties of the hash are ordered by doc_id;
-repeated rows are queued one by one and reported one by one; an empty table gives an empty result; extra columns are
+Defined cases: a null text has no words; documents without words are never taken; very long texts are counted whole; ties of the hash are
+ordered by doc_id; repeated rows are queued one by one and reported one by one; an empty table gives an empty result; extra columns are
 ignored by the report and kept by `mixed_documents`.
 """
 

@@ -9,8 +9,8 @@ Only column functions are used and no row needs another, but for the slots: rang
 task and shifted by the sums of the tasks before, so a shard of any size is spread over many tasks.
 
 Defined cases: the size of a null text is that of no bytes, its crc32 that of the empty string; a null doc_id draws like
-the hash seed alone and sorts last; repeated rows land in one shard with a slot each; an empty table gives an empty
-result; extra columns are ignored.
+the hash seed alone and sorts last; rows that tie in doc_id are numbered by a hash of their texts; repeated rows land in
+one shard with a slot each; very long texts are only measured; an empty table gives an empty result; extra columns are ignored.
 """
 
 from __future__ import annotations

@@ -4,7 +4,8 @@ The whole path is DataFrame functions. One row needs no other row for its text r
 the narrow rule rows are written to the shared folder, aggregated by host and joined back.
 
 Defined cases: null text has no words and so fails the word minimum; a null host forms no host and gets no verdict (its
-documents are kept unless they fail themselves); repeated rows count once each; an empty table gives an empty result;
+documents are kept unless they fail themselves); a rate of exactly the limit fails its host; repeated rows count once each;
+very long texts are taken whole, in memory and time about linear in their words; an empty table gives an empty result;
 extra columns of the input are ignored.
 """
 
@@ -18,6 +19,7 @@ from pyspark.sql import functions as F
 from sparkverdict.llm.common import materialise, words
 
 WINDOW = 8
+SALTS = 64
 SYMBOLS = r"[#*$%&|<>]"
 
 
@@ -93,8 +95,10 @@ def host_verdicts(rows: DataFrame, rules: HostRules = HostRules()) -> DataFrame:
 
 def apply_host_rules(docs: DataFrame, host: str = "source", rules: HostRules = HostRules()) -> DataFrame:
     rows = materialise(rule_rows(docs, host, rules), "host-rules")
-    verdicts = host_verdicts(rows, rules).select("host", "host_failed")
-    joined = rows.join(verdicts, "host", "left").withColumn("host_failed", F.coalesce("host_failed", F.lit(False)))
+    # a host may have a third of all rows: its one verdict is copied SALTS times and its rows are spread over the copies
+    verdicts = host_verdicts(rows, rules).filter("host_failed").select("host", "host_failed", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
+    spread = rows.withColumn("salt", F.pmod(F.xxhash64("doc_id", "n_words", "word_chars"), F.lit(SALTS)).cast("int"))
+    joined = spread.join(verdicts, ["host", "salt"], "left").withColumn("host_failed", F.coalesce("host_failed", F.lit(False)))
     return joined.select(
         "doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed",
         (~F.col("base_failed") & ~F.col("host_failed")).alias("kept"), "host_failed",

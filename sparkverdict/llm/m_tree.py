@@ -13,11 +13,13 @@ ties go to the smaller vec_id. Bounds have a slack above the rounding of floatin
 
 Candidates are dealt into blocks by a hash of vec_id and queries into blocks by their id; each pair of blocks is one group
 (a stated query set against all rows, in blocks), builds its tree, and returns k rows a query; those meet in a ranking per
-query, which keeps k while it reads. Equal vectors of a block become one entry with its k + 1 smallest ids.
+query, which keeps k while it reads. Equal vectors of a block become one entry with its k + 1 smallest ids. A tree is
+built once for each block of queries, which is large, so that building is a small part of the search.
 
 Defined cases: vectors that are null, empty or hold null or non-finite components take no part, nor do rows with a null
 vec_id; vectors of different lengths are compared within their length only; the query's own vec_id is never a candidate;
-repeated vec_ids are repeated candidates; an empty table gives an empty result; extra columns are ignored.
+repeated vec_ids are repeated candidates and, as queries, one ranking over the answers of all their rows; scores that tie go
+to the smaller vec_id; very long vectors are compared whole; an empty table gives an empty result; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -38,7 +40,9 @@ PAGE = 128
 SCALE = 64
 #: Rows of a candidate block and of a query block, on average.
 CANDIDATES = 32_768
-QUERIES = 2_048
+QUERIES = 32_768
+#: Blocks may be this small where there are tasks to spare.
+LEAST_CANDIDATES = 4_096
 SLACK = 1e-6
 
 
@@ -183,7 +187,8 @@ def top_k(vectors: DataFrame, vector: str = "embedding", k: int = K, every: int
     ship_package(spark)
     rows = usable(vectors, vector)
     n = rows.count()
-    c_blocks, q_blocks = max(1, -(-n // CANDIDATES)), max(1, -(-n // every // QUERIES))
+    c_blocks = max(1, -(-n // CANDIDATES), min(spark.sparkContext.defaultParallelism, n // LEAST_CANDIDATES))
+    q_blocks = max(1, -(-n // every // QUERIES))
     place = lambda name, blocks: F.pmod(F.xxhash64("vec_id", F.lit(name)), F.lit(blocks)).cast("int")
     candidates = rows.withColumn("cb", place("candidate", c_blocks)).withColumn("qb", F.explode(F.sequence(F.lit(0), F.lit(q_blocks - 1)))).withColumn("is_query", F.lit(False))
     queries = rows.filter(F.col("vec_id") % every == 0).withColumn("qb", place("query", q_blocks)).withColumn("cb", F.explode(F.sequence(F.lit(0), F.lit(c_blocks - 1)))).withColumn("is_query", F.lit(True))

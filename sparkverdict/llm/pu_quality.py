@@ -11,8 +11,9 @@ Fitting uses a bounded sample (`max_positive`, `max_unlabelled` rows, chosen by
 the driver); scoring runs over every whole text in the workers, one Arrow batch at a time.
 
 Defined cases: null and empty texts are scored like any other (features of no words); without positives or unlabelled
-rows all scores are 0.5; labels that occur twice or are null count as the hash order finds them, nulls never; repeated
-rows get equal scores; an empty table gives an empty result; extra columns are ignored, and lang, source and doc_id are
+rows all scores are 0.5; a null label never counts, and a doc_id with both labels is a trusted positive; texts that tie
+get equal scores, and so do repeated rows; very long texts are read whole, in memory linear in them; a score of exactly the
+threshold is accepted; an empty table gives an empty result; extra columns are ignored, and lang, source and doc_id are
 never inputs.
 """
 

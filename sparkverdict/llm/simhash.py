@@ -8,18 +8,22 @@ missed, and the tables need no luck.
 
 Copies cost nothing: equal fingerprints meet in one aggregation and only distinct fingerprints enter the tables. In a
 bucket no pairs are emitted: a search from member to member compares each one with those not reached yet, and the
-bucket's connected members leave as a chain, at most one row each. The chains of all tables go through rounds of
-parent hooking and shortcutting (joins and min-aggregations on tables written to the shared folder).
+bucket's connected members leave as a chain, at most one row each. A bucket of more than WIDE members (fingerprints may
+agree on half of the bits by the million) is covered again by finer tables, whose buckets are small by construction. The
+chains of all tables go through rounds of parent hooking and shortcutting (joins and min-aggregations on tables written
+to the shared folder).
 
 Defined cases: null, empty and blank texts have the fingerprint zero and are linked like any other; texts of fewer words
-than a shingle have one shingle, their whole word sequence; a null doc_id takes part and gets its group's smallest doc_id
-(null if its group has none); repeated rows give repeated result rows; an empty table gives an empty result; extra
+than a shingle have one shingle, their whole word sequence; very long texts are taken whole, their shingles in chunks; a
+null doc_id takes part and gets its group's smallest doc_id
+(null if its group has none); repeated rows give repeated result rows; a bit set in exactly half of the shingles is 0; an empty table gives an empty result; extra
 columns are ignored.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
@@ -35,6 +39,8 @@ SEED = 42
 RADIUS = 4
 #: Shingle hashes whose bits are counted at once.
 CHUNK = 1 << 16
+#: Buckets with more members are covered again.
+WIDE = 1 << 15
 #: Members that are compared with one member at once.
 BLOCK = 1 << 20
 
@@ -147,13 +153,36 @@ def table_rows(distinct: DataFrame, radius: int = RADIUS) -> DataFrame:
     return distinct.select("fp", "id", F.explode(cells).alias("c")).select(F.col("c.t").alias("t"), F.col("c.key").alias("key"), "fp", "id")
 
 
-def links(distinct: DataFrame, radius: int = RADIUS) -> DataFrame:
-    """Edges (a, b) of ids that join exactly the fingerprints connected by links within the radius, bucket by bucket."""
+def finer_masks(radius: int = RADIUS) -> list[tuple[int, int, int]]:
+    """(table, finer table, mask) for buckets of many members: the positions that a table's mask leaves free are dealt into
+    2 * radius segments, of which at most `radius` hold a difference; so each pair within the radius that meets in the
+    bucket agrees in some `radius` segments, and meets again under the mask with those segments added. A bucket of a finer
+    table holds at most 2^(half of the free positions) fingerprints, about 2^16 for 64 bits."""
+    finer, found = len(masks(radius)), []
+    for t, m in enumerate(masks(radius)):
+        free = [i for i in range(64) if not m >> i & 1]
+        segments = [sum(1 << i for i in free[n :: 2 * radius]) for n in range(2 * radius)]
+        for chosen in combinations(segments, radius):
+            found.append((t, finer, signed(m | sum(chosen))))
+            finer += 1
+    return found
+
+
+def links(distinct: DataFrame, radius: int = RADIUS, wide: int = WIDE) -> DataFrame:
+    """Edges (a, b) of ids that join exactly the fingerprints connected by links within the radius, bucket by bucket; a
+    bucket of more than `wide` members is covered again by finer tables, so no task gets an unbounded bucket."""
     spark = distinct.sparkSession
     ship_package(spark)
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    rows = table_rows(distinct, radius).repartition(parts, "t", "key").sortWithinPartitions("t", "key")
-    return rows.mapInArrow(_links(radius), "a long, b long").distinct()
+    rows = table_rows(distinct, radius)
+    crowded = materialise(rows.groupBy("t", "key").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") > wide).select("t", "key"), "simhash-wide")
+    if crowded.limit(1).count():
+        # as many rows as there are finer tables, some thousands for radius 4, whatever the data
+        finer = F.broadcast(spark.createDataFrame(finer_masks(radius), "t int, finer int, mask long"))
+        split = rows.join(crowded, ["t", "key"], "left_semi").join(finer, "t").select(F.col("finer").alias("t"), F.col("fp").bitwiseAND(F.col("mask")).alias("key"), "fp", "id")
+        rows = rows.join(crowded, ["t", "key"], "left_anti").select("t", "key", "fp", "id").union(split)
+    dealt = rows.repartition(parts, "t", "key").sortWithinPartitions("t", "key")
+    return dealt.mapInArrow(_links(radius), "a long, b long").distinct()
 
 
 def components(edges: DataFrame) -> DataFrame:

@@ -164,6 +164,29 @@ def test_links_and_components_of_random_fingerprints(spark):
     assert {int(i): find(int(i)) for i in ids} == {int(i): got.get(int(i), int(i)) for i in ids}
 
 
+def test_crowded_buckets_are_covered_again(spark):
+    """With buckets of three members at most, the finer tables lose no link; each finer bucket is small by its mask."""
+    assert max(64 - (m & (1 << 64) - 1).bit_count() for _, _, m in simhash.finer_masks()) <= 18
+    rng = np.random.default_rng(11)
+    centre = np.uint64(rng.integers(0, 1 << 63))
+    prints = np.unique(np.asarray([centre ^ np.bitwise_or.reduce(np.uint64(1) << rng.integers(0, 64, rng.integers(1, 12), dtype="u8")) for _ in range(700)]))
+    distinct = spark.createDataFrame([(simhash.signed(int(p)), i) for i, p in enumerate(prints)], "fp long, id long").cache()
+    groups = [{r.node: r.root for r in simhash.components(simhash.links(distinct, wide=wide)).collect()} for wide in (simhash.WIDE, 3)]
+    root = list(range(len(prints)))
+
+    def find(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    for n, p in enumerate(prints):
+        for j in np.flatnonzero(np.bitwise_count(prints[:n] ^ p) <= 4):
+            a, b = sorted((find(n), find(int(j))))
+            root[b] = a
+    want = {i: find(i) for i in range(len(prints))}
+    assert all({i: g.get(i, i) for i in want} == want for g in groups) and len(set(want.values())) > 1
+
+
 def test_null_ids_take_part(spark):
     rows = [(None, BASE), (7, BASE), (None, "quite another text with some words of its own here")]
     got = {(r.doc_id, r.component_id) for r in simhash.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
