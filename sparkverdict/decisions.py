@@ -13,9 +13,10 @@ from sparkverdict.functions import truth
 from sparkverdict.operators import metrics, provenance, relevance
 from sparkverdict.operators.cache import PromptCache, answers
 from sparkverdict.operators.confseq import bonferroni, geometric
+from sparkverdict.operators.engine import verify
 from sparkverdict.operators.models import RuleModel
 from sparkverdict.plans.claims import EXISTS, FORALL, Claim, Quantified, count, share
-from sparkverdict.plans.optimizer import choose_order
+from sparkverdict.plans.optimizer import VerifyOptions, choose_order
 from sparkverdict.session import shared_dir
 from sparkverdict.sources.relations import base, relation, stems
 
@@ -164,11 +165,15 @@ Q["metric_a6"] = heat
 SQL["metric_a6"] = "SELECT source AS claim_id, " + ", ".join(f"count(*) FILTER (doc_id % 3 = {i} AND doc_id % 7 <> 0) AS r{i}" for i in range(3)) + " FROM documents GROUP BY 1"
 
 # --- citations of the comparisons that look down ---
+#: Claim, which sign is cited (0: both) and how many rows in the order of doc_id.
 _CITED = {
     "v11": (share(">=", Fraction(1, 100)), 1, "(SELECT ceil(count(*) / 100.0)::BIGINT FROM documents)"),
-    "v14": (count("==", 1), 1, "2"),
+    "v12": (count(">=", 10**6), 0, None),
+    "v13": (count("==", 3), 0, None),
+    "v14": (count("!=", 1), 0, None),
     "v15_le": (count("<=", 1), 1, "2"),
-    "v15_lt": (share("<", Fraction(9, 10)), -1, "(SELECT count(*) - ceil(count(*) * 9 / 10.0)::BIGINT + 1 FROM documents)"),
+    "v15_gt": (count(">", 10**6), 0, None),
+    "v15_lt": (share("<", Fraction(9, 10)), 0, None),
 }
 
 
@@ -178,7 +183,33 @@ def _cite(claim: Claim) -> Query:
 
 for _id, (_test, _sign, _limit) in _CITED.items():
     Q[f"prov_{_id}"] = _cite(Claim(_id, "documents", Quantified(_test, truth.abuse)))
-    SQL[f"prov_{_id}"] = f"SELECT '{_id}' AS claim_id, NULL::VARCHAR AS grp, doc_id AS tuple_id, {_sign}::BIGINT AS sign FROM documents WHERE coalesce({truth.abuse.sql}, false) = {str(_sign > 0).lower()} ORDER BY doc_id LIMIT {_limit}"
+    _hit = f"coalesce({truth.abuse.sql}, false)"
+    SQL[f"prov_{_id}"] = f"SELECT '{_id}' AS claim_id, NULL::VARCHAR AS grp, doc_id AS tuple_id, CASE WHEN {_hit} THEN 1 ELSE -1 END::BIGINT AS sign FROM documents" + (f" WHERE {_hit} = {str(_sign > 0).lower()} ORDER BY doc_id LIMIT {_limit}" if _limit else "")
+
+# --- citations from what a run has answered, without asking again ---
+_NEVER = Claim("never", "documents", Quantified(EXISTS, truth.secret & truth.card), truth.symbolic("lang", "=", "fr"))
+_ALWAYS = Claim("always", "documents", Quantified(FORALL, ~truth.abuse), truth.symbolic("lang", "=", "fr"))
+_SOME = Claim("some", "documents", Quantified(EXISTS, truth.lic))
+_MANY = Claim("many", "documents", Quantified(share(">=", Fraction(1, 5)), truth.long))
+_FEW = Claim("few", "documents", Quantified(share(">=", Fraction(4, 5)), truth.long))
+
+
+def _run_cite(claim: Claim, options: VerifyOptions) -> Query:
+    def query(spark: SparkSession, sf_dir: str) -> DataFrame:
+        df = relation(spark, sf_dir, claim.relation)
+        tokens = provenance.cite_run(claim, verify(claim, df, options))
+        return tokens.select("claim_id", "grp", "tuple_id", F.col("sign").cast("long").alias("sign"))
+
+    return query
+
+
+for _name, _claim, _options in (
+    ("v5", _SOME, VerifyOptions.exact()), ("v7_run", _NEVER, VerifyOptions.exact()), ("v8_run", _ALWAYS, VerifyOptions.exact()),
+    ("v11_run", _MANY, VerifyOptions()), ("v12_run", _FEW, VerifyOptions()),
+):
+    Q[f"prov_{_name}"] = _run_cite(_claim, _options)
+for _name, _claim, _sign in (("v7_run", _NEVER, -1), ("v8_run", _ALWAYS, 1)):
+    SQL[f"prov_{_name}"] = f"SELECT '{_claim.claim_id}' AS claim_id, NULL::VARCHAR AS grp, doc_id AS tuple_id, {_sign}::BIGINT AS sign FROM documents WHERE coalesce({_claim.form.phi.sql}, false) = {str(_sign > 0).lower()} AND lang = 'fr'"
 
 
 def queries() -> dict[str, Query]:

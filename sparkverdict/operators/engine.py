@@ -1,9 +1,16 @@
 """Runs a planned claim with as few semantic calls as its tests need.
 
 Ungrouped claims read waves of rows in a fixed order (by relevance, or by a seeded hash of the row's id) and stop at the
-first row that settles the test. Rows that a wave read past that point count as overshoot, nothing else. Grouped claims
-give whole groups to a table function that reads each group in order and skips the rest of a settled one; groups come in
-waves too, in the order of a seeded hash, until the outer test settles. Ranks need every row and get one aggregation.
+first row that settles the test. Rows that a wave read past that point count as overshoot, nothing else. Waves grow
+geometrically, each writes its answers to the shared folder (citations are taken from there, and no answer is lost with an
+executor), and the driver sees a place and some bits of each row, of one wave at a time. Without early stopping a claim
+is one aggregation. Grouped claims give whole groups to a table function that reads each group in order and skips the rest
+of a settled one; groups come in waves too, by a seeded hash or by relevance, until the outer test settles; deeper levels
+fold up in Spark. With group_exec='hash' every row is answered and groups are plain aggregates, so that a group of any
+size is spread over tasks. Ranks need every row and get one aggregation.
+
+Rows are told apart by their relation's key. Where a key is null or repeated, rows get ids of the engine's own, so that
+none is lost or multiplied; tokens then cite those ids.
 
 At scale: the order is a narrow table of (id, place); texts are joined to it only for the stage at hand (a bounded prefix
 of places, written sorted by place so that a wave reads a few row groups), and no row of text is sorted globally.
@@ -11,6 +18,7 @@ of places, written sorted by place so that a wave reads a few row groups), and n
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -50,6 +58,8 @@ class Result:
     #: At most SAMPLE_TOKENS signed (group, tuple_id, sign); provenance.cite() gives all of them as a DataFrame.
     tokens: list[tuple] = field(default_factory=list)
     plan: Plan | None = None
+    #: What the run has answered up to its end, as a written table: tid, pos, hit (of the first test).
+    answers: DataFrame | None = field(default=None, repr=False)
 
 
 def tuple_id(name: str) -> Column:
@@ -66,10 +76,16 @@ def _needed(claim: Claim) -> list[str]:
     return sorted({c for p in preds for c in p.columns})
 
 
+#: Prompts that a task remembers.
+REMEMBERED = 100_000
+
+
 class _Evaluator:
-    """Answers for one row: whether it is in the scope, its bits, calls and tokens."""
+    """Answers for one row: whether it is in the scope, its bits, calls and tokens. With the prompt cache on, a task asks
+    equal prompts once."""
 
-    def __init__(self, claim: Claim, model: SemanticModel, fusion: bool, max_fused: int) -> None:
+    def __init__(self, claim: Claim, model: SemanticModel, fusion: bool, max_fused: int, cache: bool = False) -> None:
+        self.cache, self.memory = cache, {}
         form = claim.form
         while isinstance(form, Nested):
             form = form.inner
@@ -79,12 +95,25 @@ class _Evaluator:
 
     def __call__(self, row: dict) -> tuple[bool, list[bool], int, int]:
         prompts = len(self.distinct) + (self.scope is not None)
+        columns = tuple(dict.fromkeys(c for p in [*self.maps, *([self.scope] if self.scope else [])] for c in p.columns))
+        asked = tuple(row[c] for c in columns)
+        if self.cache:
+            try:
+                if asked in self.memory:
+                    keep, bits = self.memory[asked]
+                    return keep, bits, 0, 0
+            except TypeError:  # a value that can't be a key
+                asked = None
         calls = -(-prompts // self.max_fused) if self.fusion else prompts
         keep = self.scope is None or self.model.answer(self.scope, row)
         if not keep and not self.fusion:
             calls = 1  # the filter came first, nothing follows
-        columns = tuple(dict.fromkeys(c for p in [*self.maps, *([self.scope] if self.scope else [])] for c in p.columns))
-        return keep, [self.model.answer(p, row) for p in self.maps] if keep else [], calls, calls * tokens_in(row, columns)
+        bits = [self.model.answer(p, row) for p in self.maps] if keep else []
+        if self.cache and asked is not None:
+            if len(self.memory) >= REMEMBERED:
+                self.memory.clear()
+            self.memory[asked] = keep, bits
+        return keep, bits, calls, calls * tokens_in(row, columns)
 
 
 def _wave_rows(evaluate: _Evaluator, columns: list[str], batch: int):
@@ -106,7 +135,7 @@ WAVE = "pos long, tid long, keep boolean, bits int, calls int, tokens long"
 
 
 def _positions(df: DataFrame, claim: Claim, order: str, options: VerifyOptions) -> DataFrame:
-    """tid and place. Equal ids (repeated rows) are not expected: tid identifies a row."""
+    """tid and place."""
     if order == "relevance":
         form = claim.form
         text = RELATIONS[claim.relation][1]
@@ -128,27 +157,65 @@ def _decided(tallies: list[Tally]) -> bool:
     return any(t.verdict is False for t in tallies) or all(t.settled for t in tallies)
 
 
-def _run_rows(claim: Claim, df: DataFrame, model: SemanticModel, p: Plan) -> Result:
-    """An ungrouped claim."""
+def _needed_frame(df: DataFrame, columns: list[str], keys: tuple[str, ...] = ()) -> DataFrame:
+    return df.select("tid", *keys, *[c for c in columns if c not in keys])
+
+
+def _answered(df: DataFrame, evaluate: _Evaluator, columns: list[str], keys: tuple[str, ...] = ()) -> DataFrame:
+    """Every row's answers: tid, keys, keep, bits, calls, tokens."""
+    needed = _needed_frame(df, columns, keys)
+    schema = ", ".join(f"`{k}` {needed.schema[k].dataType.simpleString()}" for k in ("tid", *keys))
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for frame in frames:
+            answers = [evaluate(r) for r in frame[columns].to_dict("records")]
+            out = frame[["tid", *keys]].copy()
+            out["keep"], out["bits"] = [a[0] for a in answers], [sum(b << i for i, b in enumerate(a[1])) for a in answers]
+            out["calls"], out["tokens"] = [a[2] for a in answers], [a[3] for a in answers]
+            yield out
+
+    return needed.mapInPandas(run, f"{schema}, keep boolean, bits int, calls int, tokens long")
+
+
+def _bit(i: int) -> Column:
+    return F.col("keep") & (F.shiftright("bits", i).bitwiseAND(F.lit(1)) == 1)
+
+
+def _run_all_rows(claim: Claim, df: DataFrame, model: SemanticModel, p: Plan) -> Result:
+    """An ungrouped claim without early stopping: one pass, one aggregation."""
+    options, form = p.options, claim.form
+    evaluate = _Evaluator(claim, model, options.fusion, options.max_fused, options.cache)
+    answers = written(_answered(df, evaluate, _needed(claim)), "answers")
+    hits = [F.count_if(_bit(i)).alias(f"h{i}") for i in range(len(form.tallies))]
+    got = answers.agg(F.count(F.lit(1)).alias("n"), F.count_if("keep").alias("kept"), F.sum("calls").alias("calls"), F.sum("tokens").alias("tokens"), *hits).first()
+    verdicts = [bool(t.verdict(got[f"h{i}"], got["kept"])) for i, (t, _) in enumerate(form.tallies)]
+    calls = got["calls"] or 0
+    return Result(
+        claim.claim_id, all(verdicts), "exhausted", got["n"], got["h0"], got["n"] if p.size_known else None, calls=calls, tokens_in=got["tokens"] or 0, tokens_out=calls * ANSWER_TOKENS,
+        vacuous=got["kept"] == 0, plan=p, answers=answers.filter("keep").select("tid", F.col("tid").alias("pos"), _bit(0).alias("hit")),
+    )
+
+
+def _run_rows(claim: Claim, df: DataFrame, model: SemanticModel, p: Plan, size: int | None) -> Result:
+    """An ungrouped claim, in waves."""
     options, form, spark = p.options, claim.form, df.sparkSession
-    size = df.count() if p.size_known else None  # a scan of no columns
     tallies = _tallies(form, size, p.alpha_inner, options)
-    evaluate = _Evaluator(claim, model, options.fusion, options.max_fused)
+    evaluate = _Evaluator(claim, model, options.fusion, options.max_fused, options.cache)
     columns = _needed(claim)
     result = Result(claim.claim_id, False, "", 0, 0, size, plan=p)
     places = _positions(df, claim, p.inner_order, options)
     total = size if size is not None else places.count()
     limit = min(total, options.top_k) if options.top_k else total
-    wave = options.batch if options.early_stop else STAGE
-    low, stage, stage_end = 0, None, 0
+    wave, low, stage, stage_end, end, waves = options.batch, 0, None, 0, 0, []
     while low < limit and not _decided(tallies):
         if low >= stage_end:
             stage_end = min(limit, max(STAGE, stage_end * 8))
             wanted = places.filter((F.col("pos") >= low) & (F.col("pos") < stage_end)).select("tid", "pos")
-            stage = written(df.select("tid", *columns).join(wanted, "tid").repartitionByRange("pos").sortWithinPartitions("pos"), "stage")
+            stage = written(_needed_frame(df, columns).join(wanted, "tid").repartitionByRange("pos").sortWithinPartitions("pos"), "stage")
         high = min(low + wave, stage_end)
         part = stage.filter((F.col("pos") >= low) & (F.col("pos") < high))
-        got = part.mapInPandas(_wave_rows(evaluate, columns, options.batch), WAVE).toPandas().sort_values("pos")
+        waves.append(written(part.mapInPandas(_wave_rows(evaluate, columns, options.batch), WAVE), "wave"))
+        got = waves[-1].toPandas().sort_values("pos")
         result.calls += int(got["calls"].sum())
         result.tokens_in += int(got["tokens"].sum())
         for row in got.itertuples():
@@ -156,6 +223,7 @@ def _run_rows(claim: Claim, df: DataFrame, model: SemanticModel, p: Plan) -> Res
                 result.overshoot += 1
                 continue
             result.seen += 1
+            end = row.pos + 1
             if not row.keep:
                 continue
             for i, t in enumerate(tallies):
@@ -172,6 +240,10 @@ def _run_rows(claim: Claim, df: DataFrame, model: SemanticModel, p: Plan) -> Res
     result.settled_by, result.hits, result.lo, result.hi = first.settled_by or "exhausted", tallies[0].hits, first.lo, first.hi
     result.complete, result.vacuous = result.settled_by != "interval" and (low >= total or result.settled_by == "bound"), tallies[0].seen == 0 and not early
     result.tokens_out = result.calls * ANSWER_TOKENS
+    every = waves[0] if waves else spark.createDataFrame([], WAVE)
+    for part in waves[1:]:
+        every = every.union(part)
+    result.answers = every.filter((F.col("pos") < end) & F.col("keep")).select("tid", "pos", _bit(0).alias("hit"))
     return result
 
 
@@ -216,6 +288,15 @@ def _group_function(evaluate: _Evaluator, form: Quantified, alpha: float | None,
     return RunGroup
 
 
+def _fold(groups: DataFrame, outers: list, keys: list[str]) -> DataFrame:
+    """Verdicts of the groups at all keys (columns keys and verdict) folded up to those of the outermost level's groups."""
+    for i in range(len(outers) - 1, 0, -1):
+        test, upper = outers[i][0], list(outers[i - 1][1])
+        counted = groups.groupBy(*upper).agg(F.count_if("verdict").alias("_h"), F.count(F.lit(1)).alias("_n"))
+        groups = counted.select(*upper, test.verdict(F.col("_h"), F.col("_n")).alias("verdict"))
+    return groups
+
+
 def _run_groups(claim: Claim, df: DataFrame, model: SemanticModel, p: Plan) -> Result:
     options, form, spark = p.options, claim.form, df.sparkSession
     keys, inner, outers = [], form, []
@@ -224,77 +305,85 @@ def _run_groups(claim: Claim, df: DataFrame, model: SemanticModel, p: Plan) -> R
         outers.append((inner.outer, tuple(keys)))
         inner = inner.inner
     columns = _needed(claim)
+    evaluate = _Evaluator(claim, model, options.fusion, options.max_fused, options.cache)
+    if options.group_exec == "hash" or not options.early_stop:
+        return _run_hashed_groups(claim, df, p, evaluate, columns, keys, inner, outers)
     g = F.to_json(F.struct(*keys), {"ignoreNullFields": "false"})
-    sizes = written(df.groupBy(*keys).agg(F.count(F.lit(1)).alias("n")).withColumn("g", g), "group-sizes")
-    sizes = ranking.global_position(sizes, [F.xxhash64(F.lit(options.seed), F.col("g")).asc(), F.col("g").asc()], "gpos")
+    ordered = _needed_frame(df, columns, tuple(keys))
+    if p.inner_order == "relevance" or p.outer_order == "relevance":
+        scores = relevance.relevance_scores(df, "tid", RELATIONS[claim.relation][1], relevance.spec_for(inner.phi), options.rrf_k)
+        ordered = written(ordered.join(scores.select("tid", "rel_score"), "tid"), "scored")
+    sizes = ordered.groupBy(*keys).agg(F.count(F.lit(1)).alias("n"), *([F.max("rel_score").alias("best")] if p.outer_order == "relevance" else []))
+    sizes = written(sizes.withColumn("g", g), "group-sizes")
+    hashed = F.xxhash64(F.lit(options.seed), F.col("g")).asc()
+    places = {"relevance": [F.col("best").desc()] if p.outer_order == "relevance" else [], "none": []}.get(p.outer_order, [hashed])
+    sizes = ranking.global_position(sizes, [*places, F.col("g").asc()], "gpos")
     m = sizes.count()
     p = plan(claim, options, m)
-    evaluate = _Evaluator(claim, model, options.fusion, options.max_fused)
-    within = F.xxhash64(F.lit(options.seed), F.col("tid")) if p.inner_order == "estimate" else F.col("tid")
-    if p.inner_order == "relevance":
-        spec = relevance.spec_for(inner.phi)
-        text = F.coalesce(F.col(RELATIONS[claim.relation][1]).cast("string"), F.lit(""))
-        within = -(relevance.n_present(text, spec.include) + relevance.n_absent(text, spec.exclude)).cast("long")
-    ordered = df.select("tid", within.alias("k"), *keys, *[c for c in columns if c not in keys])
+    within = {"estimate": F.xxhash64(F.lit(options.seed), F.col("tid")).cast("double"), "relevance": -F.col("rel_score") if p.inner_order == "relevance" else None}.get(p.inner_order, F.col("tid").cast("double"))
+    ordered = ordered.withColumn("k", within)
     result = Result(claim.claim_id, False, "", 0, 0, m, plan=p)
-    outer = Tally(outers[0][0], m if len(outers) == 1 and claim.semantic_scope is None else None, p.alpha_outer if len(outers) == 1 else None, options.eps, options.early_stop and len(outers) == 1)
+    flat = len(outers) == 1
+    outer = Tally(outers[0][0], m if flat and claim.semantic_scope is None else None, p.alpha_outer if flat else None, options.eps, flat)
     run = _group_function(evaluate, inner, p.alpha_inner, options, columns)
-    name = f"run_groups_{claim.claim_id}"
+    name = f"run_groups_{uuid.uuid4().hex}"  # names of a session, which other runs share
     spark.udtf.register(name, run)
-    wave, low, found = (max(options.batch, 32) if outer.early else m), 0, []
-    while low < m and not outer.settled:
-        chosen = sizes.filter((F.col("gpos") >= low) & (F.col("gpos") < low + wave)).drop("gpos")
-        rows = ordered.join(chosen, keys)
-        rows.createOrReplaceTempView("group_wave")
-        got = spark.sql(f"SELECT * FROM {name}(TABLE(SELECT * FROM group_wave) PARTITION BY g ORDER BY (k, tid))")
-        got = got.join(sizes.select("g", "gpos", *keys), "g").toPandas().sort_values("gpos")
-        for row in got.itertuples():
-            result.calls += int(row.calls)
-            result.tokens_in += int(row.tokens)
-            if outer.settled:
-                result.overshoot += int(row.seen)
-                continue
-            result.seen += int(row.seen)
-            if row.verdict is None:
-                continue
-            found.append(({k: getattr(row, k) for k in keys}, bool(row.verdict)))
-            if len(outers) == 1:
+
+    def answered(low: int, high: int) -> DataFrame:
+        chosen = sizes.filter((F.col("gpos") >= low) & (F.col("gpos") < high)).select(*keys, "n", "g")
+        ordered.join(chosen, keys).createOrReplaceTempView(f"{name}_wave")
+        got = spark.sql(f"SELECT * FROM {name}(TABLE(SELECT * FROM {name}_wave) PARTITION BY g ORDER BY (k, tid))")
+        return written(got.join(sizes.select("g", "gpos", *keys), "g"), "group-wave")
+
+    if flat:
+        wave, low = max(options.batch, 32), 0
+        while low < m and not outer.settled:
+            for row in answered(low, low + wave).select("g", "gpos", "verdict", "seen", "calls", "tokens", "sample").toPandas().sort_values("gpos").itertuples():
+                result.calls += int(row.calls)
+                result.tokens_in += int(row.tokens)
+                if outer.settled:
+                    result.overshoot += int(row.seen)
+                    continue
+                result.seen += int(row.seen)
+                if row.verdict is None:
+                    continue
                 outer.push([bool(row.verdict)])
-            result.tokens += [(row.g, int(x) if x >= 0 else -int(x) - 1, 1 if x >= 0 else -1) for x in row.sample[: max(0, SAMPLE_TOKENS - len(result.tokens))]]
-        low, wave = low + wave, min(wave * options.growth, options.max_wave)
-    if len(outers) > 1:  # deeper levels fold up over the groups' verdicts
-        level = found
-        for i in range(len(outers) - 1, 0, -1):
-            test, upper = outers[i][0], outers[i - 1][1]
-            groups: dict[tuple, list[bool]] = {}
-            for values, ok in level:
-                groups.setdefault(tuple(values[k] for k in upper), []).append(ok)
-            level = [(dict(zip(upper, v, strict=True)), test.verdict(sum(bits), len(bits))) for v, bits in groups.items()]
-        outer.push([ok for _, ok in level])
-    result.verdict = outer.close()
-    result.settled_by, result.hits, result.lo, result.hi = outer.settled_by or "exhausted", outer.hits, outer.lo, outer.hi
+                result.tokens += [(row.g, int(x) if x >= 0 else -int(x) - 1, 1 if x >= 0 else -1) for x in row.sample[: max(0, SAMPLE_TOKENS - len(result.tokens))]]
+            low, wave = low + wave, min(wave * options.growth, options.max_wave)
+        result.verdict = outer.close()
+        result.settled_by, result.hits, result.lo, result.hi = outer.settled_by or "exhausted", outer.hits, outer.lo, outer.hi
+    else:  # deeper levels fold up over all groups' verdicts
+        got = answered(0, m)
+        cost = got.agg(F.sum("calls").alias("calls"), F.sum("tokens").alias("tokens"), F.sum("seen").alias("seen")).first()
+        top = _fold(got.filter(F.col("verdict").isNotNull()).select(*keys, "verdict"), outers, keys).agg(F.count_if("verdict").alias("h"), F.count(F.lit(1)).alias("n")).first()
+        result.calls, result.tokens_in, result.seen, result.hits = cost["calls"] or 0, cost["tokens"] or 0, cost["seen"] or 0, top["h"]
+        result.verdict, result.settled_by = bool(outers[0][0].verdict(top["h"], top["n"])), "exhausted"
+    spark.catalog.dropTempView(f"{name}_wave")
     result.complete, result.tokens_out = result.settled_by != "interval", result.calls * ANSWER_TOKENS
     return result
 
 
+def _run_hashed_groups(claim: Claim, df: DataFrame, p: Plan, evaluate: _Evaluator, columns: list[str], keys: list[str], inner: Quantified, outers: list) -> Result:
+    """Every row is answered; groups of all levels are aggregates, pre-aggregated where the rows are."""
+    answers = written(_answered(df, evaluate, columns, tuple(keys)), "answers")
+    cost = answers.agg(F.sum("calls").alias("calls"), F.sum("tokens").alias("tokens"), F.count(F.lit(1)).alias("n")).first()
+    hits = [F.count_if(_bit(i)).alias(f"_h{i}") for i in range(len(inner.tallies))]
+    groups = answers.filter("keep").groupBy(*keys).agg(F.count(F.lit(1)).alias("_n"), *hits)
+    ok = F.lit(True)
+    for i, (test, _) in enumerate(inner.tallies):
+        ok = ok & test.verdict(F.col(f"_h{i}"), F.col("_n"))
+    top = _fold(groups.select(*keys, ok.alias("verdict")), outers, keys).agg(F.count_if("verdict").alias("h"), F.count(F.lit(1)).alias("n")).first()
+    calls = cost["calls"] or 0
+    return Result(claim.claim_id, bool(outers[0][0].verdict(top["h"], top["n"])), "exhausted", cost["n"], top["h"], top["n"], calls=calls, tokens_in=cost["tokens"] or 0, tokens_out=calls * ANSWER_TOKENS, plan=p)
+
+
 def _run_rank(claim: Claim, df: DataFrame, model: SemanticModel, p: Plan) -> Result:
     """Every row of every group is needed: one fused pass, then a hash aggregation, then one row per group is ranked."""
     form, options = claim.form, p.options
     columns, keys = _needed(claim), list(form.keys)
     as_rows = Claim(claim.claim_id, claim.relation, Quantified(EXISTS, form.phi), claim.scope, claim.semantic_scope)
-    evaluate = _Evaluator(as_rows, model, options.fusion, options.max_fused)
-    needed = df.select("tid", *keys, *[c for c in columns if c not in keys])
-    schema = ", ".join(f"{k} {needed.schema[k].dataType.simpleString()}" for k in keys)
-
-    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for frame in frames:
-            answers = [evaluate(r) for r in frame[columns].to_dict("records")]
-            out = frame[keys].copy()
-            out["keep"], out["hit"] = [a[0] for a in answers], [bool(a[1] and a[1][0]) for a in answers]
-            out["calls"], out["tokens"] = [a[2] for a in answers], [a[3] for a in answers]
-            yield out
-
-    answered = written(needed.mapInPandas(run, f"{schema}, keep boolean, hit boolean, calls int, tokens long"), "answers")
+    evaluate = _Evaluator(as_rows, model, options.fusion, options.max_fused, options.cache)
+    answered = written(_answered(df, evaluate, columns, tuple(keys)).withColumn("hit", _bit(0)), "answers")
     cost = answered.agg(F.sum("calls").alias("calls"), F.sum("tokens").alias("tokens"), F.count(F.lit(1)).alias("n")).first()
     from sparkverdict.functions.truth import Pred
 
@@ -308,6 +397,14 @@ def _run_rank(claim: Claim, df: DataFrame, model: SemanticModel, p: Plan) -> Res
     return Result(claim.claim_id, row is not None and row["rank"] == form.rank, "exhausted", n, row["hits"] if row else 0, row["seen"] if row else 0, calls=calls, tokens_in=cost["tokens"] or 0, tokens_out=calls * ANSWER_TOKENS, plan=p)
 
 
+def _identified(claim: Claim, rows: DataFrame) -> tuple[DataFrame, int]:
+    """Rows with an id that tells them apart, and their number."""
+    counts = rows.agg(F.count(F.lit(1)).alias("n"), F.count("tid").alias("keyed"), F.count_distinct("tid").alias("distinct")).first()
+    if counts["keyed"] == counts["distinct"] == counts["n"]:
+        return rows, counts["n"]
+    return written(rows.withColumn("tid", F.monotonically_increasing_id()), "identified"), counts["n"]
+
+
 def verify(claim: Claim, df: DataFrame, options: VerifyOptions = VerifyOptions(), model: SemanticModel | None = None) -> Result:
     """Checks a claim over its relation. With every option off each row meets each semantic test."""
     ship_package(df.sparkSession)
@@ -316,6 +413,9 @@ def verify(claim: Claim, df: DataFrame, options: VerifyOptions = VerifyOptions()
     rows = df.withColumn("tid", tuple_id(claim.relation))
     if claim.scope is not None:
         rows = rows.filter(claim.scope.safe())
+    if isinstance(claim.form, RankIs) and not p.similarity:
+        return _run_rank(claim, rows, model, p)
+    rows, size = _identified(claim, rows)
     if p.similarity:
         near = relevance.prefilter(rows, RELATIONS[claim.relation][1], relevance.spec_for(claim.semantic_scope), options.threshold)
         rows = rows.join(written(near.select("tid"), "similar"), "tid", "left_semi")  # sentences are compared once
@@ -323,7 +423,9 @@ def verify(claim: Claim, df: DataFrame, options: VerifyOptions = VerifyOptions()
         return _run_rank(claim, rows, model, p)
     if isinstance(claim.form, Nested):
         return _run_groups(claim, rows, model, p)
-    return _run_rows(claim, rows, model, p)
+    if not options.early_stop and not options.top_k:
+        return _run_all_rows(claim, rows, model, p)
+    return _run_rows(claim, rows, model, p, size if p.size_known else None)
 
 
 def as_frame(spark: SparkSession, result: Result) -> DataFrame:

@@ -20,12 +20,13 @@ class VerifyOptions:
     eps: float = 0.05
     threshold: float = 0.15
     batch: int = 32
-    max_wave: int = 4096
+    max_wave: int = 1 << 20
     growth: int = 2
     small_k: int = 10
     max_fused: int = 4
     seed: int = 7
     interval: str = "betting"
+    #: 'sorted' reads groups in order and stops inside them, 'hash' aggregates every row.
     group_exec: str = "sorted"
     top_k: int | None = None
     rrf_k: int = 60

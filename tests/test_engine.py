@@ -2,18 +2,22 @@
 
 from __future__ import annotations
 
+import math
+from dataclasses import replace
+from fractions import Fraction
+
 import duckdb
 import pytest
 from pyspark.sql import functions as F
 
 from sparkverdict import workloads
 from sparkverdict.functions import truth
-from sparkverdict.operators import relevance
+from sparkverdict.operators import provenance, relevance
 from sparkverdict.operators.cache import PromptCache, answers
 from sparkverdict.operators.engine import verify
 from sparkverdict.operators.models import RuleModel
 from sparkverdict.operators.ranking import global_position
-from sparkverdict.plans.claims import EXISTS, Claim, Quantified, claim_sql, count, evaluate
+from sparkverdict.plans.claims import EXISTS, FORALL, Claim, Nested, Quantified, claim_sql, count, evaluate, share
 from sparkverdict.plans.optimizer import VerifyOptions
 from sparkverdict.sources.relations import base, relation, relation_sql
 
@@ -43,8 +47,10 @@ def test_witness_order_and_overshoot(spark):
     rows = [(i, "a licence: licensed" if i == 777 else "nothing here", "en", 12) for i in range(1000)]
     df = spark.createDataFrame(rows, "doc_id long, text string, lang string, n_chars long")
     claim = Claim("w", "documents", Quantified(EXISTS, truth.lic))
-    found = verify(claim, df, VerifyOptions.exact())
+    found = verify(claim, df, replace(VerifyOptions.exact(), cache=False))
     assert found.verdict and found.seen == 1 and found.calls == 32 and found.tokens == [(None, 777, 1)]
+    cached = verify(claim, df, VerifyOptions.exact())  # the other 31 rows of the wave are one prompt
+    assert cached.seen == 1 and cached.overshoot == 31 and cached.calls == 2
     plain = verify(claim, df, VerifyOptions(relevance=False, estimate=False))
     assert plain.verdict and plain.seen == 778
     never = verify(Claim("n", "documents", Quantified(count(">", 1), truth.lic)), df, VerifyOptions.exact())
@@ -58,6 +64,61 @@ def test_empty_and_null_relations(spark):
     assert verify(Claim("e", "documents", Quantified(count("==", 0), truth.lic)), nulls, VerifyOptions.exact()).verdict is True
 
 
+def test_rows_without_a_key_of_their_own_count(spark):
+    """Null and repeated keys neither lose nor multiply rows."""
+    rows = [(None if i % 3 == 0 else i % 5, "licensed" if i % 2 else "plain", "en", 9, f"g{i % 2}") for i in range(40)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string, n_chars long, source string")
+    for test, want in ((count("==", 20), True), (count(">=", 21), False), (count("<=", 20), True)):
+        for options in (VerifyOptions.exact(), VerifyOptions.none()):
+            got = verify(Claim("k", "documents", Quantified(test, truth.lic)), df, options)
+            assert got.verdict is want and got.seen <= 40
+    nested = Claim("n", "documents", Nested(EXISTS, ("source",), Quantified(count("==", 20), truth.lic)))
+    assert verify(nested, df, VerifyOptions.exact()).verdict is True
+
+
+def test_group_execution_and_cache_take_effect(spark):
+    rows = [(i, "licensed" if i % 10 < 4 else "plain", "en", 9, f"g{i % 4}") for i in range(400)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string, n_chars long, source string").coalesce(1)
+    claim = Claim("g", "documents", Nested(FORALL, ("source",), Quantified(EXISTS, truth.lic)))
+    exact = VerifyOptions(estimate=False, similarity=False, cache=False)
+    by_order, by_hash = verify(claim, df, exact), verify(claim, df, replace(exact, group_exec="hash"))
+    assert by_order.verdict is by_hash.verdict is True and by_order.calls == 4 and by_hash.calls == 400
+    deep = Claim("d", "documents", Nested(EXISTS, ("lang",), Nested(FORALL, ("source",), Quantified(count(">=", 40), truth.lic))))
+    assert verify(deep, df, exact).verdict is verify(deep, df, replace(exact, group_exec="hash")).verdict is True
+    flat = Claim("f", "documents", Quantified(count("==", 160), truth.lic))
+    whole, cached = verify(flat, df, VerifyOptions.none()), verify(flat, df, replace(VerifyOptions.none(), cache=True))
+    assert whole.verdict is cached.verdict is True and whole.calls == 400 > cached.calls == 2
+
+
+def test_runs_cite_what_they_processed(spark, sf_dir):
+    """Tokens come from the answers of the run: signs are right, none is beyond the point where the run stopped."""
+    df = relation(spark, sf_dir, "documents")
+    truth_of = {r.doc_id: bool(r.hit) for r in df.select("doc_id", truth.long.safe().alias("hit")).collect()}
+    shares = [(share(">=", Fraction(1, 10)), True), (share(">=", Fraction(9, 10)), False), (share("<", Fraction(1, 10)), False), (EXISTS, True), (FORALL, False), (count(">=", 5), True)]
+    for test, want in shares:
+        claim = Claim("c", "documents", Quantified(test, truth.long))
+        for options in (VerifyOptions(), VerifyOptions.exact(), VerifyOptions.none()):
+            result = verify(claim, df, options)
+            tokens = provenance.cite_run(claim, result).collect()
+            assert result.verdict is want and all(truth_of[r.tuple_id] == (r.sign == 1) for r in tokens)
+            yes = sum(r.sign == 1 for r in tokens)
+            reached = provenance.rule(test, want, result.hits, result.seen) != (-1, -1)
+            assert len({r.tuple_id for r in tokens}) == len(tokens) <= result.seen
+            if test.kind == "share" and reached:
+                least = test.value * result.seen
+                assert yes == len(tokens) and yes == (result.hits if result.settled_by == "interval" else math.ceil(least))
+            elif not reached:
+                assert len(tokens) == result.seen and yes == result.hits
+
+
+def test_deep_nested_citations(spark):
+    rows = [(i, f"l{i % 2}", f"s{i % 6}", 3000 if i % 5 else 10, "x") for i in range(60)]
+    df = spark.createDataFrame(rows, "doc_id long, lang string, source string, n_chars long, text string")
+    claim = Claim("d", "documents", Nested(EXISTS, ("lang",), Nested(FORALL, ("source",), Quantified(count(">=", 3), truth.long))))
+    got = provenance.cite(claim, df).collect()
+    assert len(got) == 9 and {r.grp for r in got} == {"l0/s0", "l0/s2", "l0/s4"} and all(r.sign == 1 for r in got)
+
+
 def test_cache_asks_each_prompt_once(spark, tmp_path):
     df = spark.createDataFrame([(i, f"text {i % 4} licensed" if i % 2 else f"text {i % 4}") for i in range(40)], "doc_id long, text string")
     cache = PromptCache(spark, f"file://{tmp_path}/cache")
