@@ -142,8 +142,9 @@ def links(texts: DataFrame, nodes: DataFrame, least: float = LEAST) -> DataFrame
     groups = materialise(met.filter("n > 1").groupBy("n", "s1", "s2").agg(F.min("key").alias("key")).select("key"), "near-groups")
     members = materialise(rows.join(groups, "key").select(F.col("key").alias("g"), "k"), "near-members")
     wanted = keyed.select("k", "text_hash").join(members.select("k").distinct(), "k")
-    wanted = materialise(wanted.join(nodes, "text_hash").dropDuplicates(["text_hash"]), "near-wanted")
-    found = texts.join(wanted, "text_hash").dropDuplicates(["text_hash"])
+    # copies go before the joins, where they are: a third of all rows may be one text
+    wanted = materialise(wanted.join(nodes.groupBy("text_hash").agg(F.min("fp").alias("fp")), "text_hash"), "near-wanted")
+    found = texts.groupBy("text_hash").agg(F.first("t").alias("t")).join(wanted, "text_hash")
     sets = materialise(found.select("k", "t", "fp").mapInArrow(_sets, "k long, fp long, shingles binary"), "near-sets")
     together = members.join(sets, "k").select("g", "fp", "shingles").repartition(parts, "g").sortWithinPartitions("g")
     return together.mapInArrow(_links(least), "a long, b long").filter("a <> b").distinct()
