@@ -12,6 +12,10 @@ size is spread over tasks. Ranks need every row and get one aggregation.
 Rows are told apart by their relation's key. Where a key is null or repeated, rows get ids of the engine's own, so that
 none is lost or multiplied; tokens then cite those ids.
 
+`verify_each` runs a claim for several models at once (trials of one experiment): rows are ordered, staged and grouped once,
+each wave asks the models that have not settled, and each model's result is what it would be alone. Rows of answers carry
+the model's number `m`.
+
 At scale: the order is a narrow table of (id, place); texts are joined to it only for the stage at hand (a bounded prefix
 of places, written sorted by place so that a wave reads a few row groups), and no row of text is sorted globally.
 """
@@ -64,6 +68,8 @@ class Result:
 
 def tuple_id(name: str) -> Column:
     keys = RELATIONS[name][0]
+    if not keys:  # the engine numbers the rows
+        return F.lit(None).cast("long")
     return F.col(keys[0]).cast("long") if len(keys) == 1 else F.col(keys[0]).cast("long") * 8 + F.col(keys[1])
 
 
@@ -116,22 +122,27 @@ class _Evaluator:
         return keep, bits, calls, calls * tokens_in(row, columns)
 
 
-def _wave_rows(evaluate: _Evaluator, columns: list[str], batch: int):
+def _wave_rows(evaluators: dict[int, _Evaluator], columns: list[str], batch: int):
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for frame in frames:
-            for low in range(0, len(frame), batch):  # one request to the model per batch
+            for low in range(0, len(frame), batch):  # one request to each model per batch
                 part = frame.iloc[low : low + batch]
                 rows = part[columns].to_dict("records")
-                answers = [evaluate(r) for r in rows]
-                yield pd.DataFrame({
-                    "pos": part["pos"], "tid": part["tid"], "keep": [a[0] for a in answers], "bits": [sum(b << i for i, b in enumerate(a[1])) for a in answers],
-                    "calls": [a[2] for a in answers], "tokens": [a[3] for a in answers],
-                })
+                for m, evaluate in evaluators.items():
+                    answers = [evaluate(r) for r in rows]
+                    yield pd.DataFrame({
+                        "m": m, "pos": part["pos"], "tid": part["tid"], "keep": [a[0] for a in answers], "bits": [sum(b << i for i, b in enumerate(a[1])) for a in answers],
+                        "calls": [a[2] for a in answers], "tokens": [a[3] for a in answers],
+                    })
 
     return run
 
 
-WAVE = "pos long, tid long, keep boolean, bits int, calls int, tokens long"
+WAVE = "m int, pos long, tid long, keep boolean, bits int, calls int, tokens long"
+
+
+def _evaluators(claim: Claim, models: list[SemanticModel], options: VerifyOptions) -> dict[int, _Evaluator]:
+    return {m: _Evaluator(claim, model, options.fusion, options.max_fused, options.cache) for m, model in enumerate(models)}
 
 
 def _positions(df: DataFrame, claim: Claim, order: str, options: VerifyOptions) -> DataFrame:
@@ -161,108 +172,141 @@ def _needed_frame(df: DataFrame, columns: list[str], keys: tuple[str, ...] = ())
     return df.select("tid", *keys, *[c for c in columns if c not in keys])
 
 
-def _answered(df: DataFrame, evaluate: _Evaluator, columns: list[str], keys: tuple[str, ...] = ()) -> DataFrame:
-    """Every row's answers: tid, keys, keep, bits, calls, tokens."""
+def _answered(df: DataFrame, evaluators: dict[int, _Evaluator], columns: list[str], keys: tuple[str, ...] = ()) -> DataFrame:
+    """Every row's answers by every model: m, tid, keys, keep, bits, calls, tokens."""
     needed = _needed_frame(df, columns, keys)
     schema = ", ".join(f"`{k}` {needed.schema[k].dataType.simpleString()}" for k in ("tid", *keys))
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for frame in frames:
-            answers = [evaluate(r) for r in frame[columns].to_dict("records")]
-            out = frame[["tid", *keys]].copy()
-            out["keep"], out["bits"] = [a[0] for a in answers], [sum(b << i for i, b in enumerate(a[1])) for a in answers]
-            out["calls"], out["tokens"] = [a[2] for a in answers], [a[3] for a in answers]
-            yield out
+            rows = frame[columns].to_dict("records")
+            for m, evaluate in evaluators.items():
+                answers = [evaluate(r) for r in rows]
+                out = frame[["tid", *keys]].copy()
+                out.insert(0, "m", m)
+                out["keep"], out["bits"] = [a[0] for a in answers], [sum(b << i for i, b in enumerate(a[1])) for a in answers]
+                out["calls"], out["tokens"] = [a[2] for a in answers], [a[3] for a in answers]
+                yield out
+
+    return needed.mapInPandas(run, f"m int, {schema}, keep boolean, bits int, calls int, tokens long")
 
-    return needed.mapInPandas(run, f"{schema}, keep boolean, bits int, calls int, tokens long")
+
+def _by_model(df: DataFrame, models: list[SemanticModel], *columns: Column) -> list[dict]:
+    """One row of aggregates per model, those of no rows where a model has none."""
+    found = {r["m"]: r.asDict() for r in df.groupBy("m").agg(*columns).collect()}
+    nothing = df.limit(0).agg(*columns).first().asDict() if len(found) < len(models) else {}
+    return [found.get(m, nothing) for m in range(len(models))]
 
 
 def _bit(i: int) -> Column:
     return F.col("keep") & (F.shiftright("bits", i).bitwiseAND(F.lit(1)) == 1)
 
 
-def _run_all_rows(claim: Claim, df: DataFrame, model: SemanticModel, p: Plan) -> Result:
+def _run_all_rows(claim: Claim, df: DataFrame, models: list[SemanticModel], p: Plan) -> list[Result]:
     """An ungrouped claim without early stopping: one pass, one aggregation."""
     options, form = p.options, claim.form
-    evaluate = _Evaluator(claim, model, options.fusion, options.max_fused, options.cache)
-    answers = written(_answered(df, evaluate, _needed(claim)), "answers")
+    answers = written(_answered(df, _evaluators(claim, models, options), _needed(claim)), "answers")
     hits = [F.count_if(_bit(i)).alias(f"h{i}") for i in range(len(form.tallies))]
-    got = answers.agg(F.count(F.lit(1)).alias("n"), F.count_if("keep").alias("kept"), F.sum("calls").alias("calls"), F.sum("tokens").alias("tokens"), *hits).first()
-    verdicts = [bool(t.verdict(got[f"h{i}"], got["kept"])) for i, (t, _) in enumerate(form.tallies)]
-    calls = got["calls"] or 0
-    return Result(
-        claim.claim_id, all(verdicts), "exhausted", got["n"], got["h0"], got["n"] if p.size_known else None, calls=calls, tokens_in=got["tokens"] or 0, tokens_out=calls * ANSWER_TOKENS,
-        vacuous=got["kept"] == 0, plan=p, answers=answers.filter("keep").select("tid", F.col("tid").alias("pos"), _bit(0).alias("hit")),
-    )
+    out = []
+    for m, got in enumerate(_by_model(answers, models, F.count(F.lit(1)).alias("n"), F.count_if("keep").alias("kept"), F.sum("calls").alias("calls"), F.sum("tokens").alias("tokens"), *hits)):
+        verdicts = [bool(t.verdict(got[f"h{i}"], got["kept"])) for i, (t, _) in enumerate(form.tallies)]
+        calls = got["calls"] or 0
+        out.append(Result(
+            claim.claim_id, all(verdicts), "exhausted", got["n"], got["h0"], got["n"] if p.size_known else None, calls=calls, tokens_in=got["tokens"] or 0, tokens_out=calls * ANSWER_TOKENS,
+            vacuous=got["kept"] == 0, plan=p, answers=answers.filter(F.col("keep") & (F.col("m") == m)).select("tid", F.col("tid").alias("pos"), _bit(0).alias("hit")),
+        ))
+    return out
+
+
+@dataclass
+class _Run:
+    """One model's way through the waves of an ungrouped claim."""
+
+    tallies: list[Tally]
+    result: Result
+    end: int = 0
+    low: int = 0
+
+    @property
+    def decided(self) -> bool:
+        return _decided(self.tallies)
+
+    def take(self, got: pd.DataFrame) -> None:
+        self.result.calls += int(got["calls"].sum())
+        self.result.tokens_in += int(got["tokens"].sum())
+        for row in got.itertuples():
+            if self.decided:
+                self.result.overshoot += 1
+                continue
+            self.result.seen += 1
+            self.end = row.pos + 1
+            if not row.keep:
+                continue
+            for i, t in enumerate(self.tallies):
+                t.push([row.bits >> i & 1])
+            if len(self.result.tokens) < SAMPLE_TOKENS:
+                self.result.tokens.append((None, int(row.tid), 1 if row.bits & 1 else -1))
+
+    def finish(self, total: int) -> Result:
+        early, result = self.decided, self.result
+        for t in self.tallies:
+            if not early:
+                t.close()
+        result.verdict = all(bool(t.verdict) for t in self.tallies)
+        first = next((t for t in self.tallies if t.verdict is False), self.tallies[0])
+        result.settled_by, result.hits, result.lo, result.hi = first.settled_by or "exhausted", self.tallies[0].hits, first.lo, first.hi
+        result.complete, result.vacuous = result.settled_by != "interval" and (self.low >= total or result.settled_by == "bound"), self.tallies[0].seen == 0 and not early
+        result.tokens_out = result.calls * ANSWER_TOKENS
+        return result
 
 
-def _run_rows(claim: Claim, df: DataFrame, model: SemanticModel, p: Plan, size: int | None) -> Result:
+def _run_rows(claim: Claim, df: DataFrame, models: list[SemanticModel], p: Plan, size: int | None) -> list[Result]:
     """An ungrouped claim, in waves."""
-    options, form, spark = p.options, claim.form, df.sparkSession
-    tallies = _tallies(form, size, p.alpha_inner, options)
-    evaluate = _Evaluator(claim, model, options.fusion, options.max_fused, options.cache)
+    options, spark = p.options, df.sparkSession
+    evaluators = _evaluators(claim, models, options)
+    runs = [_Run(_tallies(claim.form, size, p.alpha_inner, options), Result(claim.claim_id, False, "", 0, 0, size, plan=p)) for _ in models]
     columns = _needed(claim)
-    result = Result(claim.claim_id, False, "", 0, 0, size, plan=p)
     places = _positions(df, claim, p.inner_order, options)
     total = size if size is not None else places.count()
     limit = min(total, options.top_k) if options.top_k else total
-    wave, low, stage, stage_end, end, waves = options.batch, 0, None, 0, 0, []
-    while low < limit and not _decided(tallies):
+    wave, low, stage, stage_end, waves = options.batch, 0, None, 0, []
+    while low < limit and (active := {m: evaluators[m] for m, r in enumerate(runs) if not r.decided}):
         if low >= stage_end:
             stage_end = min(limit, max(STAGE, stage_end * 8))
             wanted = places.filter((F.col("pos") >= low) & (F.col("pos") < stage_end)).select("tid", "pos")
             stage = written(_needed_frame(df, columns).join(wanted, "tid").repartitionByRange("pos").sortWithinPartitions("pos"), "stage")
         high = min(low + wave, stage_end)
         part = stage.filter((F.col("pos") >= low) & (F.col("pos") < high))
-        waves.append(written(part.mapInPandas(_wave_rows(evaluate, columns, options.batch), WAVE), "wave"))
+        waves.append(written(part.mapInPandas(_wave_rows(active, columns, options.batch), WAVE), "wave"))
         got = waves[-1].toPandas().sort_values("pos")
-        result.calls += int(got["calls"].sum())
-        result.tokens_in += int(got["tokens"].sum())
-        for row in got.itertuples():
-            if _decided(tallies):
-                result.overshoot += 1
-                continue
-            result.seen += 1
-            end = row.pos + 1
-            if not row.keep:
-                continue
-            for i, t in enumerate(tallies):
-                t.push([row.bits >> i & 1])
-            if len(result.tokens) < SAMPLE_TOKENS:
-                result.tokens.append((None, int(row.tid), 1 if row.bits & 1 else -1))
+        for m in active:
+            runs[m].take(got[got["m"] == m])
+            runs[m].low = high
         low, wave = high, min(wave * options.growth, options.max_wave)
-    early = _decided(tallies)
-    for t in tallies:
-        if not early:
-            t.close()
-    result.verdict = all(bool(t.verdict) for t in tallies)
-    first = next((t for t in tallies if t.verdict is False), tallies[0])
-    result.settled_by, result.hits, result.lo, result.hi = first.settled_by or "exhausted", tallies[0].hits, first.lo, first.hi
-    result.complete, result.vacuous = result.settled_by != "interval" and (low >= total or result.settled_by == "bound"), tallies[0].seen == 0 and not early
-    result.tokens_out = result.calls * ANSWER_TOKENS
     every = waves[0] if waves else spark.createDataFrame([], WAVE)
     for part in waves[1:]:
         every = every.union(part)
-    result.answers = every.filter((F.col("pos") < end) & F.col("keep")).select("tid", "pos", _bit(0).alias("hit"))
-    return result
+    for m, run in enumerate(runs):
+        run.finish(total).answers = every.filter((F.col("m") == m) & (F.col("pos") < run.end) & F.col("keep")).select("tid", "pos", _bit(0).alias("hit"))
+    return [r.result for r in runs]
 
 
-def _group_function(evaluate: _Evaluator, form: Quantified, alpha: float | None, options: VerifyOptions, columns: list[str]):
+def _group_function(evaluators: dict[int, _Evaluator], form: Quantified, alpha: float | None, options: VerifyOptions, columns: list[str]):
     """A table function: one call per row of a partition (a group, in order), the rest of a settled group is skipped."""
     from pyspark.sql.functions import udtf
     from pyspark.sql.udtf import SkipRestOfInputTableException
 
-    @udtf(returnType="g string, verdict boolean, seen long, hits long, calls long, tokens long, settled_by string, sample array<long>")
+    @udtf(returnType="m int, g string, verdict boolean, seen long, hits long, calls long, tokens long, settled_by string, sample array<long>")
     class RunGroup:
         def __init__(self) -> None:
-            self.g, self.tallies, self.seen, self.kept, self.calls, self.tokens, self.sample = None, None, 0, 0, 0, 0, []
+            self.m, self.g, self.tallies, self.seen, self.kept, self.calls, self.tokens, self.sample = 0, None, None, 0, 0, 0, 0, []
 
         def eval(self, row):
             if self.tallies is None:
-                self.g = row["g"]
-                self.tallies = _tallies(form, row["n"] if evaluate.scope is None else None, alpha, options)
+                self.m, self.g = row["m"], row["g"]
+                self.tallies = _tallies(form, row["n"] if evaluators[self.m].scope is None else None, alpha, options)
             if not (options.early_stop and _decided(self.tallies)):
-                keep, bits, calls, tokens = evaluate({c: row[c] for c in columns})
+                keep, bits, calls, tokens = evaluators[self.m]({c: row[c] for c in columns})
                 self.seen += 1
                 self.calls += calls
                 self.tokens += tokens
@@ -283,21 +327,21 @@ def _group_function(evaluate: _Evaluator, form: Quantified, alpha: float | None,
                 for t in self.tallies:
                     t.close()
             verdict = all(bool(t.verdict) for t in self.tallies) if self.kept else None
-            yield self.g, verdict, self.seen, self.tallies[0].hits, self.calls, self.tokens, self.tallies[0].settled_by or "bound", self.sample
+            yield self.m, self.g, verdict, self.seen, self.tallies[0].hits, self.calls, self.tokens, self.tallies[0].settled_by or "bound", self.sample
 
     return RunGroup
 
 
-def _fold(groups: DataFrame, outers: list, keys: list[str]) -> DataFrame:
-    """Verdicts of the groups at all keys (columns keys and verdict) folded up to those of the outermost level's groups."""
+def _fold(groups: DataFrame, outers: list) -> DataFrame:
+    """Verdicts of the groups at all keys (columns m, keys and verdict) folded up to those of the outermost level's groups."""
     for i in range(len(outers) - 1, 0, -1):
         test, upper = outers[i][0], list(outers[i - 1][1])
-        counted = groups.groupBy(*upper).agg(F.count_if("verdict").alias("_h"), F.count(F.lit(1)).alias("_n"))
-        groups = counted.select(*upper, test.verdict(F.col("_h"), F.col("_n")).alias("verdict"))
+        counted = groups.groupBy("m", *upper).agg(F.count_if("verdict").alias("_h"), F.count(F.lit(1)).alias("_n"))
+        groups = counted.select("m", *upper, test.verdict(F.col("_h"), F.col("_n")).alias("verdict"))
     return groups
 
 
-def _run_groups(claim: Claim, df: DataFrame, model: SemanticModel, p: Plan) -> Result:
+def _run_groups(claim: Claim, df: DataFrame, models: list[SemanticModel], p: Plan) -> list[Result]:
     options, form, spark = p.options, claim.form, df.sparkSession
     keys, inner, outers = [], form, []
     while isinstance(inner, Nested):
@@ -305,9 +349,9 @@ def _run_groups(claim: Claim, df: DataFrame, model: SemanticModel, p: Plan) -> R
         outers.append((inner.outer, tuple(keys)))
         inner = inner.inner
     columns = _needed(claim)
-    evaluate = _Evaluator(claim, model, options.fusion, options.max_fused, options.cache)
+    evaluators = _evaluators(claim, models, options)
     if options.group_exec == "hash" or not options.early_stop:
-        return _run_hashed_groups(claim, df, p, evaluate, columns, keys, inner, outers)
+        return _run_hashed_groups(claim, df, models, p, columns, keys, inner, outers)
     g = F.to_json(F.struct(*keys), {"ignoreNullFields": "false"})
     ordered = _needed_frame(df, columns, tuple(keys))
     if p.inner_order == "relevance" or p.outer_order == "relevance":
@@ -322,23 +366,25 @@ def _run_groups(claim: Claim, df: DataFrame, model: SemanticModel, p: Plan) -> R
     p = plan(claim, options, m)
     within = {"estimate": F.xxhash64(F.lit(options.seed), F.col("tid")).cast("double"), "relevance": -F.col("rel_score") if p.inner_order == "relevance" else None}.get(p.inner_order, F.col("tid").cast("double"))
     ordered = ordered.withColumn("k", within)
-    result = Result(claim.claim_id, False, "", 0, 0, m, plan=p)
     flat = len(outers) == 1
-    outer = Tally(outers[0][0], m if flat and claim.semantic_scope is None else None, p.alpha_outer if flat else None, options.eps, flat)
-    run = _group_function(evaluate, inner, p.alpha_inner, options, columns)
+    results = [Result(claim.claim_id, False, "", 0, 0, m, plan=p) for _ in models]
+    tallies = [Tally(outers[0][0], m if flat and claim.semantic_scope is None else None, p.alpha_outer if flat else None, options.eps, flat) for _ in models]
+    run = _group_function(evaluators, inner, p.alpha_inner, options, columns)
     name = f"run_groups_{uuid.uuid4().hex}"  # names of a session, which other runs share
     spark.udtf.register(name, run)
 
-    def answered(low: int, high: int) -> DataFrame:
+    def answered(low: int, high: int, active: list[int]) -> DataFrame:
         chosen = sizes.filter((F.col("gpos") >= low) & (F.col("gpos") < high)).select(*keys, "n", "g")
-        ordered.join(chosen, keys).createOrReplaceTempView(f"{name}_wave")
-        got = spark.sql(f"SELECT * FROM {name}(TABLE(SELECT * FROM {name}_wave) PARTITION BY g ORDER BY (k, tid))")
+        asked = ordered.join(chosen, keys).withColumn("m", F.explode(F.array(*[F.lit(x) for x in active])))
+        asked.createOrReplaceTempView(f"{name}_wave")
+        got = spark.sql(f"SELECT * FROM {name}(TABLE(SELECT * FROM {name}_wave) PARTITION BY (m, g) ORDER BY (k, tid))")
         return written(got.join(sizes.select("g", "gpos", *keys), "g"), "group-wave")
 
     if flat:
         wave, low = max(options.batch, 32), 0
-        while low < m and not outer.settled:
-            for row in answered(low, low + wave).select("g", "gpos", "verdict", "seen", "calls", "tokens", "sample").toPandas().sort_values("gpos").itertuples():
+        while low < m and (active := [x for x, t in enumerate(tallies) if not t.settled]):
+            for row in answered(low, low + wave, active).select("m", "g", "gpos", "verdict", "seen", "calls", "tokens", "sample").toPandas().sort_values("gpos").itertuples():
+                result, outer = results[row.m], tallies[row.m]
                 result.calls += int(row.calls)
                 result.tokens_in += int(row.tokens)
                 if outer.settled:
@@ -350,51 +396,58 @@ def _run_groups(claim: Claim, df: DataFrame, model: SemanticModel, p: Plan) -> R
                 outer.push([bool(row.verdict)])
                 result.tokens += [(row.g, int(x) if x >= 0 else -int(x) - 1, 1 if x >= 0 else -1) for x in row.sample[: max(0, SAMPLE_TOKENS - len(result.tokens))]]
             low, wave = low + wave, min(wave * options.growth, options.max_wave)
-        result.verdict = outer.close()
-        result.settled_by, result.hits, result.lo, result.hi = outer.settled_by or "exhausted", outer.hits, outer.lo, outer.hi
+        for result, outer in zip(results, tallies, strict=True):
+            result.verdict = outer.close()
+            result.settled_by, result.hits, result.lo, result.hi = outer.settled_by or "exhausted", outer.hits, outer.lo, outer.hi
     else:  # deeper levels fold up over all groups' verdicts
-        got = answered(0, m)
-        cost = got.agg(F.sum("calls").alias("calls"), F.sum("tokens").alias("tokens"), F.sum("seen").alias("seen")).first()
-        top = _fold(got.filter(F.col("verdict").isNotNull()).select(*keys, "verdict"), outers, keys).agg(F.count_if("verdict").alias("h"), F.count(F.lit(1)).alias("n")).first()
-        result.calls, result.tokens_in, result.seen, result.hits = cost["calls"] or 0, cost["tokens"] or 0, cost["seen"] or 0, top["h"]
-        result.verdict, result.settled_by = bool(outers[0][0].verdict(top["h"], top["n"])), "exhausted"
+        got = answered(0, m, list(range(len(models))))
+        costs = _by_model(got, models, F.sum("calls").alias("calls"), F.sum("tokens").alias("tokens"), F.sum("seen").alias("seen"))
+        tops = _by_model(_fold(got.filter(F.col("verdict").isNotNull()).select("m", *keys, "verdict"), outers), models, F.count_if("verdict").alias("h"), F.count(F.lit(1)).alias("n"))
+        for result, cost, top in zip(results, costs, tops, strict=True):
+            result.calls, result.tokens_in, result.seen, result.hits = cost["calls"] or 0, cost["tokens"] or 0, cost["seen"] or 0, top["h"]
+            result.verdict, result.settled_by = bool(outers[0][0].verdict(top["h"], top["n"])), "exhausted"
     spark.catalog.dropTempView(f"{name}_wave")
-    result.complete, result.tokens_out = result.settled_by != "interval", result.calls * ANSWER_TOKENS
-    return result
+    for result in results:
+        result.complete, result.tokens_out = result.settled_by != "interval", result.calls * ANSWER_TOKENS
+    return results
 
 
-def _run_hashed_groups(claim: Claim, df: DataFrame, p: Plan, evaluate: _Evaluator, columns: list[str], keys: list[str], inner: Quantified, outers: list) -> Result:
+def _run_hashed_groups(claim: Claim, df: DataFrame, models: list[SemanticModel], p: Plan, columns: list[str], keys: list[str], inner: Quantified, outers: list) -> list[Result]:
     """Every row is answered; groups of all levels are aggregates, pre-aggregated where the rows are."""
-    answers = written(_answered(df, evaluate, columns, tuple(keys)), "answers")
-    cost = answers.agg(F.sum("calls").alias("calls"), F.sum("tokens").alias("tokens"), F.count(F.lit(1)).alias("n")).first()
+    answers = written(_answered(df, _evaluators(claim, models, p.options), columns, tuple(keys)), "answers")
+    costs = _by_model(answers, models, F.sum("calls").alias("calls"), F.sum("tokens").alias("tokens"), F.count(F.lit(1)).alias("n"))
     hits = [F.count_if(_bit(i)).alias(f"_h{i}") for i in range(len(inner.tallies))]
-    groups = answers.filter("keep").groupBy(*keys).agg(F.count(F.lit(1)).alias("_n"), *hits)
+    groups = answers.filter("keep").groupBy("m", *keys).agg(F.count(F.lit(1)).alias("_n"), *hits)
     ok = F.lit(True)
     for i, (test, _) in enumerate(inner.tallies):
         ok = ok & test.verdict(F.col(f"_h{i}"), F.col("_n"))
-    top = _fold(groups.select(*keys, ok.alias("verdict")), outers, keys).agg(F.count_if("verdict").alias("h"), F.count(F.lit(1)).alias("n")).first()
-    calls = cost["calls"] or 0
-    return Result(claim.claim_id, bool(outers[0][0].verdict(top["h"], top["n"])), "exhausted", cost["n"], top["h"], top["n"], calls=calls, tokens_in=cost["tokens"] or 0, tokens_out=calls * ANSWER_TOKENS, plan=p)
+    tops = _by_model(_fold(groups.select("m", *keys, ok.alias("verdict")), outers), models, F.count_if("verdict").alias("h"), F.count(F.lit(1)).alias("n"))
+    return [
+        Result(claim.claim_id, bool(outers[0][0].verdict(top["h"], top["n"])), "exhausted", cost["n"], top["h"], top["n"], calls=cost["calls"] or 0, tokens_in=cost["tokens"] or 0, tokens_out=(cost["calls"] or 0) * ANSWER_TOKENS, plan=p)
+        for cost, top in zip(costs, tops, strict=True)
+    ]
 
 
-def _run_rank(claim: Claim, df: DataFrame, model: SemanticModel, p: Plan) -> Result:
+def _run_rank(claim: Claim, df: DataFrame, models: list[SemanticModel], p: Plan) -> list[Result]:
     """Every row of every group is needed: one fused pass, then a hash aggregation, then one row per group is ranked."""
     form, options = claim.form, p.options
     columns, keys = _needed(claim), list(form.keys)
     as_rows = Claim(claim.claim_id, claim.relation, Quantified(EXISTS, form.phi), claim.scope, claim.semantic_scope)
-    evaluate = _Evaluator(as_rows, model, options.fusion, options.max_fused, options.cache)
-    answered = written(_answered(df, evaluate, columns, tuple(keys)).withColumn("hit", _bit(0)), "answers")
-    cost = answered.agg(F.sum("calls").alias("calls"), F.sum("tokens").alias("tokens"), F.count(F.lit(1)).alias("n")).first()
+    answered = written(_answered(df, _evaluators(as_rows, models, options), columns, tuple(keys)).withColumn("hit", _bit(0)), "answers")
+    costs = _by_model(answered, models, F.sum("calls").alias("calls"), F.sum("tokens").alias("tokens"), F.count(F.lit(1)).alias("n"))
     from sparkverdict.functions.truth import Pred
 
     hit = Pred("hit", lambda: F.col("hit"), "hit", lambda r: r["hit"], ("hit",))
-    ranked = rank_groups(answered.filter("keep"), RankIs(form.keys, form.target, form.rank, hit, form.by, form.descending))
+    ranked = rank_groups(answered.filter("keep"), RankIs(form.keys, form.target, form.rank, hit, form.by, form.descending), ("m",))
     at = None
     for k, v in zip(form.keys, form.target, strict=True):
         at = (F.col(k) == v) if at is None else at & (F.col(k) == v)
-    row = ranked.filter(at).first()
-    n, calls = cost["n"], cost["calls"] or 0
-    return Result(claim.claim_id, row is not None and row["rank"] == form.rank, "exhausted", n, row["hits"] if row else 0, row["seen"] if row else 0, calls=calls, tokens_in=cost["tokens"] or 0, tokens_out=calls * ANSWER_TOKENS, plan=p)
+    found = {r["m"]: r for r in ranked.filter(at).collect()}  # one row per model
+    out = []
+    for m, cost in enumerate(costs):
+        row, calls = found.get(m), cost["calls"] or 0
+        out.append(Result(claim.claim_id, row is not None and row["rank"] == form.rank, "exhausted", cost["n"], row["hits"] if row else 0, row["seen"] if row else 0, calls=calls, tokens_in=cost["tokens"] or 0, tokens_out=calls * ANSWER_TOKENS, plan=p))
+    return out
 
 
 def _identified(claim: Claim, rows: DataFrame) -> tuple[DataFrame, int]:
@@ -407,25 +460,29 @@ def _identified(claim: Claim, rows: DataFrame) -> tuple[DataFrame, int]:
 
 def verify(claim: Claim, df: DataFrame, options: VerifyOptions = VerifyOptions(), model: SemanticModel | None = None) -> Result:
     """Checks a claim over its relation. With every option off each row meets each semantic test."""
+    return verify_each(claim, df, options, [model or RuleModel()])[0]
+
+
+def verify_each(claim: Claim, df: DataFrame, options: VerifyOptions, models: list[SemanticModel]) -> list[Result]:
+    """The same for several models (a bounded list: their settled waves come to the driver), one result each."""
     ship_package(df.sparkSession)
-    model = model or RuleModel()
     p = plan(claim, options)
     rows = df.withColumn("tid", tuple_id(claim.relation))
     if claim.scope is not None:
         rows = rows.filter(claim.scope.safe())
     if isinstance(claim.form, RankIs) and not p.similarity:
-        return _run_rank(claim, rows, model, p)
+        return _run_rank(claim, rows, models, p)
     rows, size = _identified(claim, rows)
     if p.similarity:
         near = relevance.prefilter(rows, RELATIONS[claim.relation][1], relevance.spec_for(claim.semantic_scope), options.threshold)
         rows = rows.join(written(near.select("tid"), "similar"), "tid", "left_semi")  # sentences are compared once
     if isinstance(claim.form, RankIs):
-        return _run_rank(claim, rows, model, p)
+        return _run_rank(claim, rows, models, p)
     if isinstance(claim.form, Nested):
-        return _run_groups(claim, rows, model, p)
+        return _run_groups(claim, rows, models, p)
     if not options.early_stop and not options.top_k:
-        return _run_all_rows(claim, rows, model, p)
-    return _run_rows(claim, rows, model, p, size if p.size_known else None)
+        return _run_all_rows(claim, rows, models, p)
+    return _run_rows(claim, rows, models, p, size if p.size_known else None)
 
 
 def as_frame(spark: SparkSession, result: Result) -> DataFrame:

@@ -163,13 +163,13 @@ def evaluate(claim: Claim, df: DataFrame) -> DataFrame:
     return top.select(head, tests[0].verdict(F.col("hits"), F.col("seen")).alias("verdict"), "hits", "seen")
 
 
-def rank_groups(rows: DataFrame, form: RankIs) -> DataFrame:
-    """keys, hits, seen, rank: dense, one row per group; ties share a rank. Shares of equal fractions are equal doubles."""
+def rank_groups(rows: DataFrame, form: RankIs, within: tuple[str, ...] = ()) -> DataFrame:
+    """within, keys, hits, seen, rank: dense, one row per group; ties share a rank. Shares of equal fractions are equal doubles."""
     from pyspark.sql import Window
 
-    groups = rows.groupBy(*form.keys).agg(F.count_if(form.phi.safe()).alias("hits"), F.count(F.lit(1)).alias("seen"))
+    groups = rows.groupBy(*within, *form.keys).agg(F.count_if(form.phi.safe()).alias("hits"), F.count(F.lit(1)).alias("seen"))
     value = F.col("hits") / F.col("seen") if form.by == "share" else F.col("hits")
-    return groups.withColumn("rank", F.dense_rank().over(Window.orderBy(value.desc() if form.descending else value.asc())))
+    return groups.withColumn("rank", F.dense_rank().over((Window.partitionBy(*within) if within else Window).orderBy(value.desc() if form.descending else value.asc())))
 
 
 def _is_target(form: RankIs) -> Column:
