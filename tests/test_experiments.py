@@ -5,7 +5,11 @@ from __future__ import annotations
 import duckdb
 import pytest
 
-from sparkverdict import experiments, workloads
+from sparkverdict import experiments, trials, workloads
+from sparkverdict.operators.engine import verify, verify_each
+from sparkverdict.operators.models import RuleModel, tier
+from sparkverdict.plans.optimizer import VerifyOptions
+from sparkverdict.sources.relations import relation
 
 
 @pytest.mark.parametrize("name", ["agent_all", "program_sample", "program_scan_all"])
@@ -19,16 +23,43 @@ def test_baselines_answer_every_claim(spark, sf_dir, name):
         assert sorted(got.values()) == sorted(con.sql(experiments.SQL[name]).fetchall())
 
 
-def test_ablation_covers_what_plans_use(spark, sf_dir):
-    offs = {n: experiments.applicable(c) for n, c in workloads.benchmark().items()}
-    assert {x for found in offs.values() for x in found} == set(experiments.SWITCHES)
+def test_ablation_covers_what_runs_use(spark, sf_dir):
+    offs = {n: trials.applicable(c) for n, c in workloads.benchmark().items()}
+    assert {x for found in offs.values() for x in found} == set(trials.SWITCHES)
     assert offs["c08"] and {"fusion", "similarity"} <= set(offs["c03"]) and "fusion" in offs["c09"]
-    seen = []
-    run, experiments.verify = experiments.verify, lambda claim, df, options: seen.append(claim.claim_id) or type("R", (), {"calls": 1})
+    some = trials.ablation(spark, sf_dir, ("c02", "c03")).collect()
+    assert {(r.claim_id, r.off) for r in some} == {(n, x) for n in ("c02", "c03") for x in offs[n]}
+    assert {r.off: r.without > r["all"] for r in some if r.claim_id == "c03"}["similarity"]
+
+
+def test_models_run_together_as_alone(spark, sf_dir):
+    """Every way to run a claim gives each of several models what it gets alone."""
+    models = [tier("A", 0), tier("E", 1), tier("E", 2), RuleModel()]
+    for name, options in (("c02", VerifyOptions.all()), ("c15", VerifyOptions.all()), ("c08", VerifyOptions.all()), ("c08", VerifyOptions.none()), ("c09", VerifyOptions.none()), ("c13", VerifyOptions.none())):
+        claim = workloads.benchmark()[name]
+        df = relation(spark, sf_dir, claim.relation).coalesce(1)
+        for model, got in zip(models, verify_each(claim, df, options, models), strict=True):
+            alone = verify(claim, df, options, model)
+            assert (got.verdict, got.seen, got.hits, got.calls, got.tokens_in, got.overshoot, got.settled_by) == (alone.verdict, alone.seen, alone.hits, alone.calls, alone.tokens_in, alone.overshoot, alone.settled_by), (name, model)
+
+
+def test_main_table_is_the_log_counted(spark, sf_dir):
+    names = ("c02", "c08", "c13", "c25")
+    log = [r.asDict() for r in trials.run_log(spark, sf_dir, names).collect()]
+    assert len(log) == len(names) * 3 * (3 + 5)
+    run, trials.run_log = trials.run_log, lambda s, d: run(s, d, names)
     try:
-        rows = experiments.Q["metric_a11"](spark, sf_dir).collect()
+        table = {(r.config, r.measure): r for r in trials.main_table(spark, sf_dir).collect()}
+        heat = {r.claim_id: r.asDict() for r in trials.heat_map(spark, sf_dir).collect()}
     finally:
-        experiments.verify = run
-    assert {(r.claim_id, r.off) for r in rows} == {(n, x) for n, found in offs.items() for x in found} and len(rows) > 32
-    some = experiments.ablation(spark, sf_dir, ("c03",)).collect()
-    assert {r.off: r.without > r["all"] for r in some}["similarity"]
+        trials.run_log = run
+    for engine, tier_ in (("naive", "A"), ("optimized", "E")):
+        by_seed = [[r for r in log if r["engine"] == engine and r["tier"] == tier_ and r["seed"] == s] for s in trials.SEEDS]
+        accuracy = [sum(r["verdict"] == r["expected"] for r in rows) / len(rows) for rows in by_seed]
+        calls = [sum(r["calls"] for r in rows) / len(rows) for rows in by_seed]
+        got, cost = table[f"{engine}-{tier_}", "accuracy"], table[f"{engine}-{tier_}", "calls"]
+        assert (got.low, got.high) == (min(accuracy), max(accuracy)) and cost.mean == pytest.approx(sum(calls) / 3)
+        for n in names:
+            assert heat[n][f"{engine}_{tier_}"] == sum(r["verdict"] == r["expected"] for rows in by_seed for r in rows if r["claim_id"] == n)
+    total = lambda e: sum(r["calls"] for r in log if r["engine"] == e and r["tier"] == "A")
+    assert total("optimized") < total("naive")
