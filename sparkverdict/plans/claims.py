@@ -135,32 +135,33 @@ def _innermost(form: Nested) -> Quantified:
     return form
 
 
-def evaluate(claim: Claim, df: DataFrame) -> DataFrame:
-    """claim_id, verdict, hits, seen: every row meets every test. hits and seen are those of the outermost quantifier."""
+def evaluate(claim: Claim, df: DataFrame, within: tuple[str, ...] = ()) -> DataFrame:
+    """claim_id, within, verdict, hits, seen: every row meets every test. hits and seen are those of the outermost quantifier.
+    Each value of `within` is a relation of its own."""
     rows, form = domain(claim, df), claim.form
     head = F.lit(claim.claim_id).alias("claim_id")
     if isinstance(form, Quantified):
         aggs = [F.count_if(p.safe()).alias(f"h{i}") for i, (_, p) in enumerate(form.tallies)]
-        one = rows.agg(*aggs, F.count(F.lit(1)).alias("seen"))
+        one = rows.groupBy(*within).agg(*aggs, F.count(F.lit(1)).alias("seen"))
         verdict = _all(t.verdict(F.col(f"h{i}"), F.col("seen")) for i, (t, _) in enumerate(form.tallies))
-        return one.select(head, verdict.alias("verdict"), F.col("h0").alias("hits"), "seen")
+        return one.select(head, *within, verdict.alias("verdict"), F.col("h0").alias("hits"), "seen")
     if isinstance(form, RankIs):
-        ranked = rank_groups(rows, form)
-        found = ranked.filter(_is_target(form)).select(F.col("rank"), "hits", "seen")
-        at = found.agg(F.max("rank").alias("rank"), F.max("hits").alias("hits"), F.max("seen").alias("seen"))
-        return at.select(head, F.coalesce(F.col("rank") == form.rank, F.lit(False)).alias("verdict"), F.coalesce("hits", F.lit(0)).alias("hits"), F.coalesce("seen", F.lit(0)).alias("seen"))
+        ranked = rank_groups(rows, form, within)
+        found = ranked.filter(_is_target(form)).select(*within, F.col("rank"), "hits", "seen")
+        at = found.groupBy(*within).agg(F.max("rank").alias("rank"), F.max("hits").alias("hits"), F.max("seen").alias("seen"))
+        return at.select(head, *within, F.coalesce(F.col("rank") == form.rank, F.lit(False)).alias("verdict"), F.coalesce("hits", F.lit(0)).alias("hits"), F.coalesce("seen", F.lit(0)).alias("seen"))
     levels, inner = _keys(form), _innermost(form)
     aggs = [F.count_if(p.safe()).alias(f"h{i}") for i, (_, p) in enumerate(inner.tallies)]
-    level = rows.groupBy(*levels[-1]).agg(*aggs, F.count(F.lit(1)).alias("n"))
-    level = level.select(*levels[-1], _all(t.verdict(F.col(f"h{i}"), F.col("n")) for i, (t, _) in enumerate(inner.tallies)).alias("ok"))
+    level = rows.groupBy(*within, *levels[-1]).agg(*aggs, F.count(F.lit(1)).alias("n"))
+    level = level.select(*within, *levels[-1], _all(t.verdict(F.col(f"h{i}"), F.col("n")) for i, (t, _) in enumerate(inner.tallies)).alias("ok"))
     tests, f = [], form
     while isinstance(f, Nested):
         tests.append(f.outer)
         f = f.inner
     for keys, test in zip(reversed(levels[:-1]), reversed(tests[1:]), strict=True):
-        level = level.groupBy(*keys).agg(F.count_if("ok").alias("h"), F.count(F.lit(1)).alias("n")).select(*keys, test.verdict(F.col("h"), F.col("n")).alias("ok"))
-    top = level.agg(F.count_if("ok").alias("hits"), F.count(F.lit(1)).alias("seen"))
-    return top.select(head, tests[0].verdict(F.col("hits"), F.col("seen")).alias("verdict"), "hits", "seen")
+        level = level.groupBy(*within, *keys).agg(F.count_if("ok").alias("h"), F.count(F.lit(1)).alias("n")).select(*within, *keys, test.verdict(F.col("h"), F.col("n")).alias("ok"))
+    top = level.groupBy(*within).agg(F.count_if("ok").alias("hits"), F.count(F.lit(1)).alias("seen"))
+    return top.select(head, *within, tests[0].verdict(F.col("hits"), F.col("seen")).alias("verdict"), "hits", "seen")
 
 
 def rank_groups(rows: DataFrame, form: RankIs, within: tuple[str, ...] = ()) -> DataFrame:

@@ -40,7 +40,7 @@ def _options(engine: str) -> VerifyOptions:
     return VerifyOptions.none() if engine == "naive" else VerifyOptions.all()
 
 
-def _each_claim(spark: SparkSession, sf_dir: str, names: tuple[str, ...], run: Callable[[Claim, DataFrame], list[tuple]]) -> list[tuple]:
+def each_claim(spark: SparkSession, sf_dir: str, names: tuple[str, ...], run: Callable[[Claim, DataFrame], list[tuple]]) -> list[tuple]:
     """run() over all named claims, their relations read once each."""
     claims = workloads.benchmark()
     wanted = sorted({claims[n].relation for n in names})
@@ -67,7 +67,7 @@ def run_log(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = tuple(wor
                 rows.append((claim.claim_id, engine, t, s, bool(r.verdict), expected, r.seen, r.calls, r.tokens_in, r.tokens_out, r.settled_by))
         return rows
 
-    _made[key] = written(spark.createDataFrame(_each_claim(spark, sf_dir, names, one), LOG).coalesce(1), "run-log")
+    _made[key] = written(spark.createDataFrame(each_claim(spark, sf_dir, names, one), LOG).coalesce(1), "run-log")
     return _made[key]
 
 
@@ -151,7 +151,7 @@ def ablation(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = tuple(wo
         return rows
 
     schema = "claim_id string, off string, without long, `all` long, right_without boolean, right_all boolean"
-    _made[key] = written(spark.createDataFrame(_each_claim(spark, sf_dir, names, one), schema).coalesce(1), "ablation")
+    _made[key] = written(spark.createDataFrame(each_claim(spark, sf_dir, names, one), schema).coalesce(1), "ablation")
     return _made[key]
 
 
@@ -176,7 +176,7 @@ def naive_calls(spark: SparkSession, sf_dir: str) -> DataFrame:
     def one(claim: Claim, df: DataFrame) -> list[tuple]:
         return [(claim.claim_id, verify_each(claim, df, VerifyOptions.none(), [RuleModel()])[0].calls)]
 
-    return spark.createDataFrame(_each_claim(spark, sf_dir, tuple(workloads.benchmark()), one), "claim_id string, calls long")
+    return spark.createDataFrame(each_claim(spark, sf_dir, tuple(workloads.benchmark()), one), "claim_id string, calls long")
 
 
 def _naive_calls_sql(claim: Claim) -> str:

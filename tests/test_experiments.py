@@ -12,7 +12,7 @@ from sparkverdict.plans.optimizer import VerifyOptions
 from sparkverdict.sources.relations import relation
 
 
-@pytest.mark.parametrize("name", ["agent_all", "program_sample", "program_scan_all"])
+@pytest.mark.parametrize("name", ["agent_all", "program_sample", "program_scan_all", "program_iterate"])
 def test_baselines_answer_every_claim(spark, sf_dir, name):
     got = {r.claim_id: tuple(r) for r in experiments.Q[name](spark, sf_dir).collect()}
     assert set(got) == set(workloads.benchmark())
