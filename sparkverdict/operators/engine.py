@@ -70,7 +70,7 @@ def tuple_id(name: str) -> Column:
     keys = RELATIONS[name][0]
     if not keys:  # the engine numbers the rows
         return F.lit(None).cast("long")
-    return F.col(keys[0]).cast("long") if len(keys) == 1 else F.col(keys[0]).cast("long") * 8 + F.col(keys[1])
+    return F.col(keys[0]).try_cast("long") if len(keys) == 1 else F.col(keys[0]).cast("long") * 8 + F.col(keys[1])
 
 
 def _needed(claim: Claim) -> list[str]:
