@@ -103,8 +103,8 @@ def bonferroni(alpha: float, operators: int, aggregates: int, groups: int) -> fl
 
 
 def geometric(alpha: float, operators: int, aggregates: int, arrival: int) -> float:
-    """The share of the group that arrives as number 1, 2, ...; all shares add up to at most alpha."""
-    return alpha / (max(1, operators * aggregates) * 2.0**arrival)
+    """The share of the group that arrives as number 1, 2, ...; all shares add up to at most alpha. Late groups get 0."""
+    return math.ldexp(alpha / max(1, operators * aggregates), -arrival)
 
 
 def coverage(alpha: float, mean: float, rows: int, streams: int, size: int | None = None, seed: int = 0, classical: bool = False) -> float:
@@ -121,3 +121,44 @@ def coverage(alpha: float, mean: float, rows: int, streams: int, size: int | Non
         lo, hi = (ClassicalCI(alpha) if classical else BettingCS(alpha, size)).push(bits)
         missed += bool(((lo > true + 1e-12) | (hi < true - 1e-12)).any())
     return missed / streams
+
+
+def truth_refuted(alpha: float | np.ndarray, bits: np.ndarray, mean: float | np.ndarray, size: int | None = None) -> np.ndarray:
+    """Per stream (a row of bits) whether the bets against its own share ever reach 1/alpha, which is the only way in which
+    an interval can miss it; all streams at once. `mean` and `alpha` may differ by stream; with a size the streams are drawn
+    without replacement from that many rows, round(mean * size) of them hits."""
+    x = np.asarray(bits, float)
+    by_stream = lambda v: np.broadcast_to(np.asarray(v, float), len(x))[:, None]
+    a, share = by_stream(alpha), by_stream(mean)
+    t = np.arange(1, x.shape[1] + 1)
+    before = np.cumsum(x, axis=1) - x
+    squares = np.cumsum((x - (0.5 + before + x) / (t + 1)) ** 2, axis=1)
+    var = (0.25 + np.concatenate([np.zeros((len(x), 1)), squares[:, :-1]], axis=1)) / t
+    stake = np.sqrt(2 * np.log(2 / a) / (np.maximum(var, 1e-6) * t * np.log(t + 1)))
+    odds = share if size is None else (np.round(share * size) - before) / np.maximum(size - (t - 1), 1)
+    fair = np.clip(odds, 1e-9, 1 - 1e-9)
+    up = np.cumsum(np.log1p(np.minimum(stake, CAP / fair) * (x - fair)), axis=1)
+    down = np.cumsum(np.log1p(-np.minimum(stake, CAP / (1 - fair)) * (x - fair)), axis=1)
+    return (np.logaddexp(up, down) - math.log(2) >= np.log(1 / a)).any(axis=1)
+
+
+def streams_of(rng: np.random.Generator, streams: int, rows: int, mean: np.ndarray, size: int | None = None) -> np.ndarray:
+    """Seeded bits, a stream a row: independent ones, or the first rows of a shuffled relation."""
+    if size is None:
+        return rng.random((streams, rows)) < mean[:, None]
+    pools = np.arange(size)[None, :] < np.round(mean * size)[:, None]
+    return rng.permuted(pools, axis=1)[:, :rows]
+
+
+def family_missed(alpha: float, budget: str, groups: int, rows: int, families: int, seed: int = 0, size: int | None = None) -> int:
+    """Families of groups of which any group's own share is ever refuted. Budgets: 'known' (the number of groups is known),
+    'arrival' (it is not), 'none' (each group has the whole alpha)."""
+    rng = np.random.default_rng((seed, groups))
+    shares = {"known": [bonferroni(alpha, 1, 1, groups)] * groups, "arrival": [geometric(alpha, 1, 1, i + 1) for i in range(groups)], "none": [alpha] * groups}[budget]
+    missed = 0
+    for _ in range(families):
+        mean = rng.random(groups)
+        if size is not None:
+            mean = np.round(mean * size) / size
+        missed += bool(truth_refuted(np.asarray(shares), streams_of(rng, groups, rows, mean, size), mean, size).any())
+    return missed

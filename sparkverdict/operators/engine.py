@@ -24,14 +24,14 @@ from __future__ import annotations
 
 import uuid
 from collections.abc import Iterator
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from sparkverdict.operators import ranking, relevance
-from sparkverdict.operators.confseq import ClassicalCI
+from sparkverdict.operators.confseq import ClassicalCI, geometric
 from sparkverdict.operators.models import ANSWER_TOKENS, RuleModel, SemanticModel, tokens_in
 from sparkverdict.operators.tally import Tally
 from sparkverdict.plans.claims import EXISTS, Claim, Nested, Quantified, RankIs, domain, rank_groups
@@ -64,6 +64,8 @@ class Result:
     plan: Plan | None = None
     #: What the run has answered up to its end, as a written table: tid, pos, hit (of the first test).
     answers: DataFrame | None = field(default=None, repr=False)
+    #: The same with the rows that a semantic filter dropped: tid, keep, hit.
+    processed: DataFrame | None = field(default=None, repr=False)
 
 
 def tuple_id(name: str) -> Column:
@@ -214,6 +216,7 @@ def _run_all_rows(claim: Claim, df: DataFrame, models: list[SemanticModel], p: P
         out.append(Result(
             claim.claim_id, all(verdicts), "exhausted", got["n"], got["h0"], got["n"] if p.size_known else None, calls=calls, tokens_in=got["tokens"] or 0, tokens_out=calls * ANSWER_TOKENS,
             vacuous=got["kept"] == 0, plan=p, answers=answers.filter(F.col("keep") & (F.col("m") == m)).select("tid", F.col("tid").alias("pos"), _bit(0).alias("hit")),
+            processed=answers.filter(F.col("m") == m).select("tid", "keep", _bit(0).alias("hit")),
         ))
     return out
 
@@ -287,7 +290,9 @@ def _run_rows(claim: Claim, df: DataFrame, models: list[SemanticModel], p: Plan,
     for part in waves[1:]:
         every = every.union(part)
     for m, run in enumerate(runs):
-        run.finish(total).answers = every.filter((F.col("m") == m) & (F.col("pos") < run.end) & F.col("keep")).select("tid", "pos", _bit(0).alias("hit"))
+        taken = every.filter((F.col("m") == m) & (F.col("pos") < run.end))
+        run.finish(total).answers = taken.filter("keep").select("tid", "pos", _bit(0).alias("hit"))
+        run.result.processed = taken.select("tid", "keep", _bit(0).alias("hit"))
     return [r.result for r in runs]
 
 
@@ -304,7 +309,10 @@ def _group_function(evaluators: dict[int, _Evaluator], form: Quantified, alpha:
         def eval(self, row):
             if self.tallies is None:
                 self.m, self.g = row["m"], row["g"]
-                self.tallies = _tallies(form, row["n"] if evaluators[self.m].scope is None else None, alpha, options)
+                own = alpha
+                if alpha is not None and options.budget == "arrival":
+                    own = geometric(alpha, 1, 1, row["gpos"] + 1) or None  # too late a group is counted exactly
+                self.tallies = _tallies(form, row["n"] if evaluators[self.m].scope is None else None, own, options)
             if not (options.early_stop and _decided(self.tallies)):
                 keep, bits, calls, tokens = evaluators[self.m]({c: row[c] for c in columns})
                 self.seen += 1
@@ -374,7 +382,7 @@ def _run_groups(claim: Claim, df: DataFrame, models: list[SemanticModel], p: Pla
     spark.udtf.register(name, run)
 
     def answered(low: int, high: int, active: list[int]) -> DataFrame:
-        chosen = sizes.filter((F.col("gpos") >= low) & (F.col("gpos") < high)).select(*keys, "n", "g")
+        chosen = sizes.filter((F.col("gpos") >= low) & (F.col("gpos") < high)).select(*keys, "n", "g", "gpos")
         asked = ordered.join(chosen, keys).withColumn("m", F.explode(F.array(*[F.lit(x) for x in active])))
         asked.createOrReplaceTempView(f"{name}_wave")
         got = spark.sql(f"SELECT * FROM {name}(TABLE(SELECT * FROM {name}_wave) PARTITION BY (m, g) ORDER BY (k, tid))")
@@ -458,6 +466,23 @@ def _identified(claim: Claim, rows: DataFrame) -> tuple[DataFrame, int]:
     return written(rows.withColumn("tid", F.monotonically_increasing_id()), "identified"), counts["n"]
 
 
+def _after_filter(claim: Claim, rows: DataFrame, options: VerifyOptions, model: SemanticModel, p: Plan) -> Result:
+    """The semantic filter runs over every row first; what it keeps is a relation of known size, over which the rest runs."""
+    rows, _ = _identified(claim, rows)
+    if p.similarity:
+        near = relevance.prefilter(rows, RELATIONS[claim.relation][1], relevance.spec_for(claim.semantic_scope), options.threshold)
+        rows = rows.join(written(near.select("tid"), "similar"), "tid", "left_semi")
+    asks = Claim(claim.claim_id, claim.relation, Quantified(EXISTS, claim.semantic_scope))
+    asked = written(_answered(rows, _evaluators(asks, [model], options), _needed(asks)), "filtered")
+    spent = asked.agg(F.sum("calls").alias("calls"), F.sum("tokens").alias("tokens")).first()
+    kept = written(rows.join(asked.filter(_bit(0)).select("tid"), "tid", "left_semi").drop("tid"), "kept")
+    result = verify_each(replace(claim, scope=None, semantic_scope=None), kept, options, [model])[0]
+    result.calls += spent["calls"] or 0
+    result.tokens_in += spent["tokens"] or 0
+    result.tokens_out, result.plan = result.calls * ANSWER_TOKENS, p
+    return result
+
+
 def verify(claim: Claim, df: DataFrame, options: VerifyOptions = VerifyOptions(), model: SemanticModel | None = None) -> Result:
     """Checks a claim over its relation. With every option off each row meets each semantic test."""
     return verify_each(claim, df, options, [model or RuleModel()])[0]
@@ -470,6 +495,8 @@ def verify_each(claim: Claim, df: DataFrame, options: VerifyOptions, models: lis
     rows = df.withColumn("tid", tuple_id(claim.relation))
     if claim.scope is not None:
         rows = rows.filter(claim.scope.safe())
+    if options.cardinality == "after_filter" and claim.semantic_scope is not None and not isinstance(claim.form, RankIs):
+        return [_after_filter(claim, rows, options, model, p) for model in models]
     if isinstance(claim.form, RankIs) and not p.similarity:
         return _run_rank(claim, rows, models, p)
     rows, size = _identified(claim, rows)

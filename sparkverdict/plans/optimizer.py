@@ -28,6 +28,10 @@ class VerifyOptions:
     interval: str = "betting"
     #: 'sorted' reads groups in order and stops inside them, 'hash' aggregates every row.
     group_exec: str = "sorted"
+    #: 'known' divides alpha by the number of groups, 'arrival' halves it from group to group, for any number of groups.
+    budget: str = "known"
+    #: 'unknown' lets a semantic filter's rows arrive uncounted, 'after_filter' runs the whole filter first and counts them.
+    cardinality: str = "unknown"
     top_k: int | None = None
     rrf_k: int = 60
 
@@ -110,8 +114,9 @@ def plan(claim: Claim, options: VerifyOptions, groups: int | None = None) -> Pla
     filters, maps = semantic_prompts(claim)
     prompts = filters + maps
     # a fused filter hides how many rows reach the aggregate; unfused, the filter may run first and be counted
-    size_known = filters == 0
-    calls = -(-prompts // options.max_fused) if options.fusion else prompts
+    first = bool(filters) and options.cardinality == "after_filter"
+    size_known = filters == 0 or first
+    calls = (filters + -(-maps // options.max_fused) if first else -(-prompts // options.max_fused)) if options.fusion else prompts
     form, ranked = claim.form, isinstance(claim.form, RankIs)
     outer, inner = "-", form
     if isinstance(form, Nested):
@@ -121,7 +126,7 @@ def plan(claim: Claim, options: VerifyOptions, groups: int | None = None) -> Pla
     inner_order = "none" if ranked else order_for(inner, size_known, options)
     operators = (inner_order == "estimate") + (outer == "estimate")
     tallies = 1 if ranked else len(inner.tallies)
-    m = groups or 1
+    m = groups if groups and options.budget == "known" else 1
     return Plan(
         claim, options, calls, size_known, inner_order, outer,
         bonferroni(options.alpha, operators, tallies, m if outer != "-" else 1) if inner_order == "estimate" else None,

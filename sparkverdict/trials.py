@@ -9,15 +9,18 @@ from __future__ import annotations
 
 from collections.abc import Callable
 from concurrent.futures import ThreadPoolExecutor
+from functools import reduce
 
+import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from sparkverdict import workloads
-from sparkverdict.operators import metrics
-from sparkverdict.operators.engine import verify_each
+from sparkverdict.operators import metrics, provenance
+from sparkverdict.operators.confseq import family_missed, streams_of, truth_refuted
+from sparkverdict.operators.engine import tuple_id, verify_each
 from sparkverdict.operators.models import ACCURACY, PRICES, RuleModel, SemanticModel, tier
-from sparkverdict.plans.claims import Claim, Nested, RankIs, evaluate
+from sparkverdict.plans.claims import Claim, Nested, Quantified, RankIs, evaluate
 from sparkverdict.plans.optimizer import VerifyOptions, plan
 from sparkverdict.session import ship_package, written
 from sparkverdict.sources.relations import relation, relation_sql
@@ -120,6 +123,52 @@ def ratios(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.filter("usd_ratio IS NOT NULL").select("tier", F.round("usd_ratio", 9).alias("usd_ratio"), F.round("call_ratio", 9).alias("call_ratio"))
 
 
+QUALITY = "claim_id string, engine string, tier string, outputs long, right long, tp long, fp long, fn long, returned long, confirmed long"
+
+
+def quality_log(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = tuple(workloads.benchmark())) -> DataFrame:
+    """Per run of an ungrouped claim: outputs of its map and the right ones, the semantic filter's selections among the rows
+    it saw, cited tokens and those whose sign the columns confirm. A row per claim, engine and tier."""
+    claims = workloads.benchmark()
+    flat = tuple(n for n in names if isinstance(claims[n].form, Quantified))
+    key = (spark.sparkContext.applicationId, sf_dir, flat, "quality")
+    if key in _made:
+        return _made[key]
+
+    def one(claim: Claim, df: DataFrame) -> list[tuple]:
+        inside = claim.semantic_scope.safe() if claim.semantic_scope is not None else F.lit(True)
+        true = df.select(tuple_id(claim.relation).alias("tid"), inside.alias("inside"), claim.form.phi.safe().alias("true"))
+        rows = []
+        for engine, tiers in ENGINES.items():
+            done = dict(zip(tiers, verify_each(claim, df, _options(engine), [tier(t, SEEDS[0]) for t in tiers]), strict=True))
+            said = reduce(DataFrame.union, [r.processed.withColumn("tier", F.lit(t)) for t, r in done.items()]).join(true, "tid")
+            filtered = F.lit(claim.semantic_scope is not None)
+            maps = said.groupBy("tier").agg(
+                F.count_if("keep").alias("outputs"), F.count_if(F.col("keep") & (F.col("hit") == F.col("true"))).alias("right"),
+                F.count_if(filtered & F.col("keep") & F.col("inside")).alias("tp"), F.count_if(filtered & F.col("keep") & ~F.col("inside")).alias("fp"), F.count_if(filtered & ~F.col("keep") & F.col("inside")).alias("fn"),
+            )
+            cited = reduce(DataFrame.union, [provenance.cite_run(claim, r).select("tuple_id", "sign").withColumn("tier", F.lit(t)) for t, r in done.items()])
+            sign = F.when(F.col("true"), 1).otherwise(-1)
+            tokens = cited.join(true, F.col("tuple_id") == F.col("tid")).groupBy("tier").agg(F.count(F.lit(1)).alias("returned"), F.count_if(F.col("sign") == sign).alias("confirmed"))
+            # a row per tier
+            for r in maps.join(tokens, "tier", "full").na.fill(0).collect():
+                rows.append((claim.claim_id, engine, r["tier"], r["outputs"], r["right"], r["tp"], r["fp"], r["fn"], r["returned"], r["confirmed"]))
+        return rows
+
+    _made[key] = written(spark.createDataFrame(each_claim(spark, sf_dir, flat, one), QUALITY).coalesce(1), "quality-log")
+    return _made[key]
+
+
+def operator_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Per configuration, pooled over the runs: accuracy of maps, precision, recall and F1 of filters, precision of citations."""
+    total = quality_log(spark, sf_dir).groupBy(F.concat_ws("-", "engine", "tier").alias("config")).agg(*[F.sum(c).alias(c) for c in ("outputs", "right", "tp", "fp", "fn", "returned", "confirmed")])
+    scored = metrics.scores(total.withColumn("tn", F.lit(0)))
+    return scored.select(
+        "config", "outputs", F.round(F.try_divide("right", "outputs"), 9).alias("map_accuracy"), *[F.round(c, 9).alias(f"filter_{c}") for c in ("precision", "recall", "f1")],
+        "returned", F.round(F.try_divide("confirmed", "returned"), 9).alias("citation_precision"),
+    )
+
+
 def settled(spark: SparkSession, sf_dir: str) -> DataFrame:
     """How the optimized runs ended, and the share of the naive engine's calls that they made."""
     rows = run_log(spark, sf_dir).filter("tier IN ('A', 'B', 'C')")
@@ -186,6 +235,50 @@ def _naive_calls_sql(claim: Claim) -> str:
     return f"SELECT '{claim.claim_id}' AS claim_id, ({calls})::BIGINT AS calls FROM {relation_sql(claim.relation)} AS src {where}"
 
 
+# --- seeded trials of the intervals themselves ---
+ALPHA = 0.05
+#: Streams and families of one row of the input of a task; a row of the result pools them.
+CHUNK = 250
+STREAMS, FAMILIES = 4_000, 2_000
+MEANS = (0.02, 0.1, 0.3, 0.5, 0.95)
+
+
+def _chunked(spark: SparkSession, cells: list[tuple], total: int, schema: str, run: Callable, keys: tuple[str, ...]) -> DataFrame:
+    """run(row, seed) counts misses of a chunk; chunks are spread over tasks and added up."""
+    ship_package(spark)
+    rows = [(*cell, seed) for cell in cells for seed in range(total // CHUNK)]
+
+    def each(frames):
+        for frame in frames:
+            yield frame.assign(missed=[run(r, r.seed) for r in frame.itertuples()])
+
+    got = spark.createDataFrame(rows, f"{schema}, seed int").repartition(len(rows)).mapInPandas(each, f"{schema}, seed int, missed long")
+    return got.groupBy(*keys).agg((F.count(F.lit(1)) * CHUNK).alias("trials"), F.sum("missed").alias("missed")).withColumn("share", F.round(F.col("missed") / F.col("trials"), 9))
+
+
+def stream_coverage(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Streams of 500 to 800 rows, with and without replacement, of which the true share is ever refuted at alpha = .05."""
+
+    def run(r, seed: int) -> int:
+        rng = np.random.default_rng((17, seed))
+        rows, mean = int(rng.integers(500, 801)), np.full(CHUNK, r.mean)
+        size = 1_000 if r.kind == "without" else None
+        return int(truth_refuted(ALPHA, streams_of(rng, CHUNK, rows, mean, size), mean, size).sum())
+
+    return _chunked(spark, [(m, kind) for m in MEANS for kind in ("with", "without")], STREAMS, "mean double, kind string", run, ("mean", "kind"))
+
+
+def family_coverage(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Families of groups, each group with its share of alpha: families in which any interval can ever miss."""
+    cells = [(budget, m, kind) for budget in ("known", "arrival", "none") for m in (4, 20) for kind in ("with", "without")]
+
+    def run(r, seed: int) -> int:
+        return family_missed(ALPHA, r.budget, r.groups, 300, CHUNK, seed, 500 if r.kind == "without" else None)
+
+    return _chunked(spark, cells, FAMILIES, "budget string, groups int, kind string", run, ("budget", "groups", "kind"))
+
+
+Q |= {"metric_quality": operator_quality, "metric_quality_log": quality_log, "metric_a17_streams": stream_coverage, "metric_a17_family": family_coverage}
 Q |= {
     "metric_main": main_table, "metric_heat": heat_map, "metric_frontier": frontier, "metric_ratio": ratios, "metric_settled": settled, "metric_run_log": run_log,
     "metric_a11": ablation, "metric_a11_multiplier": multipliers, "metric_naive_calls": naive_calls,

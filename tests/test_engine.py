@@ -90,6 +90,26 @@ def test_group_execution_and_cache_take_effect(spark):
     assert whole.verdict is cached.verdict is True and whole.calls == 400 > cached.calls == 2
 
 
+def test_budgets_by_arrival_and_counts_after_the_filter(spark, sf_dir):
+    """Groups may share alpha by arrival; a filter that runs first gives the size, and the same verdict."""
+    rows = [(i, "licensed" if i % 10 < 6 else "plain", "en", 9, f"g{i % 30}") for i in range(30_000)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string, n_chars long, source string").coalesce(1)
+    claim = Claim("g", "documents", Nested(count(">=", 3), ("source",), Quantified(share(">", Fraction(1, 5)), truth.lic)))
+    options = VerifyOptions(cache=False)
+    known, arrival = verify(claim, df, options), verify(claim, df, replace(options, budget="arrival"))
+    assert known.verdict is arrival.verdict is True and arrival.plan.alpha_inner > known.plan.alpha_inner
+    filtered = workloads.benchmark()["c03"]
+    docs = relation(spark, sf_dir, "documents")
+    want = bool(evaluate(filtered, docs).first()["verdict"])
+    first = verify(filtered, docs, replace(VerifyOptions.exact(), cardinality="after_filter", cache=False))
+    assert first.verdict == want and first.plan.size_known and first.size is not None
+    assert first.size == docs.filter(filtered.scope.safe()).filter(filtered.semantic_scope.safe()).count()
+    # every row in the scope meets the filter, only what it keeps meets the map
+    assert first.calls <= docs.filter(filtered.scope.safe()).count() + first.size
+    every = verify(filtered, docs.limit(0), replace(VerifyOptions.exact(), cardinality="after_filter"))
+    assert every.verdict is False and every.calls == 0
+
+
 def test_runs_cite_what_they_processed(spark, sf_dir):
     """Tokens come from the answers of the run: signs are right, none is beyond the point where the run stopped."""
     df = relation(spark, sf_dir, "documents")
