@@ -1,11 +1,14 @@
 """Streams: event-time windows, and a claim monitor that keeps one tally per key and speaks once, when its test settles.
 
 The monitor's intervals hold under exchangeable arrival; time order does not give that, so `drift` shows beside it how the
-share moves between windows.
+share moves between windows. A key that falls silent can be closed by an event-time timer; its verdict is then the exact one
+of its rows. Streams are drained into files of the shared folder, not into the driver.
 """
 
 from __future__ import annotations
 
+import pickle
+import uuid
 from collections.abc import Iterator
 
 import pandas as pd
@@ -14,7 +17,7 @@ from pyspark.sql import functions as F
 
 from sparkverdict.operators.tally import Tally
 from sparkverdict.plans.claims import Test
-from sparkverdict.session import ship_package
+from sparkverdict.session import shared_dir, ship_package
 
 
 def event_stream(spark: SparkSession, sf_dir: str, files_per_trigger: int = 1) -> DataFrame:
@@ -25,13 +28,24 @@ def event_stream(spark: SparkSession, sf_dir: str, files_per_trigger: int = 1) -
 
 
 def run_once(stream: DataFrame, name: str, mode: str = "complete") -> DataFrame:
-    """Drains what is there into a memory table and returns it."""
-    q = stream.writeStream.outputMode(mode).format("memory").queryName(name).trigger(availableNow=True).start()
+    """Drains what is there into files of the shared folder and returns them: each batch's rows, or the last whole result."""
+    spark = stream.sparkSession
+    path = f"{shared_dir(spark)}/sparkverdict/stream-{name}-{uuid.uuid4().hex}"
+    folder = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    folder.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(folder)
+
+    def write(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/rows/batch={0 if mode == 'complete' else number}")
+
+    q = stream.writeStream.outputMode(mode).foreachBatch(write).option("checkpointLocation", f"{path}/progress").trigger(availableNow=True).start()
     try:
         q.awaitTermination()
     finally:
         q.stop()
-    return stream.sparkSession.table(name)
+    rows = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{path}/rows")
+    if not folder.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(rows):
+        return spark.createDataFrame([], stream.schema)
+    return spark.read.schema(stream.schema).parquet(f"{path}/rows/batch=*")
 
 
 def tumbling(events: DataFrame, width: str = "1 day") -> DataFrame:
@@ -42,27 +56,54 @@ def sliding(events: DataFrame, width: str = "2 days", step: str = "1 day") -> Da
     return events.withWatermark("ts", "2 hours").groupBy(F.window("ts", width, step).alias("w")).agg(F.count(F.lit(1)).alias("n")).select(F.col("w.start").cast("timestamp_ntz").alias("start"), "n")
 
 
-def monitor(events: DataFrame, key: str, hit: str, test: Test, size: int | None = None, alpha: float | None = None) -> DataFrame:
-    """key, verdict, seen, hits, settled_by: one row per key, when its test settles. State is a handful of numbers per key."""
+def monitor(
+    events: DataFrame, key: str, hit: str, test: Test, size: int | None = None, alpha: float | None = None, patience: int | None = None, delay: str = "2 hours"
+) -> DataFrame:
+    """key, verdict, seen, hits, settled_by: one row per key, when its test settles.
+
+    With `alpha` an interval may settle it, and the state holds the wealth of the interval's candidates (some 17 KB); without
+    it is a handful of numbers. With `patience` (seconds) a key whose last row lies that long behind the watermark, itself
+    `delay` behind the newest row, is closed by a timer and judged by the rows it has; rows that come later are ignored."""
     ship_package(events.sparkSession)
 
     def step(k: tuple, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
-        seen, hits, done = state.get if state.exists else (0, 0, False)
+        held, done, last = state.get if state.exists else (None, False, 0)
         if done:
             for _ in frames:
                 pass
             return
-        tally = Tally(test, size)
-        tally.seen, tally.hits = seen, hits
-        rows = pd.concat(list(frames))
-        tally.push(rows.sort_values(["ts", "event_id"])["hit"].to_numpy())
-        state.update((tally.seen, tally.hits, tally.settled))
+        tally = pickle.loads(held) if held is not None else Tally(test, size, alpha)
+        if state.hasTimedOut:
+            tally.close()
+        else:
+            rows = pd.concat(list(frames)).sort_values(["ts", "event_id"])
+            tally.push(rows["hit"].fillna(False).to_numpy(bool))
+            last = max(last, int(rows["at"].max()))
+        state.update((None if tally.settled else pickle.dumps(tally), tally.settled, last))
         if tally.settled:
             yield pd.DataFrame({key: [k[0]], "verdict": [tally.verdict], "seen": [tally.seen], "hits": [tally.hits], "settled_by": [tally.settled_by]})
+        elif patience is not None:
+            state.setTimeoutTimestamp(max(last + patience * 1000, state.getCurrentWatermarkMs() + 1))
 
     kind = events.schema[key].dataType.simpleString()
-    rows = events.select(key, "ts", "event_id", F.expr(hit).alias("hit"))
-    return rows.groupBy(key).applyInPandasWithState(step, f"{key} {kind}, verdict boolean, seen long, hits long, settled_by string", "seen long, hits long, done boolean", "append", "NoTimeout")
+    rows = (events if patience is None else events.withWatermark("ts", delay)).select(key, "ts", "event_id", F.expr(hit).alias("hit"), F.unix_millis("ts").alias("at"))
+    timer = "NoTimeout" if patience is None else "EventTimeTimeout"
+    return rows.groupBy(key).applyInPandasWithState(step, f"{key} {kind}, verdict boolean, seen long, hits long, settled_by string", "tally binary, done boolean, last long", "append", timer)
+
+
+def old_after_new(events: DataFrame, cut: str, last: str) -> DataFrame:
+    """The events as a stream of three batches: those from the day `cut` on, then those from the day `last` on, then the
+    older ones, late. Spark drops what is behind the watermark of the batch before, so the lateness shows in the third."""
+    spark = events.sparkSession
+    path = f"{shared_dir(spark)}/sparkverdict/late-{uuid.uuid4().hex}"
+    folder = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    folder.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(folder)
+    new, newest = (F.col("ts") >= F.lit(day).cast("timestamp") for day in (cut, last))
+    files = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    for number, part in enumerate((new & ~newest, newest, ~new)):
+        # the stream takes files by their age; each part has as many as a batch takes
+        events.filter(part).repartition(files).write.parquet(f"{path}/part={number}")
+    return spark.readStream.schema(events.schema).option("maxFilesPerTrigger", files).option("recursiveFileLookup", "true").option("pathGlobFilter", "*.parquet").parquet(path)
 
 
 def drift(events: DataFrame, hit: str, width: str = "7 days") -> DataFrame:

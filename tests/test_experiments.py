@@ -7,6 +7,7 @@ import pytest
 
 from sparkverdict import experiments, trials, workloads
 from sparkverdict.operators.engine import verify, verify_each
+from sparkverdict.operators.models import ACCURACY
 from sparkverdict.operators.models import RuleModel, tier
 from sparkverdict.plans.optimizer import VerifyOptions
 from sparkverdict.sources.relations import relation
@@ -63,3 +64,30 @@ def test_main_table_is_the_log_counted(spark, sf_dir):
             assert heat[n][f"{engine}_{tier_}"] == sum(r["verdict"] == r["expected"] for rows in by_seed for r in rows if r["claim_id"] == n)
     total = lambda e: sum(r["calls"] for r in log if r["engine"] == e and r["tier"] == "A")
     assert total("optimized") < total("naive")
+
+
+def test_quality_is_counted_from_the_runs(spark, sf_dir):
+    """The naive engine answers all rows of the scope and as often right as its tier; cited tokens are rows that it saw."""
+    rows = {(r["claim_id"], r["engine"], r["tier"]): r for r in trials.quality_log(spark, sf_dir, ("c03", "c13")).collect()}
+    assert len(rows) == 2 * (3 + 5)
+    docs = relation(spark, sf_dir, "documents")
+    for (name, engine, tier), r in rows.items():
+        claim = workloads.benchmark()[name]
+        scoped = docs.filter(claim.scope.safe()) if claim.scope else docs
+        assert r["right"] <= r["outputs"] and r["confirmed"] <= r["returned"] <= r["outputs"]
+        if claim.semantic_scope is None:
+            assert r["tp"] == r["fp"] == r["fn"] == 0
+        else:
+            assert r["outputs"] == r["tp"] + r["fp"]
+        if engine == "naive" and name == "c13":
+            assert r["outputs"] == scoped.count() and abs(r["right"] / r["outputs"] - ACCURACY[tier]) < 0.08
+
+
+def test_silent_keys_are_closed_and_late_rows_dropped(spark, sf_dir):
+    found = experiments.queries()
+    con = duckdb.connect()
+    con.sql(f"CREATE VIEW events AS SELECT * FROM read_parquet('{sf_dir}/events.parquet')")
+    for name in ("stream_late", "stream_monitor_timer"):
+        df = found[name](spark, sf_dir)
+        want = con.sql(f"SELECT {', '.join(df.columns)} FROM ({experiments.oracle_sql()[name]})").fetchall()
+        assert want and sorted(map(tuple, df.collect())) == sorted(want), name
