@@ -7,8 +7,7 @@ import pytest
 
 from sparkverdict import experiments, trials, workloads
 from sparkverdict.operators.engine import verify, verify_each
-from sparkverdict.operators.models import ACCURACY
-from sparkverdict.operators.models import RuleModel, tier
+from sparkverdict.operators.models import ACCURACY, RuleModel, tier
 from sparkverdict.plans.optimizer import VerifyOptions
 from sparkverdict.sources.relations import relation
 
