@@ -90,3 +90,17 @@ def test_silent_keys_are_closed_and_late_rows_dropped(spark, sf_dir):
         df = found[name](spark, sf_dir)
         want = con.sql(f"SELECT {', '.join(df.columns)} FROM ({experiments.oracle_sql()[name]})").fetchall()
         assert want and sorted(map(tuple, df.collect())) == sorted(want), name
+
+
+@pytest.mark.parametrize("first, last", [("2024-01-01 00:00:00.2", "2024-01-30 23:59:59.7"), ("2024-01-01 00:00:11", "2024-01-31 00:00:30")])
+def test_late_stream_cuts_at_the_middle_with_few_newest_rows(spark, tmp_path, first, last):
+    """Fractions of seconds count for the middle; a last day of one row is still a batch of its own."""
+    con = duckdb.connect()
+    con.sql(
+        f"""COPY (SELECT i AS event_id, CASE i WHEN 0 THEN TIMESTAMP '{first}' WHEN 899 THEN TIMESTAMP '{last}' ELSE TIMESTAMP '2024-01-01 01:00:00' + to_hours((i % 29) * 24 + i % 22) END AS ts,
+         i % 7 AS user_id, 'k' || (i % 3) AS event_type, 1.0 AS value, '' AS props FROM range(900) t(i)) TO '{tmp_path}/events.parquet' (FORMAT parquet)"""
+    )
+    con.sql(f"CREATE VIEW events AS SELECT * FROM read_parquet('{tmp_path}/events.parquet')")
+    df = experiments.queries()["stream_late"](spark, str(tmp_path))
+    want = con.sql(f"SELECT {', '.join(df.columns)} FROM ({experiments.oracle_sql()['stream_late']})").fetchall()
+    assert want and sorted(map(tuple, df.collect())) == sorted(want)
