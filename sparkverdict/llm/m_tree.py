@@ -10,6 +10,8 @@ keeps pages in a heap by their lower bound; with the distance from the query to
 triangle inequality bounds the distance of each of its entries from the stored parent distances, and only entries that
 may still be among the k best get their distances computed. Pages or entries that tie with the kth best are visited, so
 ties go to the smaller vec_id. Bounds have a slack above the rounding of floating point; scores are computed in integers.
+Queries go down the tree in bundles, each with its own bounds: a page's entries are scored by one product of matrices for
+those queries of the bundle that the page may still concern.
 
 Candidates are dealt into blocks by a hash of vec_id and queries into blocks by their id; each pair of blocks is one group
 (a stated query set against all rows, in blocks), builds its tree, and returns k rows a query; those meet in a ranking per
@@ -43,6 +45,8 @@ CANDIDATES = 32_768
 QUERIES = 32_768
 #: Blocks may be this small where there are tasks to spare.
 LEAST_CANDIDATES = 4_096
+#: Queries that descend a tree together.
+TOGETHER = 256
 SLACK = 1e-6
 
 
@@ -92,58 +96,88 @@ class MTree:
 
     def search(self, q: np.ndarray, k: int, own: int | None = None) -> list[tuple[int, int]]:
         """The k best (score, vec_id), higher scores first, then smaller ids."""
+        return self.search_all(q[None, :], k, [own])[0]
+
+    def search_all(self, q: np.ndarray, k: int, own: list[int | None]) -> list[list[tuple[int, int]]]:
+        """The same for each row of q. Queries that are near the same routing vector descend together, `TOGETHER` at a time:
+        a page is read once for those of them that its bound still admits."""
         if self.root is None:
-            return []
-        base = float(q @ q) + self.top
-        best: list[tuple[int, int]] = []  # heap of (score, -vec_id), the worst first
-        to_pivot = math.sqrt(max(0.0, base - 2 * float(q @ self.x[self.pivot])))
-        heap: list[tuple[float, int, Node, float]] = [(0.0, 0, self.root, to_pivot)]
+            return [[] for _ in q]
+        order = np.argmax(q @ self.root.vectors.T, axis=1).argsort(kind="stable") if self.root.children else np.arange(len(q))
+        found: list[list[tuple[int, int]]] = [[] for _ in q]
+        for low in range(0, len(q), TOGETHER):
+            some = order[low : low + TOGETHER]
+            for i, best in zip(some.tolist(), self._descend(q[some], k, [own[i] for i in some.tolist()]), strict=True):
+                found[i] = best
+        return found
+
+    def _descend(self, q: np.ndarray, k: int, own: list[int | None]) -> list[list[tuple[int, int]]]:
+        base = (q * q).sum(1) + self.top
+        best: list[list[tuple[int, int]]] = [[] for _ in q]  # a heap of (score, -vec_id) per query, the worst first
+        #: Score and distance of the kth best of each query so far.
+        kth, limit = np.full(len(q), -np.inf), np.full(len(q), np.inf)
+        to_pivot = np.sqrt(np.maximum(base - 2 * (q @ self.x[self.pivot]), 0))
+        # pages by the least of the bounds of the queries that may need them
+        heap: list[tuple[float, int, Node, np.ndarray, np.ndarray, np.ndarray]] = [(0.0, 0, self.root, np.arange(len(q)), np.zeros(len(q)), to_pivot)]
         n = 0
-
-        def reach() -> float:
-            """The distance of the kth best so far."""
-            return math.sqrt(max(0.0, base - 2 * best[0][0])) + SLACK if len(best) == k else math.inf
-
-        limit = math.inf
         while heap:
-            bound, _, node, d = heapq.heappop(heap)
-            if bound > limit:
+            least, _, node, asks, bound, d = heapq.heappop(heap)
+            if least > limit.max():
                 break
+            on = bound <= limit[asks]
+            if not on.any():
+                continue
+            asks, bound, d = asks[on], bound[on], d[on]
             # triangle inequality over the stored parent distances: |d - parent| - radius bounds each entry from below
-            low = np.abs(d - node.parent) - (node.radius if node.children else 0.0)
-            open_ = np.flatnonzero(low <= limit)
-            if not len(open_):
+            low = np.abs(d[:, None] - node.parent) - (node.radius if node.children else 0.0)
+            admitted = low <= limit[asks][:, None]
+            entries, rows = np.flatnonzero(admitted.any(axis=0)), admitted.any(axis=1)
+            if not len(entries):
                 continue
-            every = len(open_) == len(node.at)
-            at = node.at if every else node.at[open_]
-            scores = (node.vectors if every else node.vectors[open_]) @ q  # integers in doubles, exact
+            asks, bound, low = asks[rows], bound[rows], low[np.ix_(rows, entries)]
+            scores = q[asks] @ (node.vectors if len(entries) == len(node.at) else node.vectors[entries]).T  # integers in doubles, exact
             if node.children:
-                dist = np.sqrt(np.maximum(base - 2 * scores, 0))
-                least = np.maximum(np.maximum(dist - node.radius[open_], low[open_]), bound)
-                for i, b, e in zip(open_.tolist(), least.tolist(), dist.tolist(), strict=True):
-                    if b <= limit:
+                dist = np.sqrt(np.maximum(base[asks][:, None] - 2 * scores, 0))
+                bounds = np.maximum(np.maximum(dist - node.radius[entries], low), bound[:, None])
+                within = bounds <= limit[asks][:, None]
+                for j, i in enumerate(entries.tolist()):
+                    into = np.flatnonzero(within[:, j])
+                    if len(into):
                         n += 1
-                        heapq.heappush(heap, (b, n, node.children[i], e))
+                        heapq.heappush(heap, (float(bounds[into, j].min()), n, node.children[i], asks[into], bounds[into, j], dist[into, j]))
                 continue
-            if len(best) == k:
-                keep = scores >= best[0][0]
-                at, scores = at[keep], scores[keep]
-            for i in np.argsort(-scores, kind="stable").tolist():
-                s = int(scores[i])
-                if len(best) == k and s < best[0][0]:
+            at = node.at[entries]
+            some, those = np.nonzero(scores >= kth[asks][:, None])
+            for r, part in zip(*_runs(some, those), strict=True):
+                one, mine = int(asks[r]), scores[r, part]
+                self._take(best[one], mine, at[part], k, own[one])
+                if len(best[one]) == k:
+                    kth[one] = best[one][0][0]
+                    limit[one] = math.sqrt(max(0.0, base[one] - 2 * kth[one])) + SLACK
+        return [[(s, -i) for s, i in sorted(b, reverse=True)] for b in best]
+
+    def _take(self, best: list[tuple[int, int]], scores: np.ndarray, at: np.ndarray, k: int, own: int | None) -> None:
+        """Entries of a page into the heap of a query."""
+        for i in np.argsort(-scores, kind="stable").tolist() if len(scores) > 1 else (0,):
+            s = int(scores[i])
+            if len(best) == k and s < best[0][0]:
+                break
+            for vec_id in self.ids[at[i]].tolist():
+                if vec_id == own:
+                    continue
+                item = (s, -vec_id)
+                if len(best) < k:
+                    heapq.heappush(best, item)
+                elif item > best[0]:
+                    heapq.heapreplace(best, item)
+                else:
                     break
-                for vec_id in self.ids[at[i]].tolist():
-                    if vec_id == own:
-                        continue
-                    item = (s, -vec_id)
-                    if len(best) < k:
-                        heapq.heappush(best, item)
-                    elif item > best[0]:
-                        heapq.heapreplace(best, item)
-                    else:
-                        break
-            limit = reach()
-        return [(s, -i) for s, i in sorted(best, reverse=True)]
+
+
+def _runs(keys: np.ndarray, values: np.ndarray) -> tuple[list[int], list[np.ndarray]]:
+    """Sorted keys, each once, with its values."""
+    cuts = np.flatnonzero(np.diff(keys)) + 1
+    return (keys[np.concatenate([[0], cuts])].tolist(), np.split(values, cuts)) if len(keys) else ([], [])
 
 
 def build(ids: np.ndarray, x: np.ndarray, k: int, page: int = PAGE) -> MTree:
@@ -167,7 +201,8 @@ def _search_blocks(k: int):
         stack = lambda part: np.stack(part["v"].to_list()).astype("f8")
         candidates, queries = rows[~asked], rows[asked]
         tree = build(candidates["vec_id"].to_numpy(), stack(candidates), k)
-        found = [(int(i), vec_id, s) for i, q in zip(queries["vec_id"], stack(queries), strict=True) for s, vec_id in tree.search(q, k, int(i))]
+        ids = queries["vec_id"].tolist()
+        found = [(i, vec_id, s) for i, best in zip(ids, tree.search_all(stack(queries), k, ids), strict=True) for s, vec_id in best]
         yield pd.DataFrame(found, columns=["query_id", "vec_id", "score"])
 
     return run

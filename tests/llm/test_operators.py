@@ -8,6 +8,7 @@ import zlib
 from collections import Counter, defaultdict
 
 import numpy as np
+import pandas as pd
 import pytest
 import xxhash
 from pyspark.sql import functions as F
@@ -501,3 +502,15 @@ def test_long_and_deep_pages_take_linear_time():
     wide = site_tree.main_text("<div>" + "".join(f"<div class=x><p>t{i}</div>" for i in range(60_000)))
     deep = site_tree.main_text("<div>" * 60_000 + "end" + "</b></p></li>" * 60_000)
     assert wide.count("\n") == 59_999 and deep == "end" and time.process_time() - began < 30
+
+
+def test_m_tree_reads_a_page_once_for_a_bundle_of_queries(monkeypatch):
+    rng = np.random.default_rng(6)
+    x, taken, pop = np.floor(64 * rng.normal(size=(3000, 16))), [], m_tree.heapq.heappop
+    monkeypatch.setattr(m_tree.heapq, "heappop", lambda heap: taken.append(1) or pop(heap))
+    every = pd.DataFrame({"vec_id": np.arange(3000), "v": list(x), "is_query": False})
+    asked = every[every["vec_id"] % 20 == 0].assign(is_query=True)
+    (got,) = m_tree._search_blocks(5)((), iter([pd.concat([every, asked])]))
+    want = {(q, s, i) for q in range(0, 3000, 20) for s, i in [(-a, i) for a, i in sorted((-int(a), i) for i, a in enumerate(x @ x[q]) if i != q)[:5]]}
+    assert set(got[["query_id", "score", "vec_id"]].itertuples(index=False, name=None)) == want
+    assert len(taken) < len(asked)  # one by one, each query would read most of the pages
