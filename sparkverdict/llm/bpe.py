@@ -41,7 +41,7 @@ from tokenizers import Tokenizer, models
 from sparkverdict.llm.common import ship_package
 
 #: Fragments that a worker remembers in each of two generations; those longer than LONG bytes seldom return and are forgotten after their run.
-FRAGMENTS_KEPT = 300_000
+FRAGMENTS_KEPT = 100_000
 LONG = 64
 #: Characters of the texts that are cut at once, and of the parts of a longer text.
 RUN = 1 << 20
@@ -294,9 +294,10 @@ def encoder(path: str) -> ForcedCutEncoder:
 def _digest_batches(path: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from sparkverdict.llm import bpe
+        from sparkverdict.llm.common import slices
 
         coder = bpe.encoder(path)
-        for batch in batches:
+        for batch in slices(batches):
             found = coder.encode_batch(batch.column(1).to_pylist())
             n = [len(ids) // 4 for ids in found]
             ids_hash = [hashlib.sha256(ids).hexdigest() for ids in found]
@@ -309,9 +310,10 @@ def _digest_batches(path: str):
 def _id_batches(path: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from sparkverdict.llm import bpe
+        from sparkverdict.llm.common import slices
 
         coder = bpe.encoder(path)
-        for batch in batches:
+        for batch in slices(batches):
             found = coder.encode_batch(batch.column(batch.schema.get_field_index("_text")).to_pylist())
             ids = [np.frombuffer(raw, "<u4").astype("i4") for raw in found]
             decoded = [coder.decode(raw).decode() for raw in found]

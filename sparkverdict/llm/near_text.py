@@ -61,8 +61,9 @@ def band_keys(found: np.ndarray) -> np.ndarray:
 
 def _keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     from sparkverdict.llm import near_text as n
+    from sparkverdict.llm.common import slices
 
-    for batch in batches:
+    for batch in slices(batches):
         names, bands = [], []
         for x in batch.column(1):
             line = n.normal(x.as_py())
@@ -74,8 +75,9 @@ def _keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     from sparkverdict.llm import near_text as n
+    from sparkverdict.llm.common import slices
 
-    for batch in batches:
+    for batch in slices(batches):
         found = [n.shingles(n.normal(x.as_py())).tobytes() for x in batch.column(1)]
         yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(found, pa.binary())], names=["k", "fp", "shingles"])
 

@@ -170,12 +170,13 @@ def sample(docs: DataFrame, labels: DataFrame, fit: Fit) -> tuple[np.ndarray, np
     return x[flag], x[~flag]
 
 
-def _score_batches(model: Model):
+def _score_batches(model: Model, text: str = "_text"):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        from sparkverdict.llm.pu_quality import N_FEATURES, features
+        from sparkverdict.llm.common import slices
+        from sparkverdict.llm.pu_quality import features
 
-        for batch in batches:
-            x = np.stack([features(t.as_py()) for t in batch.column("_text")]) if batch.num_rows else np.zeros((0, N_FEATURES))
+        for batch in slices(batches):
+            x = np.stack([features(t.as_py()) for t in batch.column(text)])
             kept = [i for i, name in enumerate(batch.schema.names) if name != "_text"]
             yield pa.RecordBatch.from_arrays([*[batch.column(i) for i in kept], pa.array(model.score(x.astype("f8")))], names=[*[batch.schema.names[i] for i in kept], "score"])
 
@@ -205,5 +206,7 @@ def accepted(docs: DataFrame, labels: DataFrame, fit: Fit = Fit()) -> DataFrame:
     renamed = docs.toDF(*names)
     schema = ", ".join(f"{n} {f.dataType.simpleString()}" for n, f in zip(names, docs.schema.fields, strict=True))
     at = [c.lower() for c in docs.columns].index("text")
-    rows = renamed.withColumn("_text", F.col(names[at]).cast("string")).mapInArrow(_score_batches(model), f"{schema}, score double")
+    # a text goes to the workers once
+    text = names[at] if docs.dtypes[at][1] == "string" else "_text"
+    rows = (renamed if text != "_text" else renamed.withColumn("_text", F.col(names[at]).cast("string"))).mapInArrow(_score_batches(model, text), f"{schema}, score double")
     return rows.filter(F.col("score") >= THRESHOLD).drop("score").toDF(*docs.columns)

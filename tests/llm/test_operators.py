@@ -514,3 +514,12 @@ def test_m_tree_reads_a_page_once_for_a_bundle_of_queries(monkeypatch):
     want = {(q, s, i) for q in range(0, 3000, 20) for s, i in [(-a, i) for a, i in sorted((-int(a), i) for i, a in enumerate(x @ x[q]) if i != q)[:5]]}
     assert set(got[["query_id", "score", "vec_id"]].itertuples(index=False, name=None)) == want
     assert len(taken) < len(asked)  # one by one, each query would read most of the pages
+
+
+def test_workers_hold_few_texts_as_objects():
+    """Batches of any size are taken in parts, with the rows of the whole."""
+    import pyarrow as pa
+
+    batch = pa.RecordBatch.from_pydict({"doc_id": list(range(2000)), "text": [f"{i} word " * 9 for i in range(2000)]})
+    made = list(bpe._digest_batches(vocabulary())(iter([batch, batch.slice(0, 0)])))
+    assert max(b.num_rows for b in made) <= 512 and [i for b in made for i in b.column(0).to_pylist()] == list(range(2000))
