@@ -104,3 +104,15 @@ def test_late_stream_cuts_at_the_middle_with_few_newest_rows(spark, tmp_path, fi
     df = experiments.queries()["stream_late"](spark, str(tmp_path))
     want = con.sql(f"SELECT {', '.join(df.columns)} FROM ({experiments.oracle_sql()['stream_late']})").fetchall()
     assert want and sorted(map(tuple, df.collect())) == sorted(want)
+
+
+def test_a_log_leaves_no_tables_of_its_runs(spark, sf_dir):
+    """What a claim writes goes with it, and a grouped claim's rows are dealt out once for all models."""
+    from pathlib import Path
+
+    from sparkverdict.session import shared_dir
+
+    folder = Path(shared_dir(spark).removeprefix("file://"), "sparkverdict")
+    before = set(folder.glob("*"))
+    log = trials.run_log(spark, sf_dir, ("c03", "c05", "c13"), (0, 1))
+    assert {p.name.split("-")[0] for p in set(folder.glob("*")) - before} == {"run"} and log.count() == 3 * 8 * 2
