@@ -116,3 +116,13 @@ def test_a_log_leaves_no_tables_of_its_runs(spark, sf_dir):
     before = set(folder.glob("*"))
     log = trials.run_log(spark, sf_dir, ("c03", "c05", "c13"), (0, 1))
     assert {p.name.split("-")[0] for p in set(folder.glob("*")) - before} == {"run"} and log.count() == 3 * 8 * 2
+
+
+@pytest.mark.parametrize("name", ["metric_a14", "metric_a7", "metric_a7_ratio"])
+def test_measures_read_a_given_table(spark, sf_dir, name):
+    con = duckdb.connect()
+    con.sql(f"CREATE VIEW documents AS SELECT * FROM read_parquet('{sf_dir}/documents.parquet')")
+    df = experiments.queries()[name](spark, sf_dir)
+    want = con.sql(f"SELECT {', '.join(df.columns)} FROM ({experiments.oracle_sql()[name]})").fetchall()
+    assert want and sorted(map(tuple, df.collect())) == sorted(want)
+    assert any(f.endswith("documents.parquet") for f in df.inputFiles())
