@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import duckdb
+import pandas as pd
 import pytest
 
 from sparkverdict import experiments, trials, workloads
@@ -126,3 +127,15 @@ def test_measures_read_a_given_table(spark, sf_dir, name):
     want = con.sql(f"SELECT {', '.join(df.columns)} FROM ({experiments.oracle_sql()[name]})").fetchall()
     assert want and sorted(map(tuple, df.collect())) == sorted(want)
     assert any(f.endswith("documents.parquet") for f in df.inputFiles())
+
+
+def test_interval_trials_take_their_streams_from_events(spark, tmp_path):
+    """Every event is in one pool; the trials grow with the table, and intervals miss in at most about alpha of them."""
+    spark.range(3000).selectExpr("id AS event_id", "id * 7 % 1000 AS user_id").coalesce(1).write.parquet(f"{tmp_path}/events.parquet")
+    rows = {(r["mean"], r["kind"]): r for r in trials.stream_coverage(spark, str(tmp_path)).collect()}
+    assert len(rows) == 10 and {r.trials for r in rows.values()} == {3 * trials.STREAMS} and all(r.share < 0.12 for r in rows.values())
+    families = trials.family_coverage(spark, str(tmp_path)).collect()
+    assert len(families) == 12 and {r.trials for r in families} == {3 * trials.FAMILIES}
+    seen = trials.pooled(spark, str(tmp_path), lambda pool, u: pd.DataFrame({"n": [len(u)], "s": [int(u.sum())]}), "n long, s long").collect()
+    assert sum(r.n for r in seen) == 3000 and sum(r.s for r in seen) == sum(i * 7 % 1000 % 100 for i in range(3000))
+    assert {r["mean"] for r in experiments.queries()["metric_a17"](spark, str(tmp_path)).collect()} == {0.02, 0.3, 0.95}
